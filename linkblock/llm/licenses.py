@@ -142,7 +142,7 @@ def _spans(docs: DataFrame, id_col: str, text_col: str, templates: Sequence[Temp
         .groupBy(*key, "label", "t_words", "k", "share", "base", "span")
         .agg(F.sum("votes").alias("votes"), F.min("first").alias("start"), F.max(F.col("last") + F.col("k")).alias("stop"), F.max("copies").alias("copies"), F.max("n_words").alias("n_words"))
     )
-    coverage = F.least(F.lit(1.0), F.col("votes") / (F.col("t_words") - F.col("k") + 1))
+    coverage = F.when(F.col("label").isNotNull(), F.least(F.lit(1.0), F.col("votes") / (F.col("t_words") - F.col("k") + 1)))
     return merged.select(*key, "label", "base", "start", "stop", "copies", "n_words", coverage.alias("coverage"), (coverage >= F.col("share")).alias("verified"))
 
 
