@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from linkblock.llm import bpe, licenses, media, urls
+from linkblock.llm import bpe, licenses, media, rules, secrets, urls
 from linkblock.llm.common import documents
 
 
@@ -23,13 +23,21 @@ def op5_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media.store_texts(documents(spark, sf_dir))
 
 
+def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return rules.judge_quality(documents(spark, sf_dir))
+
+
+def op9_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secrets.find_secrets(documents(spark, sf_dir))
+
+
 def op10_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.round_trip(documents(spark, sf_dir), *bpe.public_vocabulary())
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_licenses, op3_urls, op5_media, op10_bpe)}
+    return {f.__name__: f for f in (op1_licenses, op3_urls, op5_media, op7_quality, op9_secrets, op10_bpe)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_urls": urls.oracle()}
+    return {"op3_urls": urls.oracle(), "op7_quality": rules.oracle()}
