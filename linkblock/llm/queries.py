@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from linkblock.llm import bpe, licenses, media, rules, secrets, urls
+from linkblock.llm import bpe, licenses, media, mixing, rules, secrets, urls
 from linkblock.llm.common import documents
 
 
@@ -23,6 +23,10 @@ def op5_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media.store_texts(documents(spark, sf_dir))
 
 
+def op6_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mix_documents(documents(spark, sf_dir))
+
+
 def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rules.judge_quality(documents(spark, sf_dir))
 
@@ -36,7 +40,7 @@ def op10_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_licenses, op3_urls, op5_media, op7_quality, op9_secrets, op10_bpe)}
+    return {f.__name__: f for f in (op1_licenses, op3_urls, op5_media, op6_mixing, op7_quality, op9_secrets, op10_bpe)}
 
 
 def oracle_sql() -> dict[str, str]:
