@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from linkblock.llm import bpe, licenses, media, mixing, rules, secrets, urls
+from linkblock.llm import bpe, licenses, media, mixing, rules, secrets, simhash, urls
 from linkblock.llm.common import documents
 
 
@@ -15,6 +15,11 @@ def op1_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licenses.scan_licenses(documents(spark, sf_dir))
 
 
+def op2_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = simhash.near_duplicates(documents(spark, sf_dir))
+    return found.select("doc_id", simhash.hex_digits(F.col("fp")).alias("fingerprint"), "component_id")
+
+
 def op3_urls(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urls.judge_urls(spark.read.parquet(f"{sf_dir}/pages.parquet"))
 
@@ -40,7 +45,7 @@ def op10_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_licenses, op3_urls, op5_media, op6_mixing, op7_quality, op9_secrets, op10_bpe)}
+    return {f.__name__: f for f in (op1_licenses, op2_simhash, op3_urls, op5_media, op6_mixing, op7_quality, op9_secrets, op10_bpe)}
 
 
 def oracle_sql() -> dict[str, str]:
