@@ -20,7 +20,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from linkblock.llm.common import LOWER, narrow, per_document
@@ -32,24 +32,55 @@ RADIUS = 2
 SHINGLE = 3
 SEED = 42
 BLOCK = 2048
-_CHUNK = 1 << 15
-_FIRST_PLANES = 16
+#: Cells with over BLOCK rows are known by name to every task if there are at most so many.
+BROADCAST_ROWS = 50_000
 
+#: Near copies: shingles of WIDE_SHINGLE words, WIDE_BITS bits. Texts of Jaccard similarity 0.8 have
+#: counts at an angle of acos(2*0.8/1.8), so 15 % of their bits differ on average; WIDE_RADIUS leaves
+#: room for chance on top (found by measuring pairs of known similarity: over 0.99 of those of 0.8 and more).
+WIDE_SHINGLE, WIDE_BITS, WIDE_RADIUS = 5, 512, 88
+#: A key is the largest counters (place and sign) of KEY_GROUPS of the groups of GROUP counters; TABLES keys a text.
+GROUP, KEY_GROUPS, TABLES = 32, 3, 32
 
-def fingerprint(raw: bytes, size: int = SHINGLE, seed: int = SEED) -> int:
-    """Signed 64-bit SimHash of a text's word shingles (UTF-8, A-Z lower-cased); no words: 0."""
+
+def _shingle_hashes(raw: bytes, size: int, seed: int) -> np.ndarray:
     words = raw.translate(LOWER).split()
     if not words:
-        return 0
+        return np.zeros(0, np.uint64)
     if len(words) < size:
         words, size = [b" ".join(words)], 1
-    n = len(words) - size + 1
-    over = np.zeros(BITS, np.int64)
     digest, join = xxhash.xxh64_intdigest, b" ".join
-    for at in range(0, n, _CHUNK):
-        hashes = np.fromiter((digest(join(words[i : i + size]), seed) for i in range(at, min(n, at + _CHUNK))), np.uint64)
-        over += np.unpackbits(hashes.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
-    return int(np.packbits(2 * over > n, bitorder="little").view(np.int64)[0])
+    return np.fromiter((digest(join(words[i : i + size]), seed) for i in range(len(words) - size + 1)), np.uint64, len(words) - size + 1)
+
+
+def _ones(hashes: np.ndarray) -> np.ndarray:
+    """How many hashes have each bit, bit 0 first; sums of 255 rows fit in bytes."""
+    total = np.zeros(BITS, np.int64)
+    for at in range(0, len(hashes), 255):
+        bits = np.unpackbits(hashes[at : at + 255].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
+        total += np.add.reduce(bits, axis=0, dtype=np.uint8)
+    return total
+
+
+def fingerprint(raw: bytes, size: int = SHINGLE, seed: int = SEED) -> int:
+    """Signed 64-bit SimHash of a text's word shingles (UTF-8, A-Z lower-cased, repeats counted); no words: 0."""
+    hashes = _shingle_hashes(raw, size, seed)
+    return int(np.packbits(2 * _ones(hashes) > len(hashes), bitorder="little").view(np.int64)[0])
+
+
+def wide_fingerprint(raw: bytes, size: int = WIDE_SHINGLE, bits: int = WIDE_BITS) -> tuple[bytes, list[int]]:
+    """SimHash of the set of a text's shingles over more bits, and the place and sign of each group's largest counter."""
+    hashes = np.unique(_shingle_hashes(raw, size, SEED))
+    sums = []
+    for i in range(bits // BITS):
+        x = hashes * np.uint64(0x9E3779B97F4A7C15) + np.uint64((i + 1) * 0xD1B54A32D192ED03 % (1 << 64))
+        x = (x ^ x >> np.uint64(31)) * np.uint64(0xBF58476D1CE4E5B9)
+        sums.append(2 * _ones(x ^ x >> np.uint64(29)) - len(hashes))
+    counters = np.concatenate(sums)
+    grouped = counters.reshape(-1, GROUP)
+    place = np.abs(grouped).argmax(axis=1)
+    marks = 2 * place + (grouped[np.arange(len(grouped)), place] > 0)
+    return np.packbits(counters > 0, bitorder="little").tobytes(), marks.tolist()
 
 
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -57,40 +88,51 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     return per_document(narrow(docs, id_col, text_col), lambda raw: (fingerprint(raw),), "doc_id bigint, fp bigint")
 
 
-def bit_planes(fps: np.ndarray) -> np.ndarray:
-    """(BITS, words): plane i holds bit i of every fingerprint, 64 to a word; the last word is padded with zeros."""
-    bits = np.unpackbits(np.ascontiguousarray(fps).view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
-    padded = np.zeros((BITS, -(-len(fps) // 64) * 64), np.uint8)
-    padded[:, : len(fps)] = bits.T
+def _bits(rows: np.ndarray) -> np.ndarray:
+    return np.unpackbits(rows, axis=1, bitorder="little")
+
+
+def bit_planes(rows: np.ndarray) -> np.ndarray:
+    """(bits, words) from fingerprints as rows of bytes: plane i holds bit i of all, 64 to a word, padded with zeros."""
+    bits = _bits(rows)
+    padded = np.zeros((bits.shape[1], -(-len(rows) // 64) * 64), np.uint8)
+    padded[:, : len(rows)] = bits.T
     return np.packbits(padded, axis=1, bitorder="little").view(np.uint64)
 
 
-def within(queries: np.ndarray, planes: np.ndarray, n: int, radius: int = RADIUS) -> tuple[np.ndarray, np.ndarray]:
-    """(query index, block index) of all pairs at most radius bits apart."""
-    words = planes.shape[1]
-    bits = np.unpackbits(np.ascontiguousarray(queries).view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
-    masks = (np.uint64(0) - bits.astype(np.uint64)).T
-    q, w = np.indices((len(queries), words)).reshape(2, -1)
-    limit = radius + 1
-    counters = [np.zeros(q.size, np.uint64) for _ in range(limit.bit_length())]
-    over = np.zeros(q.size, np.uint64)
-    for plane in range(BITS):
-        carry = planes[plane][w] ^ masks[plane][q]
-        reached = None
-        for i, c in enumerate(counters):
-            held = c & carry
-            c ^= carry
-            carry = held
-            part = c if limit >> i & 1 else ~c
-            reached = part if reached is None else reached & part
-        over |= reached
-        if plane + 1 >= _FIRST_PLANES and (plane + 1) % 8 == 0:
+def _add(counters: list[np.ndarray], over: np.ndarray, carry: np.ndarray, limit: int) -> None:
+    """Add one bit to every counter; over gets the lanes that reach limit."""
+    reached = None
+    for i, c in enumerate(counters):
+        held = c & carry
+        c ^= carry
+        carry = held
+        part = c if limit >> i & 1 else ~c
+        reached = part if reached is None else reached & part
+    over |= reached
+
+
+def within(queries: np.ndarray, planes: np.ndarray, n: int, radius: int) -> tuple[np.ndarray, np.ndarray]:
+    """(query index, block index) of all pairs at most radius bits apart. queries: rows of bytes."""
+    words, bits, limit = planes.shape[1], planes.shape[0], radius + 1
+    masks = (np.uint64(0) - _bits(queries).astype(np.uint64)).T
+    shape = (len(queries), words)
+    counters = [np.zeros(shape, np.uint64) for _ in range(limit.bit_length())]
+    over = np.zeros(shape, np.uint64)
+    dense = min(bits, 2 * radius + 12)  # until then nearly every word holds a lane within the radius
+    for plane in range(dense):
+        _add(counters, over, planes[plane][None, :] ^ masks[plane][:, None], limit)
+    q, w = np.indices(shape).reshape(2, -1)
+    counters, over = [c.ravel() for c in counters], over.ravel()
+    for plane in range(dense, bits):
+        if (plane - dense) % 8 == 0:
             alive = np.flatnonzero(~over)
             if not alive.size:
                 return np.zeros(0, np.int64), np.zeros(0, np.int64)
             if alive.size < 0.7 * over.size:
                 q, w, over = q[alive], w[alive], over[alive]
                 counters = [c[alive] for c in counters]
+        _add(counters, over, planes[plane][w] ^ masks[plane][q], limit)
     near = np.unpackbits((~over).view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").astype(bool)
     row, lane = np.nonzero(near)
     at = w[row] * 64 + lane
@@ -98,75 +140,95 @@ def within(queries: np.ndarray, planes: np.ndarray, n: int, radius: int = RADIUS
     return q[row[real]], at[real]
 
 
-def forest(fps: np.ndarray, radius: int = RADIUS) -> np.ndarray:
-    """For each fingerprint the index of the least one in its component of links within this block."""
-    planes, label = bit_planes(fps), np.arange(len(fps))
-    step = max(1, (1 << 21) // max(1, planes.shape[1]) // 64)
-    found = [within(fps[at : at + step], planes, len(fps), radius) for at in range(0, len(fps), step)]
-    a = np.concatenate([x + i * step for i, (x, _) in enumerate(found)])
-    b = np.concatenate([y for _, y in found])
-    a, b = a[a != b], b[a != b]
-    while a.size:
-        low = np.minimum(label[a], label[b])
-        if (low == label[a]).all() and (low == label[b]).all():
-            break
-        np.minimum.at(label, a, low)
-        np.minimum.at(label, b, low)
+def forest(rows: np.ndarray, radius: int = RADIUS) -> np.ndarray:
+    """For each fingerprint (rows of bytes) the index of the least one in its component of links within this block."""
+    planes, label = bit_planes(rows), np.arange(len(rows))
+    step = max(64, (1 << 16) // max(1, planes.shape[1]))
+    for at in range(0, len(rows), step):
+        a, b = within(rows[at : at + step], planes, len(rows), radius)
+        a = a + at
+        a, b = a[a != b], b[a != b]
+        while a.size:
+            low = np.minimum(label[a], label[b])
+            np.minimum.at(label, label[a], low)
+            np.minimum.at(label, label[b], low)
+            label = label[label]
+            apart = label[a] != label[b]
+            a, b = a[apart], b[apart]
+    while (label != label[label]).any():
         label = label[label]
     return label
 
 
-def _links(radius: int):
-    schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
+def _links(radius: int, width: int):
+    """Compare what shares a cell: rows (cell, fp of width bytes) sorted by cell in, links (a, b) out."""
+    schema = pa.schema([("a", pa.binary()), ("b", pa.binary())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held_cell, held_fp = np.zeros(0, np.int64), np.zeros(0, np.int64)
+        held_cell, held = np.zeros(0, np.int64), np.zeros((0, width), np.uint8)
 
-        def compare(fp: np.ndarray) -> Iterator[pa.RecordBatch]:
-            fp = np.unique(fp)
-            if len(fp) > 1:
-                low = forest(fp, radius)
-                moved = np.flatnonzero(low != np.arange(len(fp)))
+        def compare(rows: np.ndarray) -> Iterator[pa.RecordBatch]:
+            rows = np.unique(rows, axis=0)
+            if len(rows) > 1:
+                low = forest(rows, radius)
+                moved = np.flatnonzero(low != np.arange(len(rows)))
                 if moved.size:
-                    yield pa.RecordBatch.from_arrays([pa.array(fp[moved]), pa.array(fp[low[moved]])], schema=schema)
+                    yield pa.RecordBatch.from_arrays([pa.array([rows[i].tobytes() for i in x], pa.binary()) for x in (moved, low[moved])], schema=schema)
 
         for b in batches:
             cell = np.concatenate([held_cell, b.column("cell").to_numpy()])
-            fp = np.concatenate([held_fp, b.column("fp").to_numpy()])
-            starts = np.flatnonzero(np.r_[True, cell[1:] != cell[:-1]]) if len(cell) else np.zeros(0, np.int64)
+            came = np.frombuffer(b"".join(b.column("fp").to_pylist()), np.uint8).reshape(-1, width)
+            rows = np.concatenate([held, came])
+            starts = np.flatnonzero(cell[1:] != cell[:-1]) + 1
             done = 0
-            for at in starts[1:]:  # a block ends where a cell ends, and holds at least BLOCK rows
+            for at in starts:  # a block ends where a cell ends, and holds at least BLOCK rows
                 if at - done >= BLOCK:
-                    yield from compare(fp[done:at])
+                    yield from compare(rows[done:at])
                     done = at
-            held_cell, held_fp = cell[done:], fp[done:]
-        yield from compare(held_fp)
+            held_cell, held = cell[done:], rows[done:]
+        yield from compare(held)
 
     return run
 
 
-def part_values(fp, radius: int = RADIUS):
-    """array<struct<part, value>>: the bits of fp in radius+1 parts."""
+def links(parts: DataFrame, radius: int, width: int, block: int = BLOCK) -> DataFrame:
+    """(a, b) binary: links within radius between fingerprints that share a cell, enough to keep all components.
+
+    parts: (cell bigint, fp binary), each fingerprint once a cell. A cell with
+    over `block` rows is cut in chunks, and every two chunks meet in a cell of
+    their own, so that no task holds it whole.
+    """
+    hot = settle(parts.groupBy("cell").agg(F.count("*").alias("n")).where(F.col("n") > block).select("cell", F.ceil(F.col("n") / block).cast("int").alias("chunks")))
+    dealt = parts.join(F.broadcast(hot) if hot.count() <= BROADCAST_ROWS else hot, "cell", "left")
+    own = F.pmod(F.xxhash64("fp"), F.col("chunks")).cast("int")
+    meetings = F.transform(F.sequence(F.lit(0), F.col("chunks") - 1), lambda j: F.xxhash64(F.col("cell"), F.least(own, j), F.greatest(own, j)))
+    cells = dealt.select(F.explode(F.when(F.col("chunks").isNull(), F.array("cell")).otherwise(meetings)).alias("cell"), "fp")
+    return cells.repartition("cell").sortWithinPartitions("cell").mapInArrow(_links(radius, width), "a binary, b binary").distinct()
+
+
+def part_cells(fp: Column, radius: int = RADIUS) -> Column:
+    """array<bigint>: a cell for the bits of fp (bigint) in each of radius+1 parts."""
     cuts = [BITS * i // (radius + 1) for i in range(radius + 2)]
-    return F.array(*(
-        F.struct(F.lit(i).alias("part"), F.shiftrightunsigned(fp, a).bitwiseAND(F.lit((1 << (b - a)) - 1)).alias("value"))
-        for i, (a, b) in enumerate(zip(cuts, cuts[1:], strict=False))
-    ))
-
-
-def links(distinct: DataFrame, radius: int = RADIUS, block: int = BLOCK) -> DataFrame:
-    """(a, b): links between distinct fingerprints (column fp) that keep the components of all links within radius."""
-    parts = distinct.select("fp", F.explode(part_values(F.col("fp"), radius)).alias("p")).select("fp", "p.part", "p.value")
-    shared = parts.groupBy("part", "value").agg(F.count("*").alias("n")).where("n > 1")
-    chunks = F.ceil(F.col("n") / block).cast("int")
-    own = F.pmod(F.xxhash64("fp"), chunks).cast("int")
-    pairs = F.transform(F.sequence(F.lit(0), chunks - 1), lambda j: F.struct(F.least(own, j).alias("i"), F.greatest(own, j).alias("j")))
-    cells = (
-        parts.join(shared, ["part", "value"])
-        .select("fp", "part", "value", F.explode(pairs).alias("c"))
-        .select(F.xxhash64("part", "value", "c.i", "c.j").alias("cell"), "fp")
-    )
-    return cells.repartition("cell").sortWithinPartitions("cell").mapInArrow(_links(radius), "a bigint, b bigint").distinct()
+    return F.array(*(F.xxhash64(F.lit(i), F.shiftrightunsigned(fp, a).bitwiseAND(F.lit((1 << (b - a)) - 1))) for i, (a, b) in enumerate(zip(cuts, cuts[1:], strict=False))))
+
+
+def table_groups(groups: int = WIDE_BITS // GROUP, tables: int = TABLES, size: int = KEY_GROUPS) -> list[list[int]]:
+    """Which groups make up each table's key; the same in every run."""
+    rng = np.random.default_rng(7)
+    return [sorted(rng.choice(groups, size, replace=False).tolist()) for _ in range(tables)]
+
+
+def mark_cells(marks: Column) -> Column:
+    """array<bigint>: a cell for each table's key."""
+    return F.array(*(F.xxhash64(F.lit(t), *(marks[g] for g in own)) for t, own in enumerate(table_groups())))
+
+
+def _components(classes: DataFrame, cells: Column, radius: int, width: int) -> DataFrame:
+    """(fp, component_id) for classes (fp binary, least, ...): the least id over each component of links."""
+    found = links(classes.select(F.explode(cells).alias("cell"), "fp"), radius, width)
+    roots = connected_components(found, "a", "b")
+    linked = classes.select("fp", "least").join(roots, F.col("fp") == F.col("node"), "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
+    return linked.join(linked.groupBy("root").agg(F.min("least").alias("component_id")), "root").select("fp", "component_id")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS) -> DataFrame:
@@ -177,22 +239,34 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     the least unless its component has no other. An empty table gives no rows.
     """
     marked = settle(fingerprints(docs, id_col, text_col))
-    classes = marked.groupBy("fp").agg(F.min("doc_id").alias("least"))
-    roots = connected_components(links(classes.select("fp"), radius), "a", "b")
-    linked = classes.join(roots, classes.fp == roots.node, "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
-    named = linked.join(linked.groupBy("root").agg(F.min("least").alias("component_id")), "root").select("fp", "component_id")
-    return marked.join(named, "fp").select("doc_id", "fp", "component_id")
+    classes = marked.groupBy("fp").agg(F.min("doc_id").alias("least")).select(F.col("fp").alias("number"), F.unhex(hex_digits(F.col("fp"))).alias("fp"), "least")
+    named = _components(classes, part_cells(F.col("number"), radius), radius, BITS // 8)
+    return marked.join(named.select(F.conv(F.hex("fp"), 16, -10).cast("bigint").alias("fp"), "component_id"), "fp").select("doc_id", "fp", "component_id")
+
+
+def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = WIDE_RADIUS) -> DataFrame:
+    """(doc_id, component_id) for every row, over texts whose sets of five-word shingles are alike to 0.8 and more.
+
+    Similarity is read off the distance of wide fingerprints; candidates share
+    a key made of their largest counters. Nulls, empty texts, repeated rows
+    and empty tables as in near_duplicates().
+    """
+    marked = settle(per_document(narrow(docs, id_col, text_col), wide_fingerprint, "doc_id bigint, fp binary, marks array<int>"))
+    classes = marked.groupBy("fp").agg(F.min("doc_id").alias("least"), F.first("marks").alias("marks"))
+    named = _components(classes, mark_cells(F.col("marks")), radius, WIDE_BITS // 8)
+    return marked.select("doc_id", "fp").join(named, "fp").select("doc_id", "component_id")
 
 
-def hex_digits(fp):
+def hex_digits(fp: Column) -> Column:
     return F.lpad(F.lower(F.hex(fp)), 16, "0")
 
 
-def one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS) -> DataFrame:
-    """Rows of docs, one for each component: that of the least id; rows that share it count as one.
+def one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = WIDE_RADIUS) -> DataFrame:
+    """Rows of docs, one for each group of near copies: that of the least id.
 
-    Null ids stay only where their component has no other id.
+    Rows that share an id count as one. A row without an id stays only where
+    its group has no id at all.
     """
-    found = near_duplicates(docs, id_col, text_col, radius).where("doc_id <=> component_id").select(F.col("doc_id").alias("_kept_id"), F.col("component_id").alias("_kept_root")).distinct()
+    found = near_copies(docs, id_col, text_col, radius).where("doc_id <=> component_id").select(F.col("doc_id").alias("_kept_id")).distinct()
     kept = docs.join(found, docs[id_col].cast("bigint").eqNullSafe(found["_kept_id"]), "left_semi")
     return kept.dropDuplicates([id_col])
