@@ -149,3 +149,28 @@ def redacted(text: Column, spans: Column) -> Column:
         ).otherwise(a),
     )
     return F.when(F.size(spans) == 0, text).otherwise(let(done, lambda d: F.concat(d["out"], F.substring(text, d["at"] + 1, F.lit(2147483647)))))
+
+
+def redact_documents(docs: DataFrame, text_col: str = "text", size_col: str | None = "n_chars", rules: Sequence[SecretRule] = RULES) -> DataFrame:
+    """docs with every found span replaced; all columns stay, size_col (if there is one) is counted anew where the text changed.
+
+    Each distinct text is moved and scanned once, and meets its rows again by
+    its address. Null texts stay null.
+    """
+    text = docs[text_col].cast("string")
+    rest = F.struct(*(docs[c] for c in docs.columns if c != text_col)).alias("rest")
+    blob = F.sha2(F.coalesce(text, F.lit("")), 256).alias("blob")
+    rows = docs.select(rest, text.isNull().alias("void"), blob)
+    seen = scan_unseen(docs.select(blob, F.coalesce(text, F.lit("")).alias("text")), None, rules, with_text=True)
+    clean = seen.select("blob", F.size("spans").alias("hits"), redacted(F.col("text"), F.col("spans")).alias("clean"))
+    joined = rows.join(clean, "blob")
+    columns = []
+    for name in docs.columns:
+        if name == text_col:
+            c = F.when(~F.col("void"), F.col("clean"))
+        elif name == size_col:
+            c = F.when(F.col("hits") > 0, F.char_length("clean")).otherwise(F.col(f"rest.`{name}`")).cast(docs.schema[name].dataType)
+        else:
+            c = F.col(f"rest.`{name}`")
+        columns.append(c.alias(name))
+    return joined.select(*columns)
