@@ -14,10 +14,12 @@ from __future__ import annotations
 
 import zlib
 from collections import Counter
+from collections.abc import Iterator
 from functools import reduce
 
 import numpy as np
-from pyspark.sql import Column, DataFrame
+import pyarrow as pa
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from linkblock.llm.common import as_bytes, narrow, per_document
@@ -128,14 +130,15 @@ def judge_documents(docs: DataFrame, model: OrdinalModel, id_col: str = "doc_id"
 
 def select_documents(docs: DataFrame, model: OrdinalModel, text_col: str = "text", tail: int = TAIL) -> DataFrame:
     """Rows of docs, with all their columns, whose tail probability is at least AT_LEAST."""
-    from pyspark.sql.functions import pandas_udf
-
-    @pandas_udf("double")
-    def tail_probability(raw):
-        return raw.map(lambda x: model.judge(x, tail)[1])
-
-    text: Column = F.coalesce(docs[text_col].cast("string"), F.lit("")).cast("binary")
-    return docs.where(tail_probability(text) >= AT_LEAST)
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for at in range(0, whole.num_rows, 512):
+                part = whole.slice(at, 512)
+                texts = part.column(text_col).cast(pa.string()).cast(pa.binary()).to_pylist()
+                kept = [model.judge(x or b"", tail)[1] >= AT_LEAST for x in texts]
+                yield part.filter(pa.array(kept, pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
 
 
 def by_hand(model: OrdinalModel, raw: bytes) -> float:
