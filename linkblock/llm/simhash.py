@@ -32,6 +32,8 @@ RADIUS = 2
 SHINGLE = 3
 SEED = 42
 BLOCK = 2048
+#: Small cells are packed until they hold so many rows.
+PACK = 512
 #: Cells with over BLOCK rows are known by name to every task if there are at most so many.
 BROADCAST_ROWS = 50_000
 
@@ -167,8 +169,11 @@ def _links(radius: int, width: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held_cell, held = np.zeros(0, np.int64), np.zeros((0, width), np.uint8)
 
-        def compare(rows: np.ndarray) -> Iterator[pa.RecordBatch]:
-            rows = np.unique(rows, axis=0)
+        def compare(cell: np.ndarray, rows: np.ndarray) -> Iterator[pa.RecordBatch]:
+            if len(cell) < 2:
+                return
+            same = np.r_[False, cell[1:] == cell[:-1], False]
+            rows = np.unique(rows[same[1:] | same[:-1]], axis=0)  # a row alone in its cell meets nothing
             if len(rows) > 1:
                 low = forest(rows, radius)
                 moved = np.flatnonzero(low != np.arange(len(rows)))
@@ -181,12 +186,12 @@ def _links(radius: int, width: int):
             rows = np.concatenate([held, came])
             starts = np.flatnonzero(cell[1:] != cell[:-1]) + 1
             done = 0
-            for at in starts:  # a block ends where a cell ends, and holds at least BLOCK rows
-                if at - done >= BLOCK:
-                    yield from compare(rows[done:at])
+            for at in starts:  # a block ends where a cell ends, and holds at least PACK rows
+                if at - done >= PACK:
+                    yield from compare(cell[done:at], rows[done:at])
                     done = at
             held_cell, held = cell[done:], rows[done:]
-        yield from compare(held)
+        yield from compare(held_cell, held)
 
     return run
 
