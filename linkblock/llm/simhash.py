@@ -42,7 +42,7 @@ BROADCAST_ROWS = 50_000
 #: room for chance on top (found by measuring pairs of known similarity: over 0.99 of those of 0.8 and more).
 WIDE_SHINGLE, WIDE_BITS, WIDE_RADIUS = 5, 512, 88
 #: A key is the largest counters (place and sign) of KEY_GROUPS of the groups of GROUP counters; TABLES keys a text.
-GROUP, KEY_GROUPS, TABLES = 32, 3, 32
+GROUP, KEY_GROUPS, TABLES = 8, 4, 32
 
 
 def _shingle_hashes(raw: bytes, size: int, seed: int) -> np.ndarray:
