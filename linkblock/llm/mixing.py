@@ -46,7 +46,8 @@ def stub_weight(size: Column) -> Column:
 def _keyed(docs: DataFrame, id_col: str, source_col: str, size: Column, weight: Callable[[Column], Column]) -> list[Column]:
     source = docs[source_col].cast("string")
     return [
-        docs[id_col].cast("bigint").alias("mix_id"), F.coalesce(F.concat(F.lit("s"), source), F.lit("n")).alias("mix_key"), source.isNull().alias("mix_last"),
+        docs[id_col].cast("bigint").alias("mix_id"), F.coalesce(docs[id_col].cast("bigint").cast("string"), F.lit("")).alias("mix_ref"),
+        F.coalesce(F.concat(F.lit("s"), source), F.lit("n")).alias("mix_key"), source.isNull().alias("mix_last"),
         size.alias("mix_size"), weight(size).alias("mix_weight"),
     ]
 
@@ -109,7 +110,7 @@ class MixPlan:
         return _join_small(docs, self.rates, ["mix_key", "mix_weight"], "left").withColumn("_rank", F.when(drawn, odds / (1 + odds)))
 
     def _find_ends(self, sized: DataFrame) -> None:
-        ranked = self._ranked(sized).where("_rank IS NOT NULL").select("mix_key", "mix_id", "mix_size", "_rank", "_left", F.floor(F.col("_rank") * COARSE).alias("_c"), F.floor(F.col("_rank") * FINE).alias("_f"))
+        ranked = self._ranked(sized).where("_rank IS NOT NULL").select("mix_key", "mix_ref", "mix_size", "_rank", "_left", F.floor(F.col("_rank") * COARSE).alias("_c"), F.floor(F.col("_rank") * FINE).alias("_f"))
         order = Window.partitionBy("mix_key").orderBy("_b")
         before = order.rowsBetween(Window.unboundedPreceding, -1)
 
@@ -127,18 +128,22 @@ class MixPlan:
         fine = inside.groupBy("mix_key", F.col("_f").alias("_b")).agg(F.sum("mix_size").alias("_size"), F.count("*").alias("_n"), F.first("_left").alias("_left"), F.first("_cu").alias("_cu"))
         self.ends = settle(ends(fine, F.col("_cu")))
         around = _join_small(ranked.drop("_left"), self.ends, ["mix_key"]).where("_f BETWEEN _from AND _to")
-        same = around.groupBy("mix_key", "mix_id", "mix_size", "_rank").agg(F.count("*").alias("_n"), F.first("_left").alias("_left"), F.first("_used").alias("_used"))
-        rows = same.groupBy("mix_key").agg(F.array_sort(F.collect_list(F.struct("_rank", "mix_id", "mix_size", "_n"))).alias("a"), (F.first("_left") - F.first("_used")).alias("_left"))
+        same = around.groupBy("mix_key", "mix_ref", "mix_size", "_rank").agg(F.count("*").alias("_n"), F.first("_left").alias("_left"), F.first("_used").alias("_used"))
+        rows = same.groupBy("mix_key").agg(F.array_sort(F.collect_list(F.struct("_rank", "mix_ref", "mix_size", "_n"))).alias("a"), (F.first("_left") - F.first("_used")).alias("_left"))
         picked = F.aggregate(
-            "a", F.struct(F.col("_left").alias("left"), F.array().cast("array<struct<_rank:double,mix_id:bigint,mix_size:bigint,_n:bigint>>").alias("ids")),
+            "a", F.struct(F.col("_left").alias("left"), F.array().cast("array<struct<_rank:double,mix_ref:string,mix_size:bigint,_n:bigint>>").alias("ids")),
             lambda s, x: F.when(x["mix_size"] * x["_n"] <= s["left"], F.struct((s["left"] - x["mix_size"] * x["_n"]).alias("left"), F.concat(s["ids"], F.array(x)).alias("ids"))).otherwise(s),
         )
-        self.picks = settle(rows.select("mix_key", F.explode(picked["ids"]).alias("x")).select("mix_key", "x.mix_id", "x.mix_size", F.lit(1).alias("_picked")))
+        # One more document if going over brings the source nearer to its target than stopping short.
+        rest = lambda s: F.filter("a", lambda x: ~F.exists(s["ids"], lambda y: (y["_rank"] == x["_rank"]) & (y["mix_ref"] == x["mix_ref"]) & (y["mix_size"] == x["mix_size"])))
+        nearer = lambda s: F.array_min(F.transform(rest(s), lambda x: F.struct(F.abs(s["left"] - x["mix_size"] * x["_n"]).alias("off"), x.alias("x"))))
+        chosen = F.transform(F.array(picked), lambda s: F.transform(F.array(nearer(s)), lambda b: F.when(b["off"] < s["left"], F.concat(s["ids"], F.array(b["x"]))).otherwise(s["ids"]))[0])[0]
+        self.picks = settle(rows.select("mix_key", F.explode(chosen).alias("x")).select("mix_key", "x.mix_ref", "x.mix_size", F.lit(1).alias("_picked")))
 
     def copies(self, docs: DataFrame) -> DataFrame:
         """docs (with the mix_ columns) with copies (bigint), source_size and target added."""
         ranked = _join_small(self._ranked(docs).drop("_left"), self.ends.select("mix_key", "_from"), ["mix_key"], "left")
-        with_picks = _join_small(ranked, self.picks, ["mix_key", "mix_id", "mix_size"], "left")
+        with_picks = _join_small(ranked, self.picks, ["mix_key", "mix_ref", "mix_size"], "left")
         before = (F.col("_rank").isNotNull()) & (F.col("_from").isNull() | (F.floor(F.col("_rank") * FINE) < F.col("_from")))
         return with_picks.withColumn("copies", (F.coalesce(F.col("_whole"), F.lit(0)) + (before | F.col("_picked").isNotNull()).cast("int")).cast("bigint")).drop("_rank", "_from", "_picked", "_whole", "_part")
 
@@ -152,8 +157,9 @@ def mix_documents(
     Null text has size 0 and takes no words; null source is a source of its
     own, the last. Rows that repeat an id in a source share its random number:
     around the end they are taken together or not at all. An empty table gives
-    no rows. What a source takes differs from its target by less than the
-    smallest document around the end that was left out.
+    no rows. What a source takes differs from its target by at most half
+    of the smallest document around the end that was left out, or by less than
+    what its other documents could mend.
     """
     sized = settle(docs.select(*_keyed(docs, id_col, source_col, word_count(docs[text_col].cast("string")), weight)))
     done = MixPlan(sized, share, cap, cycle, seed).copies(sized)
