@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from linkblock.functions.tokens import let
+
 
 def band(sig: Column, k: int, tables: int, t: Column, layout: str = "contiguous") -> Column:
     """The k values of table t: neighbours, or every tables-th (stride)."""
@@ -15,8 +17,13 @@ def band(sig: Column, k: int, tables: int, t: Column, layout: str = "contiguous"
 
 def keys(sig: Column, k: int, tables: int, layout: str = "contiguous") -> Column:
     """array<bigint> of the tables' bucket keys (64-bit: 32 are too few beyond 10^9 records). Null for a null signature."""
-    made = F.transform(F.sequence(F.lit(0), F.lit(tables - 1)), lambda t: F.xxhash64(t, band(sig, k, tables, t, layout)))
-    return F.when(sig.isNotNull(), made)
+    return let(sig, lambda s: F.when(s.isNotNull(), F.transform(F.sequence(F.lit(0), F.lit(tables - 1)), lambda t: F.xxhash64(t, band(s, k, tables, t, layout)))))
+
+
+def shown_keys(sig: Column, k: int, tables: int) -> Column:
+    """array<string> of the tables' values, for keys that another engine can make too."""
+    text = lambda s, t: F.array_join(F.transform(band(s, k, tables, t), lambda v: v.cast("string")), "-")
+    return let(sig, lambda s: F.when(s.isNotNull(), F.transform(F.sequence(F.lit(0), F.lit(tables - 1)), lambda t: text(s, t))))
 
 
 def bucketize(df: DataFrame, id_col: str, sig: Column, k: int, tables: int, layout: str = "contiguous", empty: str = "skip") -> DataFrame:

@@ -23,7 +23,7 @@ _FILLED = "array<struct<bin:bigint,val:bigint,dist:bigint>>"
 
 def classic_minhash(hashes: Column, n: int, seed: int = 0) -> Column:
     """array<bigint> of n least remixed hashes, one mixing function each; null for a record without tokens."""
-    return F.when(F.size(hashes) > 0, F.transform(F.sequence(F.lit(seed), F.lit(seed + n - 1)), lambda s: F.array_min(F.transform(hashes, lambda x: mix(x, s)))))
+    return let(hashes, lambda h: F.when(F.size(h) > 0, F.transform(F.sequence(F.lit(seed), F.lit(seed + n - 1)), lambda s: F.array_min(F.transform(h, lambda x: mix(x, s))))))
 
 
 def estimate(a: Column, b: Column) -> Column:
@@ -117,12 +117,12 @@ def one_pass_sketch(hashes: Column, n: int, how: str = "probe") -> Column:
 
 def per_table_filled(hashes: Column, k: int, tables: int, seed: int = 500) -> Column:
     """array (by table) of densified sketches of k bins each, every table with its own remix of the same hashes."""
-    return F.transform(F.sequence(F.lit(0), F.lit(tables - 1)), lambda t: densify(one_pass_bins(F.array_sort(F.transform(hashes, lambda x: mix(x, t + seed))), k), k, "rotate"))
+    return let(hashes, lambda h: F.transform(F.sequence(F.lit(0), F.lit(tables - 1)), lambda t: densify(one_pass_bins(F.array_sort(F.transform(h, lambda x: mix(x, t + seed))), k), k, "rotate")))
 
 
 def per_table_sketch(hashes: Column, k: int, tables: int, seed: int = 500) -> Column:
     """The k * tables values of per_table_filled() in a row; table t holds positions t*k to t*k+k-1."""
-    return F.when(F.size(hashes) > 0, F.flatten(F.transform(per_table_filled(hashes, k, tables, seed), signature)))
+    return let(hashes, lambda h: F.when(F.size(h) > 0, F.flatten(F.transform(per_table_filled(h, k, tables, seed), signature))))
 
 
 def quantize(weight: Column, delta: float) -> Column:
@@ -160,7 +160,7 @@ def consistent_weighted_hash(counts: Column, n: int, seed: int = 2_000) -> Colum
     published improved form; records choose alike with probability equal to
     their weighted Jaccard similarity.
     """
-    def choose(position: Column) -> Column:
+    def choose(own: Column, position: Column) -> Column:
         u = lambda e, j: (mix(mix(e["h"], position * 5 + j + seed), position + j + 7) + 1) / F.lit(float(WIDTH + 2))
 
         def score(e: Column) -> Column:
@@ -170,10 +170,10 @@ def consistent_weighted_hash(counts: Column, n: int, seed: int = 2_000) -> Colum
             level = F.floor(F.log(e["cnt"]) / r + beta)
             return F.struct((F.log(c) - r * (level - beta) - r).alias("a"), e["h"].alias("h"), level.cast("bigint").alias("t"))
 
-        best = F.array_min(F.transform(F.filter(counts, lambda e: e["cnt"] > 0), score))
+        best = F.array_min(F.transform(F.filter(own, lambda e: e["cnt"] > 0), score))
         return let(best, lambda s: s["h"] * 4096 + F.pmod(s["t"], F.lit(4096)))
 
-    return F.when(F.size(counts) > 0, F.transform(F.sequence(F.lit(0), F.lit(n - 1)), choose))
+    return let(counts, lambda c: F.when(F.size(c) > 0, F.transform(F.sequence(F.lit(0), F.lit(n - 1)), lambda p: choose(c, p))))
 
 
 def merge_bins(a: Column, b: Column) -> Column:

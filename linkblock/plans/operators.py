@@ -210,7 +210,7 @@ def top_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
     return blocks.top_blocks(reports(spark, sf_dir).select(F.col("place").alias("block_id"), "rec_id"), 5)
 
 
-@query(f"WITH {S.doc_grams(GRAM)}, {S.doc_truth(0.3)}, both AS (SELECT id_lo AS rec_id, id_hi AS other, n_common / n_union AS j FROM scored WHERE n_common >= 0.3 * n_union UNION ALL SELECT id_hi, id_lo, n_common / n_union FROM scored WHERE n_common >= 0.3 * n_union) SELECT rec_id, other, r::INT AS r FROM (SELECT *, row_number() OVER (PARTITION BY rec_id ORDER BY j DESC, other) AS r FROM both) WHERE r <= 3")
+@query(f"WITH {S.doc_grams(GRAM)}, {S.doc_truth(0.3)}, twice AS (SELECT id_lo AS rec_id, id_hi AS other, n_common / n_union AS j FROM scored WHERE n_common >= 0.3 * n_union UNION ALL SELECT id_hi, id_lo, n_common / n_union FROM scored WHERE n_common >= 0.3 * n_union) SELECT rec_id, other, r::INT AS r FROM (SELECT *, row_number() OVER (PARTITION BY rec_id ORDER BY j DESC, other) AS r FROM twice) WHERE r <= 3")
 def topk_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
     near = doc_truth(spark, sf_dir, 0.3)
     both = near.select(F.explode(F.array(F.struct(F.col("id_lo").alias("rec_id"), F.col("id_hi").alias("other"), "jaccard"), F.struct(F.col("id_hi").alias("rec_id"), F.col("id_lo").alias("other"), "jaccard"))).alias("e")).select("e.*")

@@ -53,8 +53,7 @@ def minhash_estimate(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query(f"{_G}, {_CLASSIC(CLASSIC)}, b AS (SELECT rec_id, pos // {K} AS table_no, md5(string_agg(val::VARCHAR, '-' ORDER BY pos)) AS bucket FROM mh GROUP BY 1, 2) SELECT table_no::INT AS table_no, bucket, count(*) AS n FROM b GROUP BY ALL HAVING count(*) > 1")
 def minhash_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
-    tables = F.transform(F.sequence(F.lit(0), F.lit(CLASSIC // K - 1)), lambda t: F.array_join(F.transform(bands.band(F.col("sig"), K, CLASSIC // K, t), lambda v: v.cast("string")), "-"))
-    keyed = minhashes(spark, sf_dir, CLASSIC).select(F.posexplode(tables).alias("table_no", "key"))
+    keyed = minhashes(spark, sf_dir, CLASSIC).select(F.posexplode(bands.shown_keys(F.col("sig"), K, CLASSIC // K)).alias("table_no", "key"))
     return keyed.groupBy("table_no", F.md5(F.col("key").cast("binary")).alias("bucket")).agg(F.count("*").alias("n")).where("n > 1")
 
 
@@ -192,8 +191,7 @@ _FAST = f"{_KEPT}, {S.bins(B, 'kept', 'bins_w')}, {S.filled(B, 'probe', 'bins_w'
 def fast_sketch_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The flagship: sample by weight, one pass of bins, fill, band, group. One exchange, of keys only."""
     sig = weighted_sets(spark, sf_dir).select(fast_signature(F.col("c")).alias("sig"))
-    tables = F.transform(F.sequence(F.lit(0), F.lit(TABLES - 1)), lambda t: F.array_join(F.transform(bands.band(F.col("sig"), K, TABLES, t), lambda v: v.cast("string")), "-"))
-    keyed = sig.where("sig IS NOT NULL").select(F.posexplode(tables).alias("table_no", "key"))
+    keyed = sig.select(F.posexplode(bands.shown_keys(F.col("sig"), K, TABLES)).alias("table_no", "key"))
     return keyed.groupBy("table_no", F.md5(F.col("key").cast("binary")).alias("bucket")).agg(F.count("*").alias("n")).where("n > 1")
 
 
@@ -210,11 +208,16 @@ def _vectors(spark: SparkSession, sf_dir: str, p: int = 32) -> DataFrame:
     return cluster.project(cluster.tfidf(doc_bag(spark, sf_dir), n), p)
 
 
+def _every_record(spark: SparkSession, sf_dir: str, clusters: DataFrame) -> DataFrame:
+    """A partition covers all records: those without a token get a block of their own, by negative number."""
+    return docs(spark, sf_dir).select("rec_id").join(clusters, "rec_id", "left").select("rec_id", F.coalesce("cluster", -F.col("rec_id") - 1).alias("cluster"))
+
+
 @query()
 def cluster_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Random projection and k-means, mean block of 20 records."""
     v = _vectors(spark, sf_dir)
-    return cluster.lloyd(v, cluster.clusters_for(docs(spark, sf_dir).count(), 20), 3, 32)
+    return _every_record(spark, sf_dir, cluster.lloyd(v, cluster.clusters_for(docs(spark, sf_dir).count(), 20), 3, 32))
 
 
 @query()
@@ -225,12 +228,12 @@ def cluster_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query()
 def cluster_two_level(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return cluster.two_level(_vectors(spark, sf_dir), 20, docs(spark, sf_dir).count(), 2)
+    return _every_record(spark, sf_dir, cluster.two_level(_vectors(spark, sf_dir), 20, docs(spark, sf_dir).count(), 2))
 
 
 @query()
 def cluster_library(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return cluster.library_kmeans(_vectors(spark, sf_dir), cluster.clusters_for(docs(spark, sf_dir).count(), 20))
+    return _every_record(spark, sf_dir, cluster.library_kmeans(_vectors(spark, sf_dir), cluster.clusters_for(docs(spark, sf_dir).count(), 20)))
 
 
 @query()
