@@ -73,8 +73,8 @@ def _counts(text: Column) -> Column:
             F.char_length(F.translate(text, " \t\n\x0b\x0c\r", "")).cast("bigint").alias("word_chars"),
             (F.char_length(text) - F.char_length(F.translate(text, SYMBOLS, ""))).cast("bigint").alias("n_symbols"),
             _repeat_words(w).cast("bigint").alias("n_repeat_words"),
-            F.size(F.filter(w, lambda x: lower_ascii(F.regexp_replace(x, "[^A-Za-z\\x{80}-\\x{10FFFF}]", "")).isin(*STOP_WORDS))).cast("bigint").alias("n_stop_words"),
-            F.size(F.filter(w, lambda x: x.rlike("^[A-Z]{2}"))).cast("bigint").alias("n_capital_words"),
+            F.size(F.filter(F.split(lower_ascii(text), "[^a-z\\x{80}-\\x{10FFFF}]+", -1), lambda x: x.isin(*STOP_WORDS))).cast("bigint").alias("n_stop_words"),
+            F.regexp_count(text, F.lit(f"(?:^|[{SPACE}])[A-Z]{{2}}")).cast("bigint").alias("n_capital_words"),
             let(F.filter(F.split(text, "\n", -1), lambda x: x.rlike(f"[^{SPACE}]")), lambda n: F.struct(F.size(n).cast("bigint").alias("n"), (F.size(n) - F.size(F.array_distinct(n))).cast("bigint").alias("dup"))).alias("lines"),
         )
 
@@ -140,12 +140,12 @@ r AS (SELECT k, p, count(*) OVER (PARTITION BY k, gram) AS c FROM g WHERE n = {W
 v AS (SELECT k, p, max(CASE WHEN c > 1 THEN 1 ELSE 0 END) OVER (PARTITION BY k ORDER BY p RANGE BETWEEN {WINDOW - 1} PRECEDING AND CURRENT ROW) AS hit FROM (SELECT w.k, w.p, coalesce(r.c, 0) AS c FROM w LEFT JOIN r USING (k, p))),
 rep AS (SELECT k, sum(hit)::BIGINT AS n_repeat_words FROM v GROUP BY k),
 ws AS (SELECT k, count(*) AS n_words, sum(length(w))::BIGINT AS word_chars, sum(length(regexp_replace(w, '[^#*$%&|<>]', '', 'g')))::BIGINT AS n_symbols,
-  sum((translate(regexp_replace(w, '[^A-Za-z\\x{{80}}-\\x{{10FFFF}}]', '', 'g'), {az}) IN ({stops}))::INT)::BIGINT AS n_stop_words,
   sum(regexp_matches(w, '^[A-Z]{{2}}')::INT)::BIGINT AS n_capital_words FROM w GROUP BY k),
+sw AS (SELECT k, count(*) AS n_stop_words FROM (SELECT k, unnest(regexp_extract_all(translate(text, {az}), '[a-z\\x{{80}}-\\x{{10FFFF}}]+')) AS x FROM d) WHERE x IN ({stops}) GROUP BY k),
 ls AS (SELECT k, count(*) AS n_lines, count(*) - count(DISTINCT line) AS n_dup_lines FROM (SELECT k, unnest(string_split(text, chr(10))) AS line FROM d) WHERE regexp_matches(line, '[^\\x20\\x09-\\x0D]') GROUP BY k),
 m AS (SELECT doc_id, coalesce(n_words, 0) AS n_words, coalesce(word_chars, 0) AS word_chars, coalesce(n_symbols, 0) AS n_symbols, coalesce(n_dup_lines, 0) AS n_dup_lines, coalesce(n_repeat_words, 0) AS n_repeat_words,
   {ratio('100.0 * n_repeat_words', 'n_words')} AS repeat_percent, {ratio('word_chars', 'n_words')} AS mean_word_chars, {ratio('n_symbols', 'n_words')} AS symbols_per_word,
-  {ratio('n_stop_words', 'n_words')} AS stop_word_share, {ratio('n_dup_lines', 'n_lines')} AS dup_line_share, {ratio('n_capital_words', 'n_words')} AS capital_share
-  FROM d LEFT JOIN ws USING (k) LEFT JOIN ls USING (k) LEFT JOIN rep USING (k)),
+  {ratio('coalesce(n_stop_words, 0)', 'n_words')} AS stop_word_share, {ratio('n_dup_lines', 'n_lines')} AS dup_line_share, {ratio('n_capital_words', 'n_words')} AS capital_share
+  FROM d LEFT JOIN ws USING (k) LEFT JOIN ls USING (k) LEFT JOIN sw USING (k) LEFT JOIN rep USING (k)),
 j AS (SELECT *, (n_words < 20 OR 100 * n_repeat_words > 30 * n_words) AS base_failed, concat_ws(',', {', '.join(fails)}) AS failed FROM m)
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, (NOT base_failed AND failed = '') AS kept, failed FROM j"""
