@@ -52,17 +52,20 @@ BASE = ("words", "repeats")
 
 
 def _repeat_words(words: Column) -> Column:
-    """Words inside windows of WINDOW words that occur twice or more, by sorted window hashes: O(n log n)."""
-    hashed = F.transform(
-        F.sequence(F.lit(0), F.size(words) - WINDOW),
-        lambda i: F.struct(F.xxhash64(F.slice(words, i + 1, F.lit(WINDOW))).alias("h"), i.alias("p")),
-    )
+    """Words inside windows of WINDOW words that occur twice or more, by window hashes.
+
+    A hash set tells whether any window repeats; only then are the hashes
+    sorted with their places: O(n) for most texts, O(n log n) at worst.
+    """
+    hashes = F.transform(F.sequence(F.lit(0), F.size(words) - WINDOW), lambda i: F.xxhash64(F.slice(words, i + 1, F.lit(WINDOW))))
     twice = lambda a: F.filter(a, lambda x, i: (F.get(a, i - 1)["h"] == x["h"]) | F.coalesce(F.get(a, i + 1)["h"] == x["h"], F.lit(False)))
     covered = lambda p: F.aggregate(
         F.transform(p, lambda x, i: F.least(F.lit(WINDOW), F.coalesce(F.get(p, i + 1) - x, F.lit(WINDOW)))), F.lit(0), lambda a, x: a + x
     )
-    repeated = let(F.array_sort(hashed), lambda a: F.transform(twice(a), lambda x: x["p"]))
-    return F.when(F.size(words) <= WINDOW, F.lit(0)).otherwise(let(F.array_sort(repeated), covered))
+    placed = lambda h: F.array_sort(F.transform(h, lambda x, i: F.struct(x.alias("h"), i.alias("p"))))
+    places = lambda h: let(placed(h), lambda a: F.array_sort(F.transform(twice(a), lambda x: x["p"])))
+    counted = let(hashes, lambda h: F.when(F.size(F.array_distinct(h)) == F.size(h), F.lit(0)).otherwise(let(places(h), covered)))
+    return F.when(F.size(words) <= WINDOW, F.lit(0)).otherwise(counted)
 
 
 def _counts(text: Column) -> Column:
