@@ -21,7 +21,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from linkblock.llm.common import LOWER, as_bytes, narrow
@@ -52,6 +52,17 @@ def word_counts(texts: DataFrame) -> DataFrame:
     return texts.mapInArrow(run, "word binary, c bigint").groupBy("word").agg(F.sum("c").alias("c")).where("c > 0")
 
 
+def least_count(words: DataFrame, most: int) -> int:
+    """The least count that at most `most` words reach, from the table of how many words have each count.
+
+    No task sorts words; what is summed in order has a row for each distinct count.
+    """
+    table = words.groupBy("c").agg(F.count("*").alias("n"))
+    run = table.select("c", F.sum("n").over(Window.partitionBy(F.lit(0)).orderBy(F.desc("c"))).alias("reach"))
+    found = run.where(F.col("reach") <= most).agg(F.min("c").alias("c")).first()["c"]
+    return found if found is not None else (1 << 62)
+
+
 def _ids(texts: list[bytes], index: dict[bytes, int], rare: int, end: int) -> np.ndarray:
     """Ids of all tokens of the texts in a row, an end after each text."""
     out: list[int] = []
@@ -144,9 +155,11 @@ class BrownModel:
         self.counts = counts
         total = counts.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n"), F.count("*").alias("v")).first()
         self.tokens, self.vocabulary = int(total["n"]), int(total["v"])
-        top = counts.where(F.col("word") != F.lit(END)).orderBy(F.desc("c"), "word").limit(known).toArrow()
-        self.words = [bytes(w) for w in top.column("word").to_pylist()]
-        seen = np.array(top.column("c").to_pylist(), np.float64)
+        words = counts.where(F.col("word") != F.lit(END))
+        top = words.where(F.col("c") >= least_count(words, known)).toArrow()
+        first = sorted(zip((-c for c in top.column("c").to_pylist()), map(bytes, top.column("word").to_pylist()), strict=True))
+        self.words = [w for _, w in first]
+        seen = np.array([-c for c, _ in first], np.float64)
         ends = counts.where(F.col("word") == F.lit(END)).first()
         ends = int(ends["c"]) if ends else 0
         head = min(clustered, len(self.words))
