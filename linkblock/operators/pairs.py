@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from linkblock.operators import bands
+from linkblock.runtime import settle
 
 
 def all_pairs(df: DataFrame, id_col: str, max_rows: int = 5_000) -> DataFrame:
@@ -21,10 +22,11 @@ def from_keys(df: DataFrame, id_col: str, keys: Column, cap: int | None = None)
 
     Each row carries all its keys; a pair is emitted only in the first table
     whose keys agree, which needs no distinct over pairs. Buckets of one row
-    are dropped by a count before the join. Buckets over cap make no pairs
+    are dropped by a count before the join. The keys (8 bytes a table and row)
+    are written once, as they are read three times and cost much to make. Buckets over cap make no pairs
     here; they are returned for split_large() instead of being lost.
     """
-    rows = df.select(F.col(id_col).alias("id"), keys.alias("ks")).where("ks IS NOT NULL")
+    rows = settle(df.select(F.col(id_col).alias("id"), keys.alias("ks")).where("ks IS NOT NULL"))
     exploded = rows.select("id", "ks", F.posexplode("ks").alias("table_no", "bucket_key"))
     sizes = exploded.groupBy("table_no", "bucket_key").agg(F.count("*").alias("n")).where("n > 1")
     large = sizes.where(F.col("n") > cap) if cap else sizes.limit(0)

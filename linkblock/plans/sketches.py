@@ -13,6 +13,7 @@ from linkblock.operators import bands, cluster, measures, pairs, rules, sketch,
 from linkblock.plans import query
 from linkblock.plans import sqltext as S
 from linkblock.plans.texts import ALIKE, GRAM, doc_bag, doc_sets, doc_truth, docs
+from linkblock.runtime import settle
 
 K, TABLES = 4, 20
 B = K * TABLES
@@ -197,7 +198,7 @@ def fast_sketch_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query(f"{_G}, {S.doc_truth(ALIKE)}, {_FAST}, {_probe_pairs(K, TABLES, 'p')} SELECT method, n_pairs, recall, rr, prec FROM ({S.quality('weighted', 'pairs_w', 'doc_truth', _N)} UNION ALL {S.quality('plain', 'pairs_p', 'doc_truth', _N)})")
 def weighted_vs_plain(spark: SparkSession, sf_dir: str) -> DataFrame:
-    truth, rows = doc_truth(spark, sf_dir), docs(spark, sf_dir)
+    truth, rows = settle(doc_truth(spark, sf_dir)), docs(spark, sf_dir)
     weighted = pairs.from_signatures(weighted_sets(spark, sf_dir).select("rec_id", fast_signature(F.col("c")).alias("sig")), "rec_id", F.col("sig"), K, TABLES)
     made = measures.quality(weighted, truth, rows, "weighted").unionByName(measures.quality(band_pairs_docs(spark, sf_dir), truth, rows, "plain"))
     return made.select("method", "n_pairs", "recall", "rr", "prec")
@@ -239,7 +240,7 @@ def cluster_library(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query()
 def cluster_size_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Quality and block sizes as the mean block size is set to 10, 50 and 250."""
-    v, truth, n = _vectors(spark, sf_dir), doc_truth(spark, sf_dir), docs(spark, sf_dir).count()
+    v, truth, n = settle(_vectors(spark, sf_dir)), settle(doc_truth(spark, sf_dir)), docs(spark, sf_dir).count()
     rows = []
     for size in (10, 50, 250):
         c = cluster.clusters_for(n, size)
@@ -257,7 +258,7 @@ def cluster_size_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
        "SELECT method, n_pairs, recall, round(1 - recall, 6) AS split, rr, prec FROM (" + " UNION ALL ".join(f"({S.quality(m, t, 'doc_truth', _N)})" for m, t in (("exact_fields", "p_ls"), ("classic_minhash", "p_mh"), ("one_pass_rotate", "p_rot"), ("one_pass_probe", "pairs_p"), ("weighted", "pairs_w"))) + ")")
 def method_comparison(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Five methods on the same documents and truth; which wins is what comes out, not what is asserted."""
-    truth, rows, sets = doc_truth(spark, sf_dir), docs(spark, sf_dir), doc_sets(spark, sf_dir)
+    truth, rows, sets = settle(doc_truth(spark, sf_dir)), docs(spark, sf_dir), settle(doc_sets(spark, sf_dir))
     sig = lambda c: pairs.from_signatures(sets.select("rec_id", c.alias("sig")), "rec_id", F.col("sig"), K, TABLES)
     h = F.col("h")
     made = [

@@ -98,3 +98,25 @@ def stream_incremental_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     arriving = spark.readStream.schema(stored.schema).option("pathGlobFilter", "*.parquet").parquet(f"{sf_dir}/documents.parquet*")
     found = buckets(arriving.where("doc_id % 2 = 1")).join(index, ["table_no", "bucket_key"]).select("indexed_id", F.col("rec_id").alias("new_id"))
     return to_end(found, spark, "pairs", "append").distinct()
+
+
+@query("SELECT user_id, count(*) AS n, round(max(value), 6) AS most FROM events GROUP BY user_id")
+def stream_user_state(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A running count and maximum of each user kept as custom state; the last row of each user is the batch answer.
+
+    A user's rows of a batch come in Arrow chunks, so a busy user needs no more memory than a quiet one.
+    """
+    import pandas as pd
+    from pyspark.sql.streaming.state import GroupStateTimeout
+
+    def step(key, chunks, state):
+        n, most = state.get if state.exists else (0, float("-inf"))
+        for rows in chunks:
+            n, most = n + len(rows), max(most, float(rows["value"].max()))
+        state.update((n, most))
+        yield pd.DataFrame({"user_id": [key[0]], "n": [n], "most": [most]})
+
+    rows = event_stream(spark, sf_dir).select("user_id", "value")
+    made = rows.groupBy("user_id").applyInPandasWithState(step, "user_id bigint, n bigint, most double", "n bigint, most double", "update", GroupStateTimeout.NoTimeout)
+    last = to_end(made, spark, "users", "update").groupBy("user_id").agg(F.max("n").alias("n"), F.max("most").alias("most"))
+    return last.select("user_id", "n", F.round("most", 6).alias("most"))
