@@ -15,7 +15,7 @@ returns a spanning forest of the links it found instead of all pairs.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -197,7 +197,7 @@ def _links(radius: int, width: int):
 
 
 def links(parts: DataFrame, radius: int, width: int, block: int = BLOCK) -> DataFrame:
-    """(a, b) binary: links within radius between fingerprints that share a cell, enough to keep all components.
+    """(a, b) binary: links within radius between fingerprints that share a cell, enough to keep all components; some come more than once.
 
     parts: (cell bigint, fp binary), each fingerprint once a cell. A cell with
     over `block` rows is cut in chunks, and every two chunks meet in a cell of
@@ -208,7 +208,7 @@ def links(parts: DataFrame, radius: int, width: int, block: int = BLOCK) -> Data
     own = F.pmod(F.xxhash64("fp"), F.col("chunks")).cast("int")
     meetings = F.transform(F.sequence(F.lit(0), F.col("chunks") - 1), lambda j: F.xxhash64(F.col("cell"), F.least(own, j), F.greatest(own, j)))
     cells = dealt.select(F.explode(F.when(F.col("chunks").isNull(), F.array("cell")).otherwise(meetings)).alias("cell"), "fp")
-    return cells.repartition("cell").sortWithinPartitions("cell").mapInArrow(_links(radius, width), "a binary, b binary").distinct()
+    return cells.repartition("cell").sortWithinPartitions("cell").mapInArrow(_links(radius, width), "a binary, b binary")
 
 
 def part_cells(fp: Column, radius: int = RADIUS) -> Column:
@@ -228,12 +228,23 @@ def mark_cells(marks: Column) -> Column:
     return F.array(*(F.xxhash64(F.lit(t), *(marks[g] for g in own)) for t, own in enumerate(table_groups())))
 
 
-def _components(classes: DataFrame, cells: Column, radius: int, width: int) -> DataFrame:
-    """(fp, component_id) for classes (fp binary, least, ...): the least id over each component of links."""
+def as_number(fp: Column) -> Column:
+    """The bigint whose 8 bytes, greatest first, fp is."""
+    return F.conv(F.hex(fp), 16, -10).cast("bigint")
+
+
+def _components(classes: DataFrame, cells: Column, radius: int, width: int, node: Callable[[Column], Column]) -> DataFrame:
+    """(node, component_id) for classes (fp binary, least, ...): the least id over each component of links.
+
+    node makes a bigint of a fingerprint: components are found on 8 bytes a
+    node, not on the fingerprints.
+    """
     found = links(classes.select(F.explode(cells).alias("cell"), "fp"), radius, width)
-    roots = connected_components(found, "a", "b")
-    linked = classes.select("fp", "least").join(roots, F.col("fp") == F.col("node"), "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
-    return linked.join(linked.groupBy("root").agg(F.min("least").alias("component_id")), "root").select("fp", "component_id")
+    edges = found.select(node(F.col("a")).alias("a"), node(F.col("b")).alias("b"))
+    roots = connected_components(edges, "a", "b")
+    own = classes.select(node(F.col("fp")).alias("own"), "least")
+    linked = own.join(roots, F.col("own") == F.col("node"), "left").select("own", "least", F.coalesce("root", "own").alias("root"))
+    return linked.join(linked.groupBy("root").agg(F.min("least").alias("component_id")), "root").select(F.col("own").alias("node"), "component_id")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS) -> DataFrame:
@@ -245,21 +256,22 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     """
     marked = settle(fingerprints(docs, id_col, text_col))
     classes = marked.groupBy("fp").agg(F.min("doc_id").alias("least")).select(F.col("fp").alias("number"), F.unhex(hex_digits(F.col("fp"))).alias("fp"), "least")
-    named = _components(classes, part_cells(F.col("number"), radius), radius, BITS // 8)
-    return marked.join(named.select(F.conv(F.hex("fp"), 16, -10).cast("bigint").alias("fp"), "component_id"), "fp").select("doc_id", "fp", "component_id")
+    named = _components(classes, part_cells(F.col("number"), radius), radius, BITS // 8, as_number)
+    return marked.join(named, F.col("fp") == F.col("node")).select("doc_id", "fp", "component_id")
 
 
 def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = WIDE_RADIUS) -> DataFrame:
     """(doc_id, component_id) for every row, over texts whose sets of five-word shingles are alike to 0.8 and more.
 
     Similarity is read off the distance of wide fingerprints; candidates share
-    a key made of their largest counters. Nulls, empty texts, repeated rows
-    and empty tables as in near_duplicates().
+    a key made of their largest counters. A fingerprint is known by a 64-bit
+    hash where components are found. Nulls, empty texts, repeated rows and
+    empty tables as in near_duplicates().
     """
     marked = settle(per_document(narrow(docs, id_col, text_col), wide_fingerprint, "doc_id bigint, fp binary, marks array<int>"))
     classes = marked.groupBy("fp").agg(F.min("doc_id").alias("least"), F.first("marks").alias("marks"))
-    named = _components(classes, mark_cells(F.col("marks")), radius, WIDE_BITS // 8)
-    return marked.select("doc_id", "fp").join(named, "fp").select("doc_id", "component_id")
+    named = _components(classes, mark_cells(F.col("marks")), radius, WIDE_BITS // 8, F.xxhash64)
+    return marked.select("doc_id", F.xxhash64("fp").alias("node")).join(named, "node").select("doc_id", "component_id")
 
 
 def hex_digits(fp: Column) -> Column:
