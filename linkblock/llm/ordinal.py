@@ -114,10 +114,14 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     chosen = graded(labels).orderBy(F.xxhash64(F.col("doc_id").cast("string")), "doc_id").limit(sample)
     mine = narrow(docs, id_col, text_col).join(F.broadcast(chosen), "doc_id")  # at most `sample` rows
     found = per_document(mine, lambda raw: (features(raw).tolist(),), "doc_id bigint, grade int, ids array<int>", "grade")
-    rows = found.limit(4 * sample).toArrow()
-    order = np.lexsort([[len(x) for x in rows.column("ids").to_pylist()], rows.column("doc_id").to_numpy()]) if rows.num_rows else []
-    ids, grades = rows.column("ids"), rows.column("grade").to_pylist()
-    return train([(np.array(ids[i].as_py(), np.int32), grades[i]) for i in order])
+    rows = found.limit(4 * sample).toArrow().combine_chunks()
+    if not rows.num_rows:
+        return train([])
+    lists = rows.column("ids").chunk(0)
+    starts, values = lists.offsets.to_numpy(), lists.values.to_numpy()
+    grades = rows.column("grade").to_pylist()
+    order = np.lexsort([np.diff(starts), rows.column("doc_id").to_numpy()])
+    return train([(values[starts[i] : starts[i + 1]], grades[i]) for i in order])
 
 
 def judge_documents(docs: DataFrame, model: OrdinalModel, id_col: str = "doc_id", text_col: str = "text", tail: int = TAIL) -> DataFrame:
