@@ -11,6 +11,9 @@ Rows with equal fingerprints meet before all this and go on as one. A part
 value shared by more than BLOCK fingerprints is dealt in pairs of chunks over
 many tasks, so no group of near copies lands in one of them. Each comparison
 returns a spanning forest of the links it found instead of all pairs.
+
+Near copies go by the Jaccard similarity of sets of shingles: keys made of
+least hashes bring candidates together, and the sets decide.
 """
 
 from __future__ import annotations
@@ -37,12 +40,22 @@ PACK = 512
 #: Cells with over BLOCK rows are known by name to every task if there are at most so many.
 BROADCAST_ROWS = 50_000
 
-#: Near copies: shingles of WIDE_SHINGLE words, WIDE_BITS bits. Texts of Jaccard similarity 0.8 have
-#: counts at an angle of acos(2*0.8/1.8), so 15 % of their bits differ on average; WIDE_RADIUS leaves
-#: room for chance on top (found by measuring pairs of known similarity: over 0.99 of those of 0.8 and more).
-WIDE_SHINGLE, WIDE_BITS, WIDE_RADIUS = 5, 512, 88
-#: A key is the largest counters (place and sign) of KEY_GROUPS of the groups of GROUP counters; TABLES keys a text.
-GROUP, KEY_GROUPS, TABLES = 8, 4, 32
+#: Near copies: sets of shingles of WIDE_SHINGLE words whose Jaccard similarity is at least SIMILAR[0] / SIMILAR[1].
+WIDE_SHINGLE, SIMILAR = 5, (4, 5)
+#: A key is KEY_MINS minima of the shingles' hashes, TABLES keys a text. Two texts of similarity s, however long, share
+#: none with probability (1 - s**6)**64: under 4e-9 from 0.8 on. Keys only choose which texts are compared.
+KEY_MINS, TABLES = 6, 64
+#: Candidates are compared in cells of at most two chunks of so many sets.
+CHUNK = 256
+#: Candidates are known by name to every task if there are at most so many.
+BROADCAST_SETS = 500_000
+#: Sets that meet in so small a group are compared pair by pair, others by a matrix of so many shingles at a time.
+BY_PAIR, COLUMNS = 12, 2048
+
+_RNG = np.random.default_rng(7)
+_FACTORS = _RNG.integers(0, 1 << 31, KEY_MINS * TABLES, dtype=np.uint32) * np.uint32(2) + np.uint32(1)
+_MIX = _RNG.integers(0, 1 << 63, KEY_MINS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+_TABLE = _RNG.integers(0, 1 << 63, TABLES, dtype=np.uint64)
 
 
 def _shingle_hashes(raw: bytes, size: int, seed: int) -> np.ndarray:
@@ -70,19 +83,65 @@ def fingerprint(raw: bytes, size: int = SHINGLE, seed: int = SEED) -> int:
     return int(np.packbits(2 * _ones(hashes) > len(hashes), bitorder="little").view(np.int64)[0])
 
 
-def wide_fingerprint(raw: bytes, size: int = WIDE_SHINGLE, bits: int = WIDE_BITS) -> tuple[bytes, list[int]]:
-    """SimHash of the set of a text's shingles over more bits, and the place and sign of each group's largest counter."""
-    hashes = np.unique(_shingle_hashes(raw, size, SEED))
-    sums = []
-    for i in range(bits // BITS):
-        x = hashes * np.uint64(0x9E3779B97F4A7C15) + np.uint64((i + 1) * 0xD1B54A32D192ED03 % (1 << 64))
-        x = (x ^ x >> np.uint64(31)) * np.uint64(0xBF58476D1CE4E5B9)
-        sums.append(2 * _ones(x ^ x >> np.uint64(29)) - len(hashes))
-    counters = np.concatenate(sums)
-    grouped = counters.reshape(-1, GROUP)
-    place = np.abs(grouped).argmax(axis=1)
-    marks = 2 * place + (grouped[np.arange(len(grouped)), place] > 0)
-    return np.packbits(counters > 0, bitorder="little").tobytes(), marks.tolist()
+def shingle_set(raw: bytes, size: int = WIDE_SHINGLE) -> np.ndarray:
+    """Sorted hashes of a text's distinct shingles; a shorter text is one shingle, one without words has none."""
+    return np.unique(_shingle_hashes(raw, size, SEED))
+
+
+def set_node(hashes: np.ndarray) -> int:
+    """What a set of shingles is known by: a signed 64-bit hash."""
+    return xxhash.xxh3_64_intdigest(hashes.tobytes()) - (1 << 63)
+
+
+def min_keys(hashes: np.ndarray) -> np.ndarray:
+    """A key for each table from the least of the shingles' hashes under KEY_MINS orders."""
+    short, least = (hashes >> np.uint64(32)).astype(np.uint32), np.full(len(_FACTORS), (1 << 32) - 1, np.uint32)
+    for at in range(0, len(short), 256):
+        np.minimum(least, (short[at : at + 256, None] * _FACTORS).min(axis=0), out=least)
+    x = (least.reshape(TABLES, KEY_MINS).astype(np.uint64) * _MIX).sum(axis=1, dtype=np.uint64) + _TABLE
+    x = (x ^ x >> np.uint64(31)) * np.uint64(0xBF58476D1CE4E5B9)
+    return (x ^ x >> np.uint64(29)).view(np.int64)
+
+
+def alike(shared: np.ndarray | int, a: np.ndarray | int, b: np.ndarray | int) -> np.ndarray | bool:
+    """Whether sets of a and b shingles of which so many are shared are similar enough; in whole numbers."""
+    return (SIMILAR[0] + SIMILAR[1]) * shared >= SIMILAR[0] * (a + b)
+
+
+def set_forest(sets: list[np.ndarray]) -> np.ndarray:
+    """For each set the index of the least one in its component of links of Jaccard similarity SIMILAR and more."""
+    n, label = np.array([len(x) for x in sets]), np.arange(len(sets))
+    if len(sets) <= BY_PAIR:
+        for j in range(1, len(sets)):
+            for i in range(j):
+                # The shared shingles are at most the smaller set.
+                if label[i] != label[j] and alike(min(n[i], n[j]), n[i], n[j]):
+                    both = np.sort(np.concatenate([sets[i], sets[j]]))
+                    if alike(np.count_nonzero(both[1:] == both[:-1]), n[i], n[j]):
+                        label[(label == label[i]) | (label == label[j])] = min(label[i], label[j])
+        return label
+    _, column, times = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    row, often = np.repeat(np.arange(len(sets)), n), times > 1
+    place = np.cumsum(often) - 1
+    row, column = row[often[column]], place[column[often[column]]]
+    order = np.argsort(column, kind="stable")
+    row, column = row[order], column[order]
+    shared = np.zeros((len(sets), len(sets)))
+    cuts = np.searchsorted(column, np.arange(0, often.sum() + COLUMNS, COLUMNS))
+    for k, (a, b) in enumerate(zip(cuts, cuts[1:], strict=False)):
+        part = np.zeros((len(sets), COLUMNS), np.float32)
+        part[row[a:b], column[a:b] - k * COLUMNS] = 1
+        shared += part @ part.T
+    a, b = np.nonzero(np.triu(alike(shared, n[:, None], n[None, :]), 1))
+    while a.size:
+        low = np.minimum(label[a], label[b])
+        np.minimum.at(label, label[a], low)
+        np.minimum.at(label, label[b], low)
+        while (label != label[label]).any():
+            label = label[label]
+        apart = label[a] != label[b]
+        a, b = a[apart], b[apart]
+    return label
 
 
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -217,17 +276,6 @@ def part_cells(fp: Column, radius: int = RADIUS) -> Column:
     return F.array(*(F.xxhash64(F.lit(i), F.shiftrightunsigned(fp, a).bitwiseAND(F.lit((1 << (b - a)) - 1))) for i, (a, b) in enumerate(zip(cuts, cuts[1:], strict=False))))
 
 
-def table_groups(groups: int = WIDE_BITS // GROUP, tables: int = TABLES, size: int = KEY_GROUPS) -> list[list[int]]:
-    """Which groups make up each table's key; the same in every run."""
-    rng = np.random.default_rng(7)
-    return [sorted(rng.choice(groups, size, replace=False).tolist()) for _ in range(tables)]
-
-
-def mark_cells(marks: Column) -> Column:
-    """array<bigint>: a cell for each table's key."""
-    return F.array(*(F.xxhash64(F.lit(t), *(marks[g] for g in own)) for t, own in enumerate(table_groups())))
-
-
 def as_number(fp: Column) -> Column:
     """The bigint whose 8 bytes, greatest first, fp is."""
     return F.conv(F.hex(fp), 16, -10).cast("bigint")
@@ -260,30 +308,112 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     return marked.join(named, F.col("fp") == F.col("node")).select("doc_id", "fp", "component_id")
 
 
-def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = WIDE_RADIUS) -> DataFrame:
-    """(doc_id, component_id) for every row, over texts whose sets of five-word shingles are alike to 0.8 and more.
-
-    Similarity is read off the distance of wide fingerprints; candidates share
-    a key made of their largest counters. A fingerprint is known by a 64-bit
-    hash where components are found. Nulls, empty texts, repeated rows and
+def _stars(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows (cell, node) sorted by cell in; each node of a cell with the first one out."""
+    last, head = None, 0
+    for b in batches:
+        cell, node = b.column("cell").to_numpy(), b.column("node").to_numpy()
+        if not len(cell):
+            continue
+        new = np.r_[last is None or cell[0] != last, cell[1:] != cell[:-1]]
+        at = np.maximum.accumulate(np.where(new, np.arange(len(cell)), -1))
+        first = np.where(at < 0, head, node[at])
+        last, head = cell[-1], first[-1]
+        apart = np.flatnonzero(first != node)
+        yield pa.RecordBatch.from_arrays([pa.array(node[apart]), pa.array(first[apart])], names=["a", "b"])
+
+
+def _send_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows (text, node, cells) in; the set of shingles for each cell out, once a task."""
+    sent: set[int] = set()
+    for whole in batches:
+        for at in range(0, whole.num_rows, 256):
+            part, rows = whole.slice(at, 256), []
+            for text, node, cells in zip(part.column("text").to_pylist(), part.column("node").to_pylist(), part.column("cells").to_pylist(), strict=True):
+                if node not in sent:
+                    hashes = shingle_set(text)
+                    if set_node(hashes) == node:
+                        sent.add(node)
+                        rows += [(cell, node, hashes.tobytes()) for cell in cells]
+            for start in range(0, len(rows), 256):
+                cell, node, hashes = zip(*rows[start : start + 256], strict=True)
+                yield pa.RecordBatch.from_arrays([pa.array(cell, pa.int64()), pa.array(node, pa.int64()), pa.array(hashes, pa.binary())], names=["cell", "node", "hashes"])
+
+
+def _confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows (cell, node, hashes) sorted by cell in; links (a, b) between sets that are alike out."""
+    now, held = None, {}
+
+    def compare() -> Iterator[pa.RecordBatch]:
+        nodes = np.array(sorted(held), np.int64)
+        low = set_forest([held[x] for x in nodes.tolist()])
+        moved = np.flatnonzero(low != np.arange(len(nodes)))
+        if moved.size:
+            yield pa.RecordBatch.from_arrays([pa.array(nodes[moved]), pa.array(nodes[low[moved]])], names=["a", "b"])
+
+    for b in batches:
+        for cell, node, hashes in zip(b.column("cell").to_pylist(), b.column("node").to_pylist(), b.column("hashes"), strict=True):
+            if cell != now:
+                if len(held) > 1:
+                    yield from compare()
+                now, held = cell, {}
+            held[node] = np.frombuffer(hashes.as_buffer(), np.uint64).copy()
+    if len(held) > 1:
+        yield from compare()
+
+
+def _near_groups(docs: DataFrame, id_col: str, text_col: str) -> tuple[DataFrame, DataFrame]:
+    """(rows: doc_id, text_key, node), (classes: node, group, least): least is the (void, doc_id, text_key) to keep of the group.
+
+    Texts with equal sets are one node. Nodes that share a key make candidate
+    components; within each, every two sets are compared, a component of over
+    CHUNK sets in pairs of chunks over many tasks, and links are what is alike.
+    """
+    own = narrow(docs, id_col, text_col).withColumn("text_key", F.xxhash64(F.coalesce("text", F.lit(""))))
+
+    def work(raw: bytes) -> tuple[int, list[int]]:
+        hashes = shingle_set(raw)
+        return set_node(hashes), min_keys(hashes).tolist()
+
+    marked = settle(per_document(own, work, "doc_id bigint, text_key bigint, node bigint, cells array<bigint>", "text_key"))
+    cells = marked.groupBy("node").agg(F.first("cells").alias("cells")).select(F.explode("cells").alias("cell"), "node")
+    candidates = connected_components(cells.repartition("cell").sortWithinPartitions("cell").mapInArrow(_stars, "a bigint, b bigint"), "a", "b")
+    large = candidates.groupBy("root").agg(F.count("*").alias("n")).where(F.col("n") > CHUNK).select("root", F.ceil(F.col("n") / CHUNK).cast("int").alias("chunks"))
+    mine = F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int")
+    meetings = F.transform(F.sequence(F.lit(0), F.col("chunks") - 1), lambda j: F.xxhash64(F.col("root"), F.least(mine, j), F.greatest(mine, j)))
+    dealt = candidates.join(large, "root", "left").select("node", F.when(F.col("chunks").isNull(), F.array("root")).otherwise(meetings).alias("cells"))
+    wanted = settle(dealt.join(marked.groupBy("node").agg(F.min("text_key").alias("text_key")), "node"))
+    texts = own.select("text_key", F.coalesce("text", F.lit("")).cast("binary").alias("text"))
+    sent = texts.join(F.broadcast(wanted) if wanted.count() <= BROADCAST_SETS else wanted, "text_key").select("text", "node", "cells").mapInArrow(_send_sets, "cell bigint, node bigint, hashes binary")
+    roots = connected_components(sent.repartition("cell").sortWithinPartitions("cell").mapInArrow(_confirm, "a bigint, b bigint"), "a", "b")
+    least = F.min(F.struct(F.col("doc_id").isNull().alias("void"), "doc_id", "text_key"))
+    linked = marked.groupBy("node").agg(least.alias("least")).join(roots, "node", "left").select("node", F.coalesce("root", "node").alias("group"), "least")
+    return marked.select("doc_id", "text_key", "node"), linked
+
+
+def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(doc_id, component_id) for every row: components of texts whose sets of five-word shingles have a Jaccard similarity of 0.8 and more.
+
+    Every link is confirmed on the sets themselves; keys of minima only bring
+    candidates together (see TABLES for what they can miss). A set is known by
+    a 64-bit hash, as is each shingle. Nulls, empty texts, repeated rows and
     empty tables as in near_duplicates().
     """
-    marked = settle(per_document(narrow(docs, id_col, text_col), wide_fingerprint, "doc_id bigint, fp binary, marks array<int>"))
-    classes = marked.groupBy("fp").agg(F.min("doc_id").alias("least"), F.first("marks").alias("marks"))
-    named = _components(classes, mark_cells(F.col("marks")), radius, WIDE_BITS // 8, F.xxhash64)
-    return marked.select("doc_id", F.xxhash64("fp").alias("node")).join(named, "node").select("doc_id", "component_id")
+    rows, linked = _near_groups(docs, id_col, text_col)
+    named = linked.join(linked.groupBy("group").agg(F.min("least")["doc_id"].alias("component_id")), "group").select("node", "component_id")
+    return rows.select("doc_id", "node").join(named, "node").select("doc_id", "component_id")
 
 
 def hex_digits(fp: Column) -> Column:
     return F.lpad(F.lower(F.hex(fp)), 16, "0")
 
 
-def one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = WIDE_RADIUS) -> DataFrame:
+def one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Rows of docs, one for each group of near copies: that of the least id.
 
     Rows that share an id count as one. A row without an id stays only where
     its group has no id at all.
     """
-    found = near_copies(docs, id_col, text_col, radius).where("doc_id <=> component_id").select(F.col("doc_id").alias("_kept_id")).distinct()
+    found = near_copies(docs, id_col, text_col).where("doc_id <=> component_id").select(F.col("doc_id").alias("_kept_id")).distinct()
     kept = docs.join(found, docs[id_col].cast("bigint").eqNullSafe(found["_kept_id"]), "left_semi")
     return kept.dropDuplicates([id_col])

@@ -97,6 +97,31 @@ def test_near_copies_catch_planted_ones_and_leave_the_rest(spark):
     assert all(group[c] == group[i] for i, c in got.items())
 
 
+def test_near_copies_equal_brute_force_jaccard(spark):
+    """Pairs of exactly 0.80 and next below it, short and long, and a group over a chunk; no link is missed or added."""
+    rng = np.random.default_rng(6)
+    fresh = iter(range(10**9))
+    words = lambda n: [f"n{next(fresh)}" for _ in range(n)]
+    texts, want = [], []
+    for shared, more in [(4, 1), (8, 2), (12, 3), (3, 1), (7, 2), (36, 9), (35, 9), (400, 100), (399, 100), (2400, 600), (2398, 600)]:
+        for _ in range(12):
+            body = words(shared + 4)
+            first, second = more // 2, more - more // 2
+            texts += [" ".join(body + words(first)), " ".join(body + words(second))]
+            want.append(shared / (shared + more) >= 0.8)
+    body = words(60)
+    group = [" ".join(body[: int(rng.integers(40, 61))]) for _ in range(300)] + [" ".join(body[:56] + words(int(n))) for n in rng.integers(0, 25, 400)]
+    df = spark.createDataFrame(list(enumerate(texts + group)), "doc_id bigint, text string")
+    got = [r.component_id for r in simhash.near_copies(df).orderBy("doc_id").collect()]
+    assert [got[2 * i] == got[2 * i + 1] for i in range(len(want))] == want
+    sets = [{tuple(w[i : i + 5]) for i in range(len(w) - 4)} for w in map(str.split, group)]
+    near = np.array([[5 * len(a & b) >= 4 * len(a | b) for b in sets] for a in sets])
+    root = np.arange(len(sets))
+    while (new := np.array([root[x].min() for x in near])).tolist() != root.tolist():
+        root = new
+    assert got[len(texts) :] == [len(texts) + x for x in root.tolist()]
+
+
 def test_one_of_each_keeps_the_least_id(spark, odd):
     out = simhash.one_of_each(odd)
     assert out.columns == odd.columns
