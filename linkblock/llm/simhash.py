@@ -411,9 +411,14 @@ def hex_digits(fp: Column) -> Column:
 def one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Rows of docs, one for each group of near copies: that of the least id.
 
-    Rows that share an id count as one. A row without an id stays only where
-    its group has no id at all.
+    A group without any id keeps one row too. Rows that share an id but not a
+    group are kept for each group; of rows of one id in a group that of the
+    least text hash, and of rows equal in both any one.
     """
-    found = near_copies(docs, id_col, text_col).where("doc_id <=> component_id").select(F.col("doc_id").alias("_kept_id")).distinct()
-    kept = docs.join(found, docs[id_col].cast("bigint").eqNullSafe(found["_kept_id"]), "left_semi")
-    return kept.dropDuplicates([id_col])
+    _, linked = _near_groups(docs, id_col, text_col)
+    kept = linked.groupBy("group").agg(F.min("least").alias("least")).select(F.col("least.doc_id").alias("_kept_id"), F.col("least.text_key").alias("_kept_key"))
+    text_key = F.xxhash64(F.coalesce(docs[text_col].cast("string"), F.lit("")))
+    keyed = docs.select(F.struct(*(docs[c] for c in docs.columns)).alias("row"), docs[id_col].cast("bigint").alias("_id"), text_key.alias("_key"))
+    # A text is in one group, so its hash names the group.
+    found = keyed.join(kept, keyed["_id"].eqNullSafe(kept["_kept_id"]) & (keyed["_key"] == kept["_kept_key"]), "left_semi").dropDuplicates(["_id", "_key"])
+    return found.select(*(F.col(f"row.`{c}`").alias(c) for c in docs.columns))

@@ -130,6 +130,13 @@ def test_one_of_each_keeps_the_least_id(spark, odd):
     assert (False, 6) in ids and (False, 7) not in ids and (False, 2) in ids and (False, 3) not in ids
 
 
+def test_one_of_each_keeps_a_row_for_each_group(spark):
+    a, b, c, d, e = (" ".join(f"{x}{i}" for i in range(40)) for x in "abcde")
+    rows = [(None, a, "1"), (None, b, "2"), (None, b, "3"), (None, c, "4"), (5, c, "5"), (7, d, "6"), (7, e, "7"), (7, e + " end", "8"), (9, c, "9"), (None, None, "10"), (None, "", "11")]
+    out = simhash.one_of_each(spark.createDataFrame(rows, "doc_id bigint, text string, source string")).collect()
+    assert keyed((r.doc_id, (r.text or " ")[0]) for r in out) == Counter([(None, "a"), (None, "b"), (5, "c"), (7, "d"), (7, "e"), (None, " ")])
+
+
 # URL filter
 
 
