@@ -110,17 +110,23 @@ def graded(labels: DataFrame, id_col: str = "doc_id", quality: str = "quality",
 
 
 def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", sample: int = SAMPLE) -> OrdinalModel:
-    """Train on the `sample` labelled ids with the least hash; their features, not their texts, meet the driver."""
+    """Train on the `sample` labelled ids with the least hash; their features, not their texts, meet the driver.
+
+    Of an id with several texts the one of the least hash is taken, so neither
+    repeated rows nor their order matter.
+    """
     chosen = graded(labels).orderBy(F.xxhash64(F.col("doc_id").cast("string")), "doc_id").limit(sample)
-    mine = narrow(docs, id_col, text_col).join(F.broadcast(chosen), "doc_id")  # at most `sample` rows
-    found = per_document(mine, lambda raw: (features(raw).tolist(),), "doc_id bigint, grade int, ids array<int>", "grade")
-    rows = found.limit(4 * sample).toArrow().combine_chunks()
+    mine = narrow(docs, id_col, text_col).join(F.broadcast(chosen), "doc_id")
+    text = F.coalesce("text", F.lit(""))
+    once = mine.groupBy("doc_id", "grade").agg(F.min_by(text, F.struct(F.xxhash64(text), text)).alias("text"))  # at most `sample` rows
+    found = per_document(once, lambda raw: (features(raw).tolist(),), "doc_id bigint, grade int, ids array<int>", "grade")
+    rows = found.toArrow().combine_chunks()
     if not rows.num_rows:
         return train([])
     lists = rows.column("ids").chunk(0)
     starts, values = lists.offsets.to_numpy(), lists.values.to_numpy()
     grades = rows.column("grade").to_pylist()
-    order = np.lexsort([np.diff(starts), rows.column("doc_id").to_numpy()])
+    order = np.argsort(rows.column("doc_id").to_numpy())
     return train([(values[starts[i] : starts[i + 1]], grades[i]) for i in order])
 
 

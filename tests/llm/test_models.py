@@ -184,6 +184,21 @@ def test_classifier_odd_rows(spark, odd, none):
     assert abs(ordinal.by_hand(model, raw) - float(model.weights[ordinal.features(raw)].sum())) < 1e-4
 
 
+def test_classifier_trains_on_one_row_of_an_id(spark):
+    rows = [(1, f"hot row {i}") for i in range(50)] + [(i, f"text {i % 3} of {i}") for i in range(2, 6)]
+    labels = spark.createDataFrame([(i, i % 2, 0) for i in range(1, 6)], "doc_id bigint, quality int, toxic int")
+    models, seen = [], []
+    real = ordinal.train
+    for order in (rows, rows[::-1]):
+        try:
+            ordinal.train = lambda got, *more: seen.append(len(got)) or real(got, *more)
+            models.append(ordinal.fit(spark.createDataFrame(order, "doc_id bigint, text string").repartition(3), labels, sample=5))
+        finally:
+            ordinal.train = real
+    assert seen == [5, 5]
+    assert (models[0].weights == models[1].weights).all() and (models[0].thresholds == models[1].thresholds).all()
+
+
 # mixing
 
 
