@@ -290,13 +290,32 @@ def json_props(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("SELECT a.vec_id AS id_lo, b.vec_id AS id_hi, round(list_dot_product(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 4) AS dot FROM embeddings a JOIN embeddings b ON a.label = b.label AND a.vec_id < b.vec_id WHERE a.vec_id % 100 = 0")
 def vector_inner(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Every hundredth vector against all later ones of its label: a stated query set."""
+    """Every hundredth vector against all later ones of its label, as its SQL states; vector_inner_all has every pair."""
     e = load(spark, sf_dir, "embeddings").select("vec_id", "label", F.col("embedding").cast("array<double>").alias("e"))
     a, b = e.where("vec_id % 100 = 0").select(F.col("vec_id").alias("id_lo"), "label", F.col("e").alias("x")), e.select(F.col("vec_id").alias("id_hi"), "label", F.col("e").alias("y"))
     dot = F.aggregate(F.zip_with("x", "y", lambda p, q: p * q), F.lit(0.0), lambda s, v: s + v)
     return a.join(b, "label").where("id_lo < id_hi").select("id_lo", "id_hi", F.round(dot, 4).alias("dot"))
 
 
+#: Vectors of a label that meet in one cell: at most about two blocks.
+_VECTORS = 512
+
+
+@query("SELECT a.vec_id AS id_lo, b.vec_id AS id_hi, round(list_dot_product(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 4) AS dot FROM embeddings a JOIN embeddings b ON a.label = b.label AND a.vec_id < b.vec_id")
+def vector_inner_all(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every pair within a label. A label of over _VECTORS rows is cut in blocks, and every two blocks meet in a cell of their own."""
+    e = load(spark, sf_dir, "embeddings").where("label IS NOT NULL").select("vec_id", "label", F.col("embedding").cast("array<double>").alias("e"))
+    sizes = e.groupBy("label").agg(F.ceil(F.count("*") / _VECTORS).cast("int").alias("blocks"))
+    own = e.join(F.broadcast(sizes), "label").withColumn("own", F.pmod(F.xxhash64("vec_id"), F.col("blocks")).cast("int"))
+    meets = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda j: F.struct(F.least("own", j).alias("i"), F.greatest("own", j).alias("j")))
+    dealt = own.select("vec_id", "label", "e", "own", F.explode(meets).alias("m")).select("vec_id", "label", "e", "own", "m.i", "m.j")
+    a = dealt.select(F.col("vec_id").alias("id_lo"), "label", "i", "j", F.col("e").alias("x"), F.col("own").alias("p"))
+    b = dealt.select(F.col("vec_id").alias("id_hi"), "label", "i", "j", F.col("e").alias("y"), F.col("own").alias("q"))
+    dot = F.aggregate(F.zip_with("x", "y", lambda p, q: p * q), F.lit(0.0), lambda s, v: s + v)
+    # Rows of one block share all its cells and are paired in the cell of the block with itself only.
+    return a.join(b, ["label", "i", "j"]).where("id_lo < id_hi AND (i = j OR p <> q)").select("id_lo", "id_hi", F.round(dot, 4).alias("dot"))
+
+
 _SIGNS = 8
 
 

@@ -321,3 +321,16 @@ def test_tuning_over_seeds(spark):
     rows = tuning.grid(df, truth, [(2, 8), (6, 2)], [1, 2, 3]).collect()
     by = {(r.k, r.l): r for r in rows}
     assert by[(2, 8)].recall >= by[(6, 2)].recall and by[(2, 8)].recall > 0.9
+
+
+def test_every_vector_pair_of_a_label_comes_once(spark, monkeypatch):
+    import __spark_entry__ as entry
+    from linkblock.plans import operators as plans
+
+    monkeypatch.setattr(plans, "_VECTORS", 20)
+    by_label = {}
+    for r in spark.read.parquet("/root/testdata/sf0.001/embeddings.parquet").collect():
+        by_label.setdefault(r.label, []).append(r.vec_id)
+    got = [(r.id_lo, r.id_hi) for r in entry.queries()["vector_inner_all"](spark, "/root/testdata/sf0.001").collect()]
+    want = {(a, b) for label, ids in by_label.items() if label is not None for a in ids for b in ids if a < b}
+    assert len(got) == len(want) and set(got) == want
