@@ -334,3 +334,18 @@ def test_every_vector_pair_of_a_label_comes_once(spark, monkeypatch):
     got = [(r.id_lo, r.id_hi) for r in entry.queries()["vector_inner_all"](spark, "/root/testdata/sf0.001").collect()]
     want = {(a, b) for label, ids in by_label.items() if label is not None for a in ids for b in ids if a < b}
     assert len(got) == len(want) and set(got) == want
+
+
+def test_idf_pairs_of_short_copies_stay(spark):
+    import __spark_entry__ as entry
+
+    sf = "/root/testdata/sf0.01"
+    docs = {r.doc_id: r.text for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
+    by_text = {}
+    for i, t in docs.items():
+        if t and len(t.split()) >= 10:
+            by_text.setdefault(t, []).append(i)
+    want = {(a, b) for ids in by_text.values() for a in ids for b in ids if a < b}
+    got = {(r.id_lo, r.id_hi): r.cosine for r in entry.queries()["idf_inner_docs_all"](spark, sf).collect()}
+    cut = {(r.id_lo, r.id_hi) for r in entry.queries()["idf_inner_docs"](spark, sf).collect()}
+    assert want <= set(got) and all(got[p] > 0.999 for p in want) and not want <= cut
