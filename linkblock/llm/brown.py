@@ -1,15 +1,20 @@
 """Class-based bigram language model with exchange clustering.
 
-Every training word is counted, in Spark. The CLUSTERED most frequent words
-are assigned to CLASSES classes by exchange: each word in turn moves to the
-class where the likelihood of class bigrams is greatest. All other words form
-one open class, the end of a text another. A word costs the transition from
-the class before it times its emission from its own class.
-
-What travels to the workers is bounded: counts of the KNOWN most frequent
-words and a class table. The counts of all rarer words stay distributed;
-rarer words of a text leave the scoring pass as (text, word, times) and meet
-their counts in a join, so every word is scored by its exact count.
+Every training word is counted, in Spark. The most frequent words (the head)
+are assigned to classes by exchange: each word in turn moves to the class
+where the likelihood of class bigrams is greatest. Every other word seen LEAST
+times or more then goes, in a distributed pass, to the class where the
+likelihood gains most by its neighbours; transitions are counted anew over all
+of them. The number of classes and the head grow with the cube root of the
+number of such words. Words seen less often form one open class, the end of a
+text another. A word costs the transition from the class before it times its
+emission from its own class.
+
+What travels to the workers is the KNOWN most frequent words and a table of
+ten bytes for each word with a class. The counts of words that aren't known
+stay distributed; such words of a text leave the scoring pass as (text, word,
+times) and meet their counts in a join, so every word is scored by its exact
+count.
 """
 
 from __future__ import annotations
@@ -28,6 +33,10 @@ from linkblock.llm.common import LOWER, as_bytes, narrow
 from linkblock.runtime import settle
 
 CLUSTERED, CLASSES, KNOWN, SWEEPS = 1000, 32, 200_000, 6
+#: Words seen so often have a class; for each class the head holds so many words at least.
+LEAST, HEAD = 2, 8
+#: Gains of neighbour counts up to this are looked up instead of computed.
+SMALL = 16
 #: Weight of the class's own share against the transitions seen from the class before.
 PRIOR = 20.0
 #: The end of a text, which no word can equal.
@@ -148,10 +157,137 @@ def exchange(pairs: np.ndarray, movable: int, classes: int = CLASSES, sweeps: in
     return of
 
 
+def _digest(word: bytes) -> int:
+    return xxhash.xxh3_64_intdigest(word) - (1 << 63)
+
+
+class WordClasses:
+    """Classes of tokens: known words by name, all others that have one by the hash of the word."""
+
+    def __init__(self, words: list[bytes], kinds: int):
+        self.words, self.rare, self.end = words, kinds - 2, kinds - 1
+        self.hashes = np.array([_digest(w) for w in words] + [0], np.int64)
+        self.known = np.r_[np.full(len(words), self.rare), self.end].astype(np.int32)
+        self.learn(np.zeros(0, np.int64), np.zeros(0, np.int16))
+
+    def learn(self, hashes: np.ndarray, classes: np.ndarray) -> None:
+        """Classes of words by their hashes; known words get theirs too."""
+        order = np.argsort(hashes)
+        self.tail, self.tail_class = hashes[order], classes[order]
+        if len(hashes):
+            found = self.by_hash(self.hashes[:-1])
+            self.known[:-1] = np.where(found == self.rare, self.known[:-1], found)
+
+    def by_hash(self, hashes: np.ndarray) -> np.ndarray:
+        if not len(self.tail):
+            return np.full(len(hashes), self.rare, np.int32)
+        at = np.minimum(np.searchsorted(self.tail, hashes), len(self.tail) - 1)
+        return np.where(self.tail[at] == hashes, self.tail_class[at], self.rare).astype(np.int32)
+
+    def index(self) -> dict[bytes, int]:
+        return {w: i for i, w in enumerate(self.words)}
+
+    def tokens(self, texts: list[bytes], index: dict[bytes, int]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(id, hash, class) of all tokens of the texts, an end after each; the id of a word that isn't known is -1."""
+        ids: list[int] = []
+        strange: list[int] = []
+        get, end = index.get, len(self.words)
+        for text in texts:
+            words = text.translate(LOWER).split()
+            own = [get(w, -1) for w in words]
+            strange += [_digest(w) for w, i in zip(words, own, strict=True) if i < 0]
+            ids += own
+            ids.append(end)
+        at = np.array(ids, np.int64)
+        hashes, kinds = self.hashes[at], self.known[at]
+        if strange:
+            unknown = at < 0
+            hashes[unknown] = np.array(strange, np.int64)
+            kinds[unknown] = self.by_hash(hashes[unknown])
+        return at, hashes, kinds
+
+
+def class_bigrams(texts: DataFrame, classes: WordClasses, kinds: int) -> np.ndarray:
+    """Counts of neighbouring classes."""
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        index, cells = classes.index(), np.zeros(kinds * kinds, np.int64)
+        for b in batches:
+            for at in range(0, b.num_rows, 1024):
+                _, _, of = classes.tokens(b.column("text").slice(at, 1024).to_pylist(), index)
+                cells += np.bincount(np.r_[classes.end, of[:-1]].astype(np.int64) * kinds + of, minlength=kinds * kinds)
+        used = np.flatnonzero(cells)
+        yield pa.RecordBatch.from_arrays([pa.array(used), pa.array(cells[used])], names=["cell", "n"])
+
+    found = texts.mapInArrow(run, "cell bigint, n bigint").groupBy("cell").agg(F.sum("n").alias("n")).toArrow()
+    cells = np.zeros(kinds * kinds, np.int64)
+    cells[found.column("cell").to_numpy()] = found.column("n").to_numpy()
+    return cells.reshape(kinds, kinds)
+
+
+def neighbours(texts: DataFrame, classes: WordClasses, head: int, kinds: int) -> DataFrame:
+    """(h, slot, n): how often words outside the head stand before (slot: class) and after (slot: kinds + class) each class."""
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        index = classes.index()
+        for b in batches:
+            for start in range(0, b.num_rows, 4096):
+                ids, hashes, of = classes.tokens(b.column("text").slice(start, 4096).to_pylist(), index)
+                at = np.flatnonzero((ids < 0) | (ids >= head) & (ids < len(classes.words)))
+                word, place = np.unique(hashes[at], return_inverse=True)
+                before, after = np.r_[classes.end, of[:-1]][at], of[np.minimum(at + 1, len(of) - 1)]
+                cell, n = np.unique(np.r_[place * 2 * kinds + after, place * 2 * kinds + kinds + before], return_counts=True)
+                yield pa.RecordBatch.from_arrays([pa.array(word[cell // (2 * kinds)]), pa.array((cell % (2 * kinds)).astype(np.int32)), pa.array(n.astype(np.int64))], names=["h", "slot", "n"])
+
+    return texts.mapInArrow(run, "h bigint, slot int, n bigint")
+
+
+def best_classes(table: np.ndarray, classes: int, least: int = LEAST):
+    """Assigns words to the class of greatest gain: rows (h, slot, n) sorted by h and slot in, (h, class, c) of words seen `least` times or more out.
+
+    The gain is that of exchange(), against the table of the head's classes.
+    """
+    kinds = len(table)
+    base = np.r_[table[:classes].T, table[:, :classes]].astype(np.float64)  # by slot: counts of each class with the neighbour
+    out, into = table.sum(axis=1)[:classes].astype(np.float64), table.sum(axis=0)[:classes].astype(np.float64)
+    small = np.stack([_phi(base + n) - _phi(base) for n in range(SMALL + 1)])
+
+    def assign(h: np.ndarray, slot: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
+        starts = np.flatnonzero(np.r_[True, h[1:] != h[:-1], True])
+        times = np.add.reduceat(np.where(slot < kinds, n, 0), starts[:-1])
+        kept = np.flatnonzero(times >= least)
+        rows = np.repeat(times >= least, np.diff(starts))
+        lengths = np.diff(starts)[kept]
+        slot, n, best = slot[rows], n[rows], np.zeros(len(kept), np.int16)
+        ends = np.cumsum(lengths)
+        for a in range(0, len(kept), 1024):
+            b = min(a + 1024, len(kept))
+            lo, hi = ends[a] - lengths[a], ends[b - 1]
+            s, k = slot[lo:hi], n[lo:hi]
+            gain = small[np.minimum(k, SMALL), s]
+            big = np.flatnonzero(k > SMALL)
+            gain[big] = _phi(base[s[big]] + k[big, None]) - _phi(base[s[big]])
+            total = np.add.reduceat(gain, ends[a:b] - lengths[a:b] - lo)
+            c = times[kept[a:b], None]
+            best[a:b] = (total - _phi(out + c) + _phi(out) - _phi(into + c) + _phi(into)).argmax(axis=1)
+        return pa.RecordBatch.from_arrays([pa.array(h[starts[kept]]), pa.array(best), pa.array(times[kept])], names=["h", "class", "c"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = [np.zeros(0, np.int64), np.zeros(0, np.int32), np.zeros(0, np.int64)]
+        for b in batches:
+            h, slot, n = (np.concatenate([x, b.column(i).to_numpy()]) for i, x in enumerate(held))
+            whole = np.searchsorted(h, h[-1]) if len(h) else 0
+            if whole:
+                yield assign(h[:whole], slot[:whole], n[:whole])
+            held = [h[whole:], slot[whole:], n[whole:]]
+        if len(held[0]):
+            yield assign(*held)
+
+    return run
+
+
 class BrownModel:
     """Trained tables; score() gives base and model log10 probabilities of texts."""
 
-    def __init__(self, counts: DataFrame, texts: DataFrame, clustered: int = CLUSTERED, classes: int = CLASSES, known: int = KNOWN, sweeps: int = SWEEPS, prior: float = PRIOR):
+    def __init__(self, counts: DataFrame, texts: DataFrame, clustered: int | None = None, classes: int | None = None, known: int = KNOWN, sweeps: int = SWEEPS, prior: float = PRIOR):
         self.counts = counts
         total = counts.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n"), F.count("*").alias("v")).first()
         self.tokens, self.vocabulary = int(total["n"]), int(total["v"])
@@ -162,7 +298,9 @@ class BrownModel:
         seen = np.array([-c for c, _ in first], np.float64)
         ends = counts.where(F.col("word") == F.lit(END)).first()
         ends = int(ends["c"]) if ends else 0
-        head = min(clustered, len(self.words))
+        if classes is None:
+            classes = max(CLASSES, math.ceil(np.cbrt(words.where(F.col("c") >= LEAST).count())))
+        head = min(max(CLUSTERED, HEAD * classes) if clustered is None else clustered, len(self.words))
         classes = max(1, min(classes, head))
         pairs = bigram_counts(texts, self.words[:head])
         self.of = exchange(pairs, head, classes, sweeps)
@@ -172,29 +310,40 @@ class BrownModel:
         rare, end = kinds - 2, kinds - 1
         table = np.zeros((kinds, kinds))
         np.add.at(table, (self.of[:, None], self.of[None, :]), pairs)
+        self.classes = WordClasses(self.words, kinds)
+        self.classes.known[:head] = self.of[:head]
+        mass = np.bincount(self.of[:head], seen[:head], minlength=kinds)
+        self.classed = head
+        if head:
+            met = neighbours(texts, self.classes, head, kinds).groupBy("h", "slot").agg(F.sum("n").alias("n"))
+            found = met.repartition("h").sortWithinPartitions("h", "slot").mapInArrow(best_classes(table, classes), "h bigint, class smallint, c bigint").toArrow()
+            hashes, of, times = (found.column(c).to_numpy() for c in ("h", "class", "c"))
+            self.classes.learn(hashes, of)
+            mass += np.bincount(of, times, minlength=kinds)
+            self.classed += len(of)
+            table = class_bigrams(texts, self.classes, kinds).astype(np.float64)
         share = (table.sum(axis=0) + 1) / (table.sum() + kinds)
         self.transition = np.log10((table + prior * share) / (table.sum(axis=1, keepdims=True) + prior))
-        mass = np.bincount(self.of[:head], seen[:head], minlength=kinds)
-        self.rare_mass = self.tokens - ends - float(seen[:head].sum())
-        self.rare_kinds = self.vocabulary - (ends > 0) - head
-        emission = np.empty(len(self.words))
-        emission[:head] = np.log10(seen[:head] / mass[self.of[:head]]) if head else 0
-        emission[head:] = np.log10((seen[head:] + 1) / (self.rare_mass + self.rare_kinds + 1))
+        self.mass = mass
+        self.rare_mass = self.tokens - ends - float(mass.sum())
+        self.rare_kinds = self.vocabulary - (ends > 0) - self.classed
+        own = self.classes.known[:-1]
+        emission = np.log10(np.where(own == rare, (seen + 1) / (self.rare_mass + self.rare_kinds + 1), seen / np.maximum(mass[own], 1)))
         #: By token id: the known words, any other word, the end.
-        self.class_of = np.r_[self.of[:head], np.full(len(self.words) - head, rare), rare, end].astype(np.int64)
         self.emission = np.r_[emission, 0.0, 0.0]
         self.base = np.log10((np.r_[seen, 0.0, ends] + 1) / (self.tokens + self.vocabulary + 1))
         self.base[-2] = 0.0
         self.ends = ends
 
     def _first_pass(self):
-        words, class_of, emission, base, transition = self.words, self.class_of, self.emission, self.base, self.transition
+        words, classes, emission, base, transition, mass = self.words, self.classes, self.emission, self.base, self.transition, self.mass
         end_known = int(self.ends > 0)
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            index = {w: i for i, w in enumerate(words)}
+            index = classes.index()
             other, end = len(words), len(words) + 1
-            last = class_of[end]
+            class_of = np.r_[classes.known[:-1], classes.rare, classes.end]
+            last = classes.end
             for whole in batches:
                 for at in range(0, whole.num_rows, 256):
                     part = whole.slice(at, 256)
@@ -205,25 +354,28 @@ class BrownModel:
                         kinds = class_of[ids]
                         key = xxhash.xxh3_64_intdigest(f"{doc_id} {len(text)} ".encode() + text) - (1 << 63)
                         unknown = np.flatnonzero(ids == other)
+                        if unknown.size:
+                            kinds[unknown] = classes.by_hash(np.array([_digest(tokens[i]) for i in unknown.tolist()], np.int64))
+                        of = {tokens[i]: float(mass[kinds[i]]) if kinds[i] != classes.rare else None for i in unknown.tolist()}
                         score = transition[np.r_[last, kinds[:-1]], kinds].sum() + emission[ids].sum()
-                        rows.append((key, doc_id, out, len(ids), int(len(ids) - 1 - len(unknown) + end_known), float(base[ids].sum()), float(score), None, None))
-                        rare += [(key, None, None, None, None, None, None, w, n) for w, n in Counter(tokens[i] for i in unknown.tolist()).items()]
+                        rows.append((key, doc_id, out, len(ids), int(len(ids) - 1 - len(unknown) + end_known), float(base[ids].sum()), float(score), None, None, None))
+                        rare += [(key, None, None, None, None, None, None, w, n, of[w]) for w, n in Counter(tokens[i] for i in unknown.tolist()).items()]
                     columns = list(zip(*(rows + rare), strict=True))
-                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.binary(), pa.int64()), strict=True)], names=["k", "doc_id", "held_out", "n_tokens", "n_known", "base_score", "score", "word", "n"])
+                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.binary(), pa.int64(), pa.float64()), strict=True)], names=["k", "doc_id", "held_out", "n_tokens", "n_known", "base_score", "score", "word", "n", "mass"])
 
         return run
 
     def score(self, docs: DataFrame) -> DataFrame:
         """docs: doc_id, held_out, text as bytes. One row each with n_tokens, n_known, train_tokens, base_score, score."""
-        passed = settle(docs.select("doc_id", "held_out", "text").mapInArrow(self._first_pass(), "k bigint, doc_id bigint, held_out boolean, n_tokens bigint, n_known bigint, base_score double, score double, word binary, n bigint"))
+        passed = settle(docs.select("doc_id", "held_out", "text").mapInArrow(self._first_pass(), "k bigint, doc_id bigint, held_out boolean, n_tokens bigint, n_known bigint, base_score double, score double, word binary, n bigint, mass double"))
         rare_counts = self.counts.select("word", "c")
         c = F.coalesce(F.col("c"), F.lit(0))
         rare = (
-            passed.where("word IS NOT NULL").select("k", "word", "n").join(rare_counts, "word", "left")
+            passed.where("word IS NOT NULL").select("k", "word", "n", "mass").join(rare_counts, "word", "left")
             .groupBy("k").agg(
                 F.sum(F.when(c > 0, F.col("n")).otherwise(0)).alias("more_known"),
                 F.sum(F.col("n") * F.log10((c + 1) / F.lit(float(self.tokens + self.vocabulary + 1)))).alias("more_base"),
-                F.sum(F.col("n") * F.log10((c + 1) / F.lit(self.rare_mass + self.rare_kinds + 1))).alias("more_score"),
+                F.sum(F.col("n") * F.log10(F.when(F.col("mass").isNull(), (c + 1) / F.lit(self.rare_mass + self.rare_kinds + 1)).otherwise(F.greatest(c, F.lit(1)) / F.col("mass")))).alias("more_score"),
             )
         )
         texts = passed.where("word IS NULL").withColumn("copies", F.lit(1))
@@ -231,19 +383,20 @@ class BrownModel:
         times = passed.where("word IS NULL").groupBy("k").agg(F.count("*").alias("copies")).where("copies > 1")
         rare = rare.join(times, "k", "left").withColumn("copies", F.coalesce("copies", F.lit(1)))
         zero = lambda name: F.coalesce(F.col(name) / F.col("rare_copies"), F.lit(0.0))
-        return texts.drop("copies", "word", "n").join(rare.withColumnRenamed("copies", "rare_copies"), "k", "left").select(
+        return texts.drop("copies", "word", "n", "mass").join(rare.withColumnRenamed("copies", "rare_copies"), "k", "left").select(
             "doc_id", "held_out", "n_tokens", (F.col("n_known") + zero("more_known")).cast("bigint").alias("n_known"),
             F.lit(self.tokens).cast("bigint").alias("train_tokens"), (F.col("base_score") + zero("more_base")).alias("base_score"),
             (F.col("score") + zero("more_score")).alias("score"),
         )
 
 
-def train_and_score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", clustered: int = CLUSTERED, classes: int = CLASSES, known: int = KNOWN) -> DataFrame:
+def train_and_score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", clustered: int | None = None, classes: int | None = None, known: int = KNOWN) -> DataFrame:
     """Train on the rows that held_out() leaves, score all rows.
 
     Null text is empty: one token, the end. A null id counts as training.
     Repeated rows count as often as they occur and give repeated rows. Without
-    training rows all counts are 0. Also gives perplexity per token.
+    training rows all counts are 0. Also gives perplexity per token. The head
+    and the number of classes grow with the vocabulary unless they are given.
     """
     own = narrow(docs, id_col, text_col)
     texts = as_bytes(own.withColumn("held_out", held_out(F.col("doc_id"))), "held_out")

@@ -290,6 +290,24 @@ def test_exchange_raises_likelihood_and_model_beats_base(spark):
     assert held["sum(score)"] > 0.85 * held["sum(base_score)"]
 
 
+def test_language_model_classes_words_outside_the_head(spark):
+    """Two kinds of words in turn: rare words get the class of their kind, once-seen ones stay open, classes grow."""
+    rng = np.random.default_rng(2)
+    kind = ["a", "b"]
+    rows = [" ".join(f"{kind[j % 2]}{int(rng.integers(0, 8)) if rng.random() < 0.7 else 100 + int(rng.integers(0, 150))}" for j in range(60)) + f" once{i}" for i in range(300)]
+    texts = spark.createDataFrame([(r.encode(),) for r in rows], "text binary")
+    counts = brown.word_counts(texts)
+    model = brown.BrownModel(counts, texts, clustered=16, classes=2)
+    of = dict(zip(model.words, model.classes.known.tolist(), strict=False))
+    a = {of[w] for w in model.words if w.startswith(b"a")}
+    b = {of[w] for w in model.words if w.startswith(b"b")}
+    assert len(a) == 1 and len(b) == 1 and a != b
+    assert {of[w] for w in model.words if w.startswith(b"once")} == {model.classes.rare}
+    assert model.rare_kinds == 300 and model.rare_mass == 300
+    many = spark.createDataFrame([(" ".join(f"w{i}" for i in range(60_000)).encode(),)] * 2, "text binary")
+    assert brown.BrownModel(brown.word_counts(many), many, clustered=60, sweeps=1).transition.shape[0] == 40 + 2
+
+
 def test_language_model_empty_table(none):
     assert brown.train_and_score(none).count() == 0
 
