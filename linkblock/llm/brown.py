@@ -4,37 +4,40 @@ Every training word is counted, in Spark. The most frequent words (the head)
 are assigned to classes by exchange: each word in turn moves to the class
 where the likelihood of class bigrams is greatest. Every other word seen LEAST
 times or more then goes, in a distributed pass, to the class where the
-likelihood gains most by its neighbours; transitions are counted anew over all
-of them. The number of classes and the head grow with the cube root of the
+likelihood gains most by its neighbours in the head; transitions are counted
+anew over all words. The number of classes grows with the cube root of the
 number of such words. Words seen less often form one open class, the end of a
 text another. A word costs the transition from the class before it times its
 emission from its own class.
 
-What travels to the workers is the KNOWN most frequent words and a table of
-ten bytes for each word with a class. The counts of words that aren't known
-stay distributed; such words of a text leave the scoring pass as (text, word,
-times) and meet their counts in a join, so every word is scored by its exact
-count.
+Texts are read twice: once to count words, once to turn them into numbers,
+which are written and serve all later passes. What travels to the workers is
+bounded: the KNOWN most frequent words and a class for each. An occurrence of
+any other word is a row of its own, dealt by word, so that its class and exact
+count are found where all its occurrences meet, and dealt again by text.
 """
 
 from __future__ import annotations
 
 import math
 from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
-import xxhash
+import pyarrow.compute as pc
+import zstandard
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from linkblock.llm.common import LOWER, as_bytes, narrow
+from linkblock.llm.common import LOWER, as_bytes, narrow, written
 from linkblock.runtime import settle
 
-CLUSTERED, CLASSES, KNOWN, SWEEPS = 1000, 32, 200_000, 6
+CLUSTERED, CLASSES, KNOWN, SWEEPS = 1000, 32, 400_000, 6
 #: Words seen so often have a class; for each class the head holds so many words at least.
 LEAST, HEAD = 2, 8
+#: However large the corpus, a model has at most so many classes (a table of transitions has their square).
+MOST_CLASSES = 512
 #: Gains of neighbour counts up to this are looked up instead of computed.
 SMALL = 16
 #: Weight of the class's own share against the transitions seen from the class before.
@@ -72,36 +75,68 @@ def least_count(words: DataFrame, most: int) -> int:
     return found if found is not None else (1 << 62)
 
 
-def _ids(texts: list[bytes], index: dict[bytes, int], rare: int, end: int) -> np.ndarray:
-    """Ids of all tokens of the texts in a row, an end after each text."""
-    out: list[int] = []
-    get = index.get
-    for text in texts:
-        out.extend([get(w, rare) for w in text.translate(LOWER).split()])
-        out.append(end)
-    return np.array(out, np.int64)
+def encode(texts: DataFrame, words: list[bytes]) -> DataFrame:
+    """texts (doc_id, held_out, text) as numbers: key (one a row), doc_id, held_out, ids, strange.
 
-
-def bigram_counts(texts: DataFrame, words: list[bytes]) -> np.ndarray:
-    """Counts of neighbouring tokens as a square matrix: the given words, then all other words, then the end."""
-    index = {w: i for i, w in enumerate(words)}
-    rare, end = len(words), len(words) + 1
-    size = end + 1
+    ids: the compressed places of its words in `words`, -1 for any other word;
+    strange: those other words in order, with blanks between.
+    """
+    end = len(words)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cells = np.zeros(size * size, np.int64)
-        for b in batches:
-            for at in range(0, b.num_rows, 1024):
-                ids = _ids(b.column("text").slice(at, 1024).to_pylist(), index, rare, end)
-                cells += np.bincount(np.r_[end, ids[:-1]] * size + ids, minlength=size * size)
+        index, packer = {w: i for i, w in enumerate(words)}, zstandard.ZstdCompressor(level=1)
+        for whole in batches:
+            for at in range(0, whole.num_rows, 512):
+                part, ids, strange = whole.slice(at, 512), [], []
+                for text in part.column("text").to_pylist():
+                    tokens = text.translate(LOWER).split()
+                    own = [index.get(w, -1) for w in tokens]
+                    own.append(end)
+                    ids.append(packer.compress(np.array(own, np.int32).tobytes()))
+                    strange.append(b" ".join([w for w, i in zip(tokens, own, strict=False) if i < 0]))
+                yield pa.RecordBatch.from_arrays([part.column("key"), part.column("doc_id"), part.column("held_out"), pa.array(ids, pa.binary()), pa.array(strange, pa.binary())], names=["key", "doc_id", "held_out", "ids", "strange"])
+
+    keyed = texts.select(F.monotonically_increasing_id().alias("key"), "doc_id", "held_out", "text")
+    return written(keyed.mapInArrow(run, "key bigint, doc_id bigint, held_out boolean, ids binary, strange binary"))
+
+
+def _slices(batches: Iterator[pa.RecordBatch], rows: int = 1024) -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray]]:
+    """Of encoded rows: (the rows, all their ids in a row with an end after each text, where each text starts)."""
+    unpack = zstandard.ZstdDecompressor().decompress
+    for whole in batches:
+        for at in range(0, whole.num_rows, rows):
+            part = whole.slice(at, rows)
+            ids = [np.frombuffer(unpack(x), np.int32) for x in part.column("ids").to_pylist()]
+            lengths = np.array([len(x) for x in ids], np.int64)
+            yield part, np.concatenate(ids).astype(np.int64), np.cumsum(lengths) - lengths
+
+
+def _before(of: np.ndarray, end: int) -> np.ndarray:
+    """What stands before each token: the end before the first."""
+    return np.r_[end, of[:-1]]
+
+
+def _summed(cells: DataFrame, size: int) -> np.ndarray:
+    """Rows (cell, n) as a square matrix of sums: at most size * size rows meet the driver, whatever the corpus."""
+    found = cells.groupBy("cell").agg(F.sum("n").alias("n")).toArrow()
+    out = np.zeros(size * size, np.int64)
+    out[found.column("cell").to_numpy()] = found.column("n").to_numpy()
+    return out.reshape(size, size)
+
+
+def pair_cells(encoded: DataFrame, of: np.ndarray, kinds: int) -> DataFrame:
+    """(cell, n): neighbouring tokens by kind (of: a kind for each id); pairs with a token of kind -1 are left out."""
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        cells = np.zeros(kinds * kinds, np.int64)
+        for _, ids, _ in _slices(batches):
+            now = of[ids]
+            was = _before(now, of[-2])
+            both = (now >= 0) & (was >= 0)
+            cells += np.bincount(was[both] * kinds + now[both], minlength=kinds * kinds)
         used = np.flatnonzero(cells)
         yield pa.RecordBatch.from_arrays([pa.array(used), pa.array(cells[used])], names=["cell", "n"])
 
-    # At most size * size rows, whatever the corpus.
-    found = texts.mapInArrow(run, "cell bigint, n bigint").groupBy("cell").agg(F.sum("n").alias("n")).toArrow()
-    cells = np.zeros(size * size, np.int64)
-    cells[found.column("cell").to_numpy()] = found.column("n").to_numpy()
-    return cells.reshape(size, size)
+    return encoded.mapInArrow(run, "cell bigint, n bigint")
 
 
 def _phi(x: np.ndarray) -> np.ndarray:
@@ -157,138 +192,187 @@ def exchange(pairs: np.ndarray, movable: int, classes: int = CLASSES, sweeps: in
     return of
 
 
-def _digest(word: bytes) -> int:
-    return xxhash.xxh3_64_intdigest(word) - (1 << 63)
+def class_chooser(table: np.ndarray, classes: int) -> Callable[[np.ndarray, np.ndarray], np.ndarray]:
+    """A function from counts of words by slot (rows; slots: kind after, then kind before) and times to classes of greatest gain.
 
+    The gain is that of exchange(), against the table of the head's classes.
+    """
+    base = np.r_[table[:classes].T, table[:, :classes]].astype(np.float64)  # by slot: counts of each class with the neighbour
+    out, into = table.sum(axis=1)[:classes].astype(np.float64), table.sum(axis=0)[:classes].astype(np.float64)
+    small = np.stack([_phi(base + n) - _phi(base) for n in range(SMALL + 1)])
 
-class WordClasses:
-    """Classes of tokens: known words by name, all others that have one by the hash of the word."""
-
-    def __init__(self, words: list[bytes], kinds: int):
-        self.words, self.rare, self.end = words, kinds - 2, kinds - 1
-        self.hashes = np.array([_digest(w) for w in words] + [0], np.int64)
-        self.known = np.r_[np.full(len(words), self.rare), self.end].astype(np.int32)
-        self.learn(np.zeros(0, np.int64), np.zeros(0, np.int16))
-
-    def learn(self, hashes: np.ndarray, classes: np.ndarray) -> None:
-        """Classes of words by their hashes; known words get theirs too."""
-        order = np.argsort(hashes)
-        self.tail, self.tail_class = hashes[order], classes[order]
-        if len(hashes):
-            found = self.by_hash(self.hashes[:-1])
-            self.known[:-1] = np.where(found == self.rare, self.known[:-1], found)
-
-    def by_hash(self, hashes: np.ndarray) -> np.ndarray:
-        if not len(self.tail):
-            return np.full(len(hashes), self.rare, np.int32)
-        at = np.minimum(np.searchsorted(self.tail, hashes), len(self.tail) - 1)
-        return np.where(self.tail[at] == hashes, self.tail_class[at], self.rare).astype(np.int32)
-
-    def index(self) -> dict[bytes, int]:
-        return {w: i for i, w in enumerate(self.words)}
-
-    def tokens(self, texts: list[bytes], index: dict[bytes, int]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """(id, hash, class) of all tokens of the texts, an end after each; the id of a word that isn't known is -1."""
-        ids: list[int] = []
-        strange: list[int] = []
-        get, end = index.get, len(self.words)
-        for text in texts:
-            words = text.translate(LOWER).split()
-            own = [get(w, -1) for w in words]
-            strange += [_digest(w) for w, i in zip(words, own, strict=True) if i < 0]
-            ids += own
-            ids.append(end)
-        at = np.array(ids, np.int64)
-        hashes, kinds = self.hashes[at], self.known[at]
-        if strange:
-            unknown = at < 0
-            hashes[unknown] = np.array(strange, np.int64)
-            kinds[unknown] = self.by_hash(hashes[unknown])
-        return at, hashes, kinds
-
-
-def class_bigrams(texts: DataFrame, classes: WordClasses, kinds: int) -> np.ndarray:
-    """Counts of neighbouring classes."""
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        index, cells = classes.index(), np.zeros(kinds * kinds, np.int64)
-        for b in batches:
-            for at in range(0, b.num_rows, 1024):
-                _, _, of = classes.tokens(b.column("text").slice(at, 1024).to_pylist(), index)
-                cells += np.bincount(np.r_[classes.end, of[:-1]].astype(np.int64) * kinds + of, minlength=kinds * kinds)
-        used = np.flatnonzero(cells)
-        yield pa.RecordBatch.from_arrays([pa.array(used), pa.array(cells[used])], names=["cell", "n"])
+    def choose(counts: np.ndarray, times: np.ndarray) -> np.ndarray:
+        best = np.zeros(len(counts), np.int64)
+        for a in range(0, len(counts), 128):
+            word, slot = np.nonzero(counts[a : a + 128])
+            n = counts[a + word, slot]
+            gain = small[np.minimum(n, SMALL), slot]
+            big = np.flatnonzero(n > SMALL)
+            gain[big] = _phi(base[slot[big]] + n[big, None]) - _phi(base[slot[big]])
+            c = times[a : a + 128, None]
+            total = np.zeros((len(c), classes))
+            if len(word):
+                starts = np.flatnonzero(np.r_[True, word[1:] != word[:-1]])
+                total[word[starts]] = np.add.reduceat(gain, starts)
+            best[a : a + 128] = (total - _phi(out + c) + _phi(out) - _phi(into + c) + _phi(into)).argmax(axis=1)
+        return best
+
+    return choose
 
-    found = texts.mapInArrow(run, "cell bigint, n bigint").groupBy("cell").agg(F.sum("n").alias("n")).toArrow()
-    cells = np.zeros(kinds * kinds, np.int64)
-    cells[found.column("cell").to_numpy()] = found.column("n").to_numpy()
-    return cells.reshape(kinds, kinds)
 
+def _slots(now: np.ndarray, kinds: int, end: int) -> tuple[np.ndarray, np.ndarray]:
+    """For each token the slot of the kind after it and of the kind before it. An end is never asked."""
+    return np.r_[now[1:], end], kinds + _before(now, end)
+
+
+def known_classes(encoded: DataFrame, of: np.ndarray, head: int, table: np.ndarray, classes: int, least: int = LEAST) -> tuple[np.ndarray, np.ndarray]:
+    """(ids, classes) of the known words outside the head that are seen `least` times or more.
+
+    of: a kind for each id. A row is a word of a slice of texts with the slots
+    of all its neighbours; where a word's rows meet, one vector of counts is
+    held at a time. At most KNOWN rows meet the driver.
+    """
+    kinds, known = len(table), len(of) - 2
+
+    def scatter(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for _, ids, _ in _slices(batches, 4096):
+            after, before = _slots(of[ids], kinds, kinds - 1)
+            at = np.flatnonzero((ids >= head) & (ids < known))
+            at = at[np.argsort(ids[at], kind="stable")]
+            starts = np.flatnonzero(np.r_[True, ids[at[1:]] != ids[at[:-1]]]) if len(at) else at
+            flat = np.stack([after[at], before[at]], axis=1).astype(np.uint16)
+            slots = pa.BinaryArray.from_buffers(pa.binary(), len(starts), [None, pa.py_buffer(np.r_[starts, len(at)].astype(np.int32) * np.int32(4)), pa.py_buffer(flat.tobytes())])
+            yield pa.RecordBatch.from_arrays([pa.array(ids[at[starts]].astype(np.int32)), slots], names=["id", "slots"])
+
+    choose = class_chooser(table, classes)
+
+    def decide(ids: np.ndarray, counts: np.ndarray) -> pa.RecordBatch:
+        times = counts[:, :kinds].sum(axis=1)
+        kept = times >= least
+        return pa.RecordBatch.from_arrays([pa.array(ids[kept].astype(np.int32)), pa.array(choose(counts[kept], times[kept]).astype(np.int16))], names=["id", "class"])
+
+    def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last, held = -1, np.zeros(2 * kinds, np.int64)
+        for whole in batches:
+            for at in range(0, whole.num_rows, 1024):
+                part = whole.slice(at, 1024)
+                ids, slots = part.column("id").to_numpy(), [np.frombuffer(x.as_buffer(), np.uint16) for x in part.column("slots")]
+                own, place = np.unique(ids, return_inverse=True)
+                row = np.repeat(place, [len(x) for x in slots])
+                counts = np.bincount(row * 2 * kinds + np.concatenate(slots), minlength=len(own) * 2 * kinds).reshape(len(own), -1)
+                if own[0] == last:
+                    counts[0] += held
+                elif last >= 0:
+                    yield decide(np.array([last]), held[None])
+                yield decide(own[:-1], counts[:-1])
+                last, held = int(own[-1]), counts[-1]
+        if last >= 0:
+            yield decide(np.array([last]), held[None])
+
+    met = encoded.mapInArrow(scatter, "id int, slots binary").repartition("id").sortWithinPartitions("id")
+    found = met.mapInArrow(gather, "id int, class smallint").toArrow()
+    return found.column("id").to_numpy(), found.column("class").to_numpy()
+
+
+#: Parts of the number that says what stands around a word: class before and after (plus 1; 0: not known), whether each is of the head, training text.
+_PREV, _NEXT, _PREV_HEAD, _NEXT_HEAD, _TRAIN = 0, 12, 24, 25, 26
+_CLASS = (1 << 12) - 1
+
+
+def strange_words(encoded: DataFrame, of: np.ndarray, head: int) -> DataFrame:
+    """(word, key, pos, around): every occurrence of a word that isn't known. of: a class for each id."""
+    known = len(of) - 2
+    of = np.r_[of, -1]  # id -1
+    of[known + 1] = -1
 
-def neighbours(texts: DataFrame, classes: WordClasses, head: int, kinds: int) -> DataFrame:
-    """(h, slot, n): how often words outside the head stand before (slot: class) and after (slot: kinds + class) each class."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        index = classes.index()
-        for b in batches:
-            for start in range(0, b.num_rows, 4096):
-                ids, hashes, of = classes.tokens(b.column("text").slice(start, 4096).to_pylist(), index)
-                at = np.flatnonzero((ids < 0) | (ids >= head) & (ids < len(classes.words)))
-                word, place = np.unique(hashes[at], return_inverse=True)
-                before, after = np.r_[classes.end, of[:-1]][at], of[np.minimum(at + 1, len(of) - 1)]
-                cell, n = np.unique(np.r_[place * 2 * kinds + after, place * 2 * kinds + kinds + before], return_counts=True)
-                yield pa.RecordBatch.from_arrays([pa.array(word[cell // (2 * kinds)]), pa.array((cell % (2 * kinds)).astype(np.int32)), pa.array(n.astype(np.int64))], names=["h", "slot", "n"])
+        for part, ids, starts in _slices(batches):
+            at = np.flatnonzero(ids < 0)
+            now, in_head = of[ids], (ids >= 0) & (ids < head) | (ids == known)
+            doc = np.searchsorted(starts, at, side="right") - 1
+            train = ~np.array(part.column("held_out").to_pylist(), bool)[doc]
+            was, nxt = _before(now, of[known]), np.r_[now[1:], of[known]]
+            around = (was[at] + 1 << _PREV) + (nxt[at] + 1 << _NEXT) + (_before(in_head, True)[at].astype(np.int64) << _PREV_HEAD) + (np.r_[in_head[1:], True][at].astype(np.int64) << _NEXT_HEAD) + (train.astype(np.int64) << _TRAIN)
+            words = [w for x in part.column("strange").to_pylist() if x for w in x.split(b" ")]
+            yield pa.RecordBatch.from_arrays([pa.array(words, pa.binary()), pa.array(part.column("key").to_numpy()[doc]), pa.array((at - starts[doc]).astype(np.int32)), pa.array(around.astype(np.int32))], names=["word", "key", "pos", "around"])
 
-    return texts.mapInArrow(run, "h bigint, slot int, n bigint")
+    return encoded.mapInArrow(run, "word binary, key bigint, pos int, around int")
 
 
-def best_classes(table: np.ndarray, classes: int, least: int = LEAST):
-    """Assigns words to the class of greatest gain: rows (h, slot, n) sorted by h and slot in, (h, class, c) of words seen `least` times or more out.
+def resolve(strange: DataFrame, table: np.ndarray, classes: int, least: int = LEAST) -> DataFrame:
+    """(key, was, class, next, c, train) for every occurrence in strange_words(): the classes around it, its own, its word's count.
 
-    The gain is that of exchange(), against the table of the head's classes.
+    next is -1 where another such word follows, which has this one before it.
+    All occurrences of one word meet; as KNOWN words are more frequent, they
+    are at most one in KNOWN of all tokens.
     """
     kinds = len(table)
-    base = np.r_[table[:classes].T, table[:, :classes]].astype(np.float64)  # by slot: counts of each class with the neighbour
-    out, into = table.sum(axis=1)[:classes].astype(np.float64), table.sum(axis=0)[:classes].astype(np.float64)
-    small = np.stack([_phi(base + n) - _phi(base) for n in range(SMALL + 1)])
-
-    def assign(h: np.ndarray, slot: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
-        starts = np.flatnonzero(np.r_[True, h[1:] != h[:-1], True])
-        times = np.add.reduceat(np.where(slot < kinds, n, 0), starts[:-1])
-        kept = np.flatnonzero(times >= least)
-        rows = np.repeat(times >= least, np.diff(starts))
-        lengths = np.diff(starts)[kept]
-        slot, n, best = slot[rows], n[rows], np.zeros(len(kept), np.int16)
-        ends = np.cumsum(lengths)
-        for a in range(0, len(kept), 1024):
-            b = min(a + 1024, len(kept))
-            lo, hi = ends[a] - lengths[a], ends[b - 1]
-            s, k = slot[lo:hi], n[lo:hi]
-            gain = small[np.minimum(k, SMALL), s]
-            big = np.flatnonzero(k > SMALL)
-            gain[big] = _phi(base[s[big]] + k[big, None]) - _phi(base[s[big]])
-            total = np.add.reduceat(gain, ends[a:b] - lengths[a:b] - lo)
-            c = times[kept[a:b], None]
-            best[a:b] = (total - _phi(out + c) + _phi(out) - _phi(into + c) + _phi(into)).argmax(axis=1)
-        return pa.RecordBatch.from_arrays([pa.array(h[starts[kept]]), pa.array(best), pa.array(times[kept])], names=["h", "class", "c"])
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held = [np.zeros(0, np.int64), np.zeros(0, np.int32), np.zeros(0, np.int64)]
+    rare, choose = kinds - 2, class_chooser(table, classes)
+
+    def assign(rows: pa.Table) -> pa.RecordBatch:
+        word, around = rows.column("word").combine_chunks(), rows.column("around").to_numpy()
+        fresh = np.r_[True, pc.not_equal(word[1:], word[:-1]).to_numpy(zero_copy_only=False)] if len(word) else np.zeros(0, bool)
+        place = np.cumsum(fresh) - 1
+        seen = np.flatnonzero(around >> _TRAIN & 1)
+        c = np.bincount(place[seen], minlength=int(fresh.sum()))
+        own = np.full(len(c), rare)
+        todo = np.flatnonzero(c >= least)
+        for a in range(0, len(todo), 512):
+            some = todo[a : a + 512]
+            lo, hi = np.searchsorted(place[seen], [some[0], some[-1] + 1])
+            at = seen[lo:hi]
+            row = np.searchsorted(some, place[at])
+            row_ok = some[np.minimum(row, len(some) - 1)] == place[at]
+            at, row = at[row_ok], row[row_ok]
+            was, nxt = ((around[at] >> i & _CLASS) - 1 for i in (_PREV, _NEXT))
+            was = np.where(around[at] >> _PREV_HEAD & 1, was, rare)
+            nxt = np.where(around[at] >> _NEXT_HEAD & 1, nxt, rare)
+            counts = np.bincount(np.r_[row * 2 * kinds + nxt, row * 2 * kinds + kinds + was], minlength=len(some) * 2 * kinds).reshape(len(some), -1)
+            own[some] = choose(counts, c[some])
+        return pa.RecordBatch.from_arrays([rows.column("key").combine_chunks(), rows.column("pos").combine_chunks(), pa.array(around), pa.array(own[place].astype(np.int16)), pa.array(c[place])], names=["key", "pos", "around", "class", "c"])
+
+    def by_word(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = None
         for b in batches:
-            h, slot, n = (np.concatenate([x, b.column(i).to_numpy()]) for i, x in enumerate(held))
-            whole = np.searchsorted(h, h[-1]) if len(h) else 0
+            if not b.num_rows:
+                continue
+            rows = pa.Table.from_batches([b]) if held is None else pa.concat_tables([held, pa.Table.from_batches([b])])
+            word = rows.column("word").combine_chunks()
+            same = pc.equal(word, word[-1]).to_numpy(zero_copy_only=False)
+            whole = int(np.argmax(same))
             if whole:
-                yield assign(h[:whole], slot[:whole], n[:whole])
-            held = [h[whole:], slot[whole:], n[whole:]]
-        if len(held[0]):
-            yield assign(*held)
+                yield assign(rows.slice(0, whole))
+            held = rows.slice(whole)
+        if held is not None:
+            yield assign(held)
 
-    return run
+    def by_text(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last = rare
+        for b in batches:
+            own, around = b.column("class").to_numpy(), b.column("around").to_numpy()
+            if not len(own):
+                continue
+            was, nxt = ((around >> i & _CLASS) - 1 for i in (_PREV, _NEXT))
+            was = np.where(was < 0, np.r_[last, own[:-1]], was)
+            last = own[-1]
+            yield pa.RecordBatch.from_arrays([b.column("key"), pa.array(was.astype(np.int16)), b.column("class"), pa.array(nxt.astype(np.int16)), b.column("c"), pa.array((around >> _TRAIN & 1).astype(bool))], names=["key", "was", "class", "next", "c", "train"])
+
+    met = strange.repartition("word").sortWithinPartitions("word").mapInArrow(by_word, "key bigint, pos int, around int, class smallint, c bigint")
+    return written(met.repartition("key").sortWithinPartitions("key", "pos").mapInArrow(by_text, "key bigint, was smallint, class smallint, next smallint, c bigint, train boolean"))
+
+
+class WordClasses:
+    """Classes of the known words; rare: the open class, end: that of the end of a text."""
+
+    def __init__(self, known: np.ndarray, rare: int, end: int):
+        self.known, self.rare, self.end = known, rare, end
 
 
 class BrownModel:
-    """Trained tables; score() gives base and model log10 probabilities of texts."""
+    """Trained tables; score() gives base and model log10 probabilities of the texts, training texts and others."""
 
     def __init__(self, counts: DataFrame, texts: DataFrame, clustered: int | None = None, classes: int | None = None, known: int = KNOWN, sweeps: int = SWEEPS, prior: float = PRIOR):
-        self.counts = counts
+        """counts: word_counts() of the training texts. texts: text as bytes, and doc_id and held_out unless all are training texts."""
         total = counts.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n"), F.count("*").alias("v")).first()
         self.tokens, self.vocabulary = int(total["n"]), int(total["v"])
         words = counts.where(F.col("word") != F.lit(END))
@@ -297,96 +381,84 @@ class BrownModel:
         self.words = [w for _, w in first]
         seen = np.array([-c for c, _ in first], np.float64)
         ends = counts.where(F.col("word") == F.lit(END)).first()
-        ends = int(ends["c"]) if ends else 0
+        self.ends = ends = int(ends["c"]) if ends else 0
+        often = words.where(F.col("c") >= LEAST).count()
         if classes is None:
-            classes = max(CLASSES, math.ceil(np.cbrt(words.where(F.col("c") >= LEAST).count())))
+            classes = min(MOST_CLASSES, max(CLASSES, math.ceil(np.cbrt(often))))
         head = min(max(CLUSTERED, HEAD * classes) if clustered is None else clustered, len(self.words))
         classes = max(1, min(classes, head))
-        pairs = bigram_counts(texts, self.words[:head])
-        self.of = exchange(pairs, head, classes, sweeps)
-        kinds = int(self.of.max()) + 1 if head else 3
-        if not head:
-            self.of = np.array([1, 2])
+        if "held_out" not in texts.columns:
+            texts = texts.select(F.lit(None).cast("bigint").alias("doc_id"), F.lit(False).alias("held_out"), "text")
+        self.encoded = encode(texts, self.words)
+        train = self.encoded.where("NOT held_out")
+        # Ids: the known words, the end, and last (as -1) any other word.
+        by_id = np.r_[np.arange(head), np.full(len(self.words) - head, head), head + 1, head]
+        pairs = _summed(pair_cells(train, by_id, head + 2), head + 2)
+        self.of = exchange(pairs, head, classes, sweeps) if head else np.array([1, 2])
+        kinds = int(self.of.max()) + 1
         rare, end = kinds - 2, kinds - 1
         table = np.zeros((kinds, kinds))
         np.add.at(table, (self.of[:, None], self.of[None, :]), pairs)
-        self.classes = WordClasses(self.words, kinds)
-        self.classes.known[:head] = self.of[:head]
-        mass = np.bincount(self.of[:head], seen[:head], minlength=kinds)
-        self.classed = head
-        if head:
-            met = neighbours(texts, self.classes, head, kinds).groupBy("h", "slot").agg(F.sum("n").alias("n"))
-            found = met.repartition("h").sortWithinPartitions("h", "slot").mapInArrow(best_classes(table, classes), "h bigint, class smallint, c bigint").toArrow()
-            hashes, of, times = (found.column(c).to_numpy() for c in ("h", "class", "c"))
-            self.classes.learn(hashes, of)
-            mass += np.bincount(of, times, minlength=kinds)
-            self.classed += len(of)
-            table = class_bigrams(texts, self.classes, kinds).astype(np.float64)
+        of = np.r_[self.of[:head], np.full(len(self.words) - head, rare), end, rare]
+        ids, found = known_classes(train, of, head, table, classes)
+        of[ids] = found
+        self.classes = WordClasses(of[:-1], rare, end)
+        self.strange = resolve(strange_words(self.encoded, of, head), table, classes)
+        learnt = self.strange.where("train")
+        cell = lambda a, b: (F.col(a).cast("bigint") * kinds + F.col(b)).alias("cell")
+        one = F.lit(1).cast("bigint").alias("n")
+        open_of = np.r_[of[:-1], -1]
+        cells = pair_cells(train, open_of, kinds).unionByName(learnt.select(cell("was", "class"), one)).unionByName(learnt.where("next >= 0").select(cell("class", "next"), one))
+        table = _summed(cells, kinds).astype(np.float64)
         share = (table.sum(axis=0) + 1) / (table.sum() + kinds)
         self.transition = np.log10((table + prior * share) / (table.sum(axis=1, keepdims=True) + prior))
-        self.mass = mass
-        self.rare_mass = self.tokens - ends - float(mass.sum())
-        self.rare_kinds = self.vocabulary - (ends > 0) - self.classed
+        #: Training tokens by class, and the open class's tokens and words.
+        self.mass = table.sum(axis=0)
+        self.rare_mass = float(self.mass[rare])
+        self.rare_kinds = self.vocabulary - (ends > 0) - often - int((seen[:head] < LEAST).sum())
         own = self.classes.known[:-1]
-        emission = np.log10(np.where(own == rare, (seen + 1) / (self.rare_mass + self.rare_kinds + 1), seen / np.maximum(mass[own], 1)))
-        #: By token id: the known words, any other word, the end.
+        emission = np.log10(np.where(own == rare, (seen + 1) / (self.rare_mass + self.rare_kinds + 1), seen / np.maximum(self.mass[own], 1)))
+        #: By id: the known words, the end, any other word.
         self.emission = np.r_[emission, 0.0, 0.0]
-        self.base = np.log10((np.r_[seen, 0.0, ends] + 1) / (self.tokens + self.vocabulary + 1))
-        self.base[-2] = 0.0
-        self.ends = ends
+        self.base = np.r_[np.log10((np.r_[seen, ends] + 1) / (self.tokens + self.vocabulary + 1)), 0.0]
 
-    def _first_pass(self):
-        words, classes, emission, base, transition, mass = self.words, self.classes, self.emission, self.base, self.transition, self.mass
-        end_known = int(self.ends > 0)
+    def _known_part(self):
+        of, emission, base, transition = np.r_[self.classes.known, -1], self.emission, self.base, self.transition
+        counted = np.r_[np.ones(len(self.words), np.int64), int(self.ends > 0), 0]
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            index = classes.index()
-            other, end = len(words), len(words) + 1
-            class_of = np.r_[classes.known[:-1], classes.rare, classes.end]
-            last = classes.end
-            for whole in batches:
-                for at in range(0, whole.num_rows, 256):
-                    part = whole.slice(at, 256)
-                    rows, rare = [], []
-                    for doc_id, out, text in zip(part.column("doc_id").to_pylist(), part.column("held_out").to_pylist(), part.column("text").to_pylist(), strict=True):
-                        tokens = text.translate(LOWER).split()
-                        ids = np.array([index.get(w, other) for w in tokens] + [end], np.int64)
-                        kinds = class_of[ids]
-                        key = xxhash.xxh3_64_intdigest(f"{doc_id} {len(text)} ".encode() + text) - (1 << 63)
-                        unknown = np.flatnonzero(ids == other)
-                        if unknown.size:
-                            kinds[unknown] = classes.by_hash(np.array([_digest(tokens[i]) for i in unknown.tolist()], np.int64))
-                        of = {tokens[i]: float(mass[kinds[i]]) if kinds[i] != classes.rare else None for i in unknown.tolist()}
-                        score = transition[np.r_[last, kinds[:-1]], kinds].sum() + emission[ids].sum()
-                        rows.append((key, doc_id, out, len(ids), int(len(ids) - 1 - len(unknown) + end_known), float(base[ids].sum()), float(score), None, None, None))
-                        rare += [(key, None, None, None, None, None, None, w, n, of[w]) for w, n in Counter(tokens[i] for i in unknown.tolist()).items()]
-                    columns = list(zip(*(rows + rare), strict=True))
-                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.binary(), pa.int64(), pa.float64()), strict=True)], names=["k", "doc_id", "held_out", "n_tokens", "n_known", "base_score", "score", "word", "n", "mass"])
+            for part, ids, starts in _slices(batches):
+                now = of[ids]
+                was = _before(now, of[-2])
+                cost = emission[ids] + np.where((now >= 0) & (was >= 0), transition[was, now], 0.0)
+                total = lambda x: np.add.reduceat(x, starts)
+                made = [np.diff(np.r_[starts, len(ids)]), total(counted[ids]), total(base[ids]), total(cost)]
+                yield pa.RecordBatch.from_arrays([part.column("key"), part.column("doc_id"), part.column("held_out"), *map(pa.array, made)], names=["key", "doc_id", "held_out", "n_tokens", "n_known", "base_score", "score"])
 
         return run
 
-    def score(self, docs: DataFrame) -> DataFrame:
-        """docs: doc_id, held_out, text as bytes. One row each with n_tokens, n_known, train_tokens, base_score, score."""
-        passed = settle(docs.select("doc_id", "held_out", "text").mapInArrow(self._first_pass(), "k bigint, doc_id bigint, held_out boolean, n_tokens bigint, n_known bigint, base_score double, score double, word binary, n bigint, mass double"))
-        rare_counts = self.counts.select("word", "c")
-        c = F.coalesce(F.col("c"), F.lit(0))
-        rare = (
-            passed.where("word IS NOT NULL").select("k", "word", "n", "mass").join(rare_counts, "word", "left")
-            .groupBy("k").agg(
-                F.sum(F.when(c > 0, F.col("n")).otherwise(0)).alias("more_known"),
-                F.sum(F.col("n") * F.log10((c + 1) / F.lit(float(self.tokens + self.vocabulary + 1)))).alias("more_base"),
-                F.sum(F.col("n") * F.log10(F.when(F.col("mass").isNull(), (c + 1) / F.lit(self.rare_mass + self.rare_kinds + 1)).otherwise(F.greatest(c, F.lit(1)) / F.col("mass")))).alias("more_score"),
-            )
-        )
-        texts = passed.where("word IS NULL").withColumn("copies", F.lit(1))
-        # Repeated rows have one key: what their rare words add was summed over all of them.
-        times = passed.where("word IS NULL").groupBy("k").agg(F.count("*").alias("copies")).where("copies > 1")
-        rare = rare.join(times, "k", "left").withColumn("copies", F.coalesce("copies", F.lit(1)))
-        zero = lambda name: F.coalesce(F.col(name) / F.col("rare_copies"), F.lit(0.0))
-        return texts.drop("copies", "word", "n", "mass").join(rare.withColumnRenamed("copies", "rare_copies"), "k", "left").select(
-            "doc_id", "held_out", "n_tokens", (F.col("n_known") + zero("more_known")).cast("bigint").alias("n_known"),
-            F.lit(self.tokens).cast("bigint").alias("train_tokens"), (F.col("base_score") + zero("more_base")).alias("base_score"),
-            (F.col("score") + zero("more_score")).alias("score"),
+    def _strange_part(self):
+        transition, rare = self.transition, self.classes.rare
+        mass, open_mass, all_mass = np.maximum(self.mass, 1), self.rare_mass + self.rare_kinds + 1, self.tokens + self.vocabulary + 1
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                was, own, nxt, c = (b.column(x).to_numpy() for x in ("was", "class", "next", "c"))
+                emission = np.log10(np.where(own == rare, (c + 1) / open_mass, np.maximum(c, 1) / mass[own]))
+                cost = emission + transition[was, own] + np.where(nxt >= 0, transition[own, nxt], 0.0)
+                yield pa.RecordBatch.from_arrays([b.column("key"), pa.array((c > 0).astype(np.int64)), pa.array(np.log10((c + 1) / all_mass)), pa.array(cost)], names=["key", "known", "base", "cost"])
+
+        return run
+
+    def score(self) -> DataFrame:
+        """One row for each of the texts: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score."""
+        texts = self.encoded.mapInArrow(self._known_part(), "key bigint, doc_id bigint, held_out boolean, n_tokens bigint, n_known bigint, base_score double, score double")
+        more = self.strange.mapInArrow(self._strange_part(), "key bigint, known bigint, base double, cost double")
+        more = more.groupBy("key").agg(F.sum("known").alias("known"), F.sum("base").alias("base"), F.sum("cost").alias("cost"))
+        plus = lambda a, b: F.col(a) + F.coalesce(F.col(b), F.lit(0))
+        return texts.join(more, "key", "left").select(
+            "doc_id", "held_out", "n_tokens", plus("n_known", "known").alias("n_known"), F.lit(self.tokens).cast("bigint").alias("train_tokens"),
+            plus("base_score", "base").alias("base_score"), plus("score", "cost").alias("score"),
         )
 
 
@@ -400,11 +472,9 @@ def train_and_score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     """
     own = narrow(docs, id_col, text_col)
     texts = as_bytes(own.withColumn("held_out", held_out(F.col("doc_id"))), "held_out")
-    train = texts.where("NOT held_out")
-    counts = settle(word_counts(train.select("text")))
-    model = BrownModel(counts, train.select("text"), clustered, classes, known)
-    scored = model.score(texts)
-    return scored.withColumn("perplexity", F.pow(F.lit(10.0), -F.col("score") / F.col("n_tokens")))
+    counts = settle(word_counts(texts.where("NOT held_out").select("text")))
+    model = BrownModel(counts, texts, clustered, classes, known)
+    return model.score().withColumn("perplexity", F.pow(F.lit(10.0), -F.col("score") / F.col("n_tokens")))
 
 
 def brute_scores(texts: list[tuple[bytes, bool]]) -> list[tuple[int, int, float]]:

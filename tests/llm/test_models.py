@@ -1,5 +1,6 @@
 """SimHash, URL filter, classifier, mixing, language model and pipeline against plain Python versions."""
 
+import math
 import zlib
 from collections import Counter, defaultdict
 
@@ -308,6 +309,75 @@ def test_language_model_classes_words_outside_the_head(spark):
     assert brown.BrownModel(brown.word_counts(many), many, clustered=60, sweeps=1).transition.shape[0] == 40 + 2
 
 
+def plain_scores(model, texts, held, prior):
+    """Scores from the classes of the known words alone, by dictionaries."""
+    kind = dict(zip(model.words, model.classes.known[:-1].tolist(), strict=True))
+    rare, end = model.classes.rare, model.classes.end
+    split = [t.translate(brown.LOWER).split() for t in texts]
+    seen = Counter(w for t, o in zip(split, held, strict=True) if not o for w in t)
+    of = lambda w: kind.get(w, rare)
+    pairs, mass, open_words = Counter(), Counter(), set()
+    for t, o in zip(split, held, strict=True):
+        if not o:
+            row = [end, *map(of, t), end]
+            pairs.update(zip(row, row[1:], strict=False))
+            mass.update(row[1:])
+            open_words |= {w for w in t if of(w) == rare}
+    total, kinds = sum(pairs.values()), end + 1
+    out = Counter()
+    for (a, _), n in pairs.items():
+        out[a] += n
+    step = lambda a, b: (pairs[a, b] + prior * (mass[b] + 1) / (total + kinds)) / (out[a] + prior)
+    word = lambda w: (seen[w] + 1) / (mass[rare] + len(open_words) + 1) if of(w) == rare else seen[w] / mass[of(w)]
+    scores = []
+    for t in split:
+        row = [end, *map(of, t), end]
+        scores.append(sum(math.log10(step(a, b)) for a, b in zip(row, row[1:], strict=False)) + sum(math.log10(word(w)) for w in t))
+    return scores
+
+
+def test_language_model_scores_match_brute_force(small):
+    """Scores by the definition; classes of words outside the head are those of greatest gain by the definition."""
+    docs = small[0].withColumn("held_out", brown.held_out(small[0]["doc_id"]))
+    rows = docs.collect()
+    texts, held = [(r.text or "").encode() for r in rows], [r.held_out for r in rows]
+    bytes_of = docs.selectExpr("doc_id", "held_out", "cast(coalesce(text, '') as binary) as text")
+    counts = brown.word_counts(bytes_of.where("NOT held_out").select("text"))
+    model = brown.BrownModel(counts, bytes_of, clustered=40, classes=6)
+    assert len(model.words) == model.vocabulary - 1
+    want = plain_scores(model, texts, held, brown.PRIOR)
+    got = {r.doc_id: r.score for r in model.score().collect()}
+    assert all(abs(got[r.doc_id] - w) < 1e-6 * max(1, abs(w)) for r, w in zip(rows, want, strict=True))
+    # Classes outside the head, for the first of them and some rare ones.
+    rare, end, head = model.classes.rare, model.classes.end, model.words[:40]
+    kind = dict(zip(model.words, model.classes.known.tolist(), strict=False))
+    of_head = {w: kind[w] for w in head}
+    table, around = Counter(), {}
+    for t, o in zip(texts, held, strict=True):
+        if not o:
+            words = t.translate(brown.LOWER).split()
+            row = [end, *(of_head.get(w, rare) for w in words), end]
+            table.update(zip(row, row[1:], strict=False))
+            for i, w in enumerate(words):
+                around.setdefault(w, []).append((row[i], row[i + 2]))
+    phi = lambda x: x * math.log(x) if x > 0 else 0.0
+    out, into = Counter(), Counter()
+    for (a, b), n in table.items():
+        out[a] += n
+        into[b] += n
+    for w in model.words[40:60] + model.words[-4000::200]:
+        near = around[w]
+        if len(near) < brown.LEAST:
+            assert kind[w] == rare
+            continue
+        before, after, c = Counter(a for a, _ in near), Counter(b for _, b in near), len(near)
+        gain = [
+            sum(phi(table[k, x] + n) - phi(table[k, x]) for x, n in after.items()) + sum(phi(table[x, k] + n) - phi(table[x, k]) for x, n in before.items())
+            - phi(out[k] + c) + phi(out[k]) - phi(into[k] + c) + phi(into[k]) for k in range(6)
+        ]
+        assert gain[kind[w]] > max(gain) - 1e-6
+
+
 def test_language_model_empty_table(none):
     assert brown.train_and_score(none).count() == 0
 
