@@ -5,7 +5,10 @@ positions of the same k-gram in license templates. A hit votes for the
 diagonal (position in the text minus position in the template). Votes are
 summed by diagonal, neighbouring diagonals of one template are merged where
 the text has words more or fewer, and the merged spans are verified: base
-phrases need every k-gram on one diagonal, longer templates a share of theirs.
+phrases need every k-gram on one diagonal; for longer templates the k-grams
+are chained by rising positions in text and template, each counts once, every
+DRIFT words of drift between diagonals cost one, and a share of the template's
+k-grams must be left.
 
 The templates are a bounded configuration, so their table is broadcast. The
 workers drop k-grams whose hash is in no template before they reach the join
@@ -19,6 +22,7 @@ from collections.abc import Iterator, Sequence
 from dataclasses import dataclass
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -64,7 +68,7 @@ LONGER = (
     Template("reserved", "all rights reserved", 2, 1.0),
 )
 TEMPLATES = BASE + LONGER
-#: Words that a text may have more or fewer between two diagonals of one span.
+#: Words that a text may have more or fewer between two diagonals of one span, and between two k-grams of a chain.
 DRIFT = 4
 
 _MIX = np.uint64(0x9E3779B97F4A7C15)
@@ -83,6 +87,38 @@ def gram_hashes(words: Sequence[bytes], k: int) -> np.ndarray:
     return rolled
 
 
+def best_chain(hits: list[tuple[int, int]]) -> tuple[float, int, int]:
+    """(k-grams less drift / DRIFT, first and last text position) of the best chain of hits (text position, template position), sorted.
+
+    Both positions rise along a chain, and a step changes the diagonal by at
+    most DRIFT words. Of equal chains the first found stays. For each template
+    position only hits that a later one can still reach are held, so the time
+    grows with the hits.
+    """
+    best, longest = (0.0, 0, 0), max((t for _, t in hits), default=0)
+    ends: dict[int, list[tuple[int, float, int]]] = {}
+    for pos, t in hits:
+        score, start = 1.0, pos
+        for t_before, held in ends.items():
+            if t_before < t:
+                for at, value, began in reversed(held):
+                    drift = abs((pos - t) - (at - t_before))
+                    if at < pos and drift <= DRIFT and value + 1 - drift / DRIFT > score:
+                        score, start = value + 1 - drift / DRIFT, began
+        held = ends.setdefault(t, [])
+        held.append((pos, score, start))
+        while held[0][0] < pos - longest - DRIFT:
+            held.pop(0)
+        if score > best[0]:
+            best = (score, start, pos)
+    return best
+
+
+def _chains(pos: pd.Series, t_pos: pd.Series) -> pd.DataFrame:
+    made = [best_chain(list(zip(p.tolist(), t.tolist(), strict=True))) for p, t in zip(pos, t_pos, strict=True)]
+    return pd.DataFrame(made, columns=["votes", "first", "last"])
+
+
 def template_positions(spark: SparkSession, templates: Sequence[Template]) -> DataFrame:
     """(h, gram, template, t_pos): every k-gram of every template, a few hundred rows."""
     rows = []
@@ -132,22 +168,31 @@ def _spans(docs: DataFrame, id_col: str, text_col: str, templates: Sequence[Temp
     diagonals = (
         hits.groupBy(*key, (F.col("pos") - F.col("t_pos")).alias("diagonal"))
         .agg(F.collect_set("pos").alias("at"), F.count("n_words").alias("copies"), F.max("n_words").alias("n_words"))
-        .select(*key, "diagonal", "copies", "n_words", F.size("at").alias("votes"), F.array_min("at").alias("first"), F.array_max("at").alias("last"))
+        .select(*key, "diagonal", "at", "copies", "n_words", F.size("at").alias("votes"), F.array_min("at").alias("first"), F.array_max("at").alias("last"))
         .join(F.broadcast(facts), "template", "left")
     )
     order = Window.partitionBy(*key).orderBy("diagonal")
     apart = (F.col("share") >= 1) | (F.col("diagonal") - F.lag("diagonal").over(order) > DRIFT)
-    merged = (
+    exact = F.col("share") >= 1
+    spans = (
         diagonals.withColumn("span", F.sum(F.coalesce(apart, F.lit(True)).cast("int")).over(order))
+        .withColumn("hits", F.when(~exact, F.transform("at", lambda p: F.struct(p.alias("p"), (p - F.col("diagonal")).alias("t")))))
         .groupBy(*key, "label", "t_words", "k", "share", "base", "span")
-        .agg(F.sum("votes").alias("votes"), F.min("first").alias("start"), F.max(F.col("last") + F.col("k")).alias("stop"), F.max("copies").alias("copies"), F.max("n_words").alias("n_words"))
+        .agg(
+            F.array_sort(F.flatten(F.collect_list("hits"))).alias("hits"), F.sum("votes").cast("double").alias("votes"), F.min("first").alias("first"), F.max("last").alias("last"),
+            F.max("copies").alias("copies"), F.max("n_words").alias("n_words"),
+        )
+        .withColumn("chain", F.pandas_udf(_chains, "struct<votes:double,first:bigint,last:bigint>")(F.transform("hits", lambda h: h["p"]), F.transform("hits", lambda h: h["t"])))
+    )
+    of = lambda name: F.when(exact, F.col(name)).otherwise(F.col(f"chain.{name}"))
+    coverage = F.when(F.col("label").isNotNull(), F.least(F.lit(1.0), of("votes") / (F.col("t_words") - F.col("k") + 1)))
+    return spans.select(
+        *key, "label", "base", of("first").alias("start"), (of("last") + F.col("k")).alias("stop"), "copies", "n_words", coverage.alias("coverage"), (coverage >= F.col("share")).alias("verified")
     )
-    coverage = F.when(F.col("label").isNotNull(), F.least(F.lit(1.0), F.col("votes") / (F.col("t_words") - F.col("k") + 1)))
-    return merged.select(*key, "label", "base", "start", "stop", "copies", "n_words", coverage.alias("coverage"), (coverage >= F.col("share")).alias("verified"))
 
 
 def license_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", templates: Sequence[Template] = TEMPLATES) -> DataFrame:
-    """(doc_id, label, base, start, stop, coverage): verified spans, positions in words from 0.
+    """(doc_id, label, base, start, stop, coverage): verified spans, positions in words from 0; of merged diagonals the best chain.
 
     Repeated rows (same id and text) count once here.
     """

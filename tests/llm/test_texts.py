@@ -53,6 +53,40 @@ def test_license_merges_diagonals_and_verifies(spark):
     assert set(spans) == {(1, "mit"), (2, "mit")}
 
 
+def slow_chain(words, template):
+    """Best chain by trying every pair of hits; words and template as lists of bytes."""
+    k = template.k
+    t_words = template.words
+    hits = sorted((i, j) for i in range(len(words) - k + 1) for j in range(len(t_words) - k + 1) if words[i : i + k] == t_words[j : j + k])
+    score = {}
+    for i, j in hits:
+        steps = [score[a, b] + 1 - abs((i - j) - (a - b)) / licenses.DRIFT for a, b in score if a < i and b < j and abs((i - j) - (a - b)) <= licenses.DRIFT]
+        score[i, j] = max([1.0, *steps])
+    return min(1.0, max(score.values(), default=0.0) / (len(t_words) - k + 1))
+
+
+def test_license_templates_match_a_brute_force_aligner(spark):
+    rng = random.Random(5)
+    rows = [(1, "permission is hereby granted " * 14), (2, "redistribution and use in source and binary " * 9)]
+    for i in range(60):
+        t = rng.choice(licenses.LONGER)
+        words = t.text.split()
+        for _ in range(rng.randrange(6)):
+            at = rng.randrange(len(words))
+            words[at : at + rng.randrange(3)] = rng.choices(["the", "of", "software", "license", "x"], k=rng.randrange(5))
+        rows.append((10 + i, " ".join(rng.choices(["a", "b"], k=rng.randrange(8)) + words * rng.randrange(1, 3) + words[: rng.randrange(9)])))
+    rows += [(100 + i, " ".join(rng.choices("is hereby granted free of charge to any person permission".split(), k=200))) for i in range(10)]
+    got = {r.doc_id: (r.labels, r.score) for r in licenses.scan_licenses(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()}
+    assert got[1][0] == ""
+    for doc_id, text in rows:
+        words = text.encode().translate(licenses.WORDS).split()
+        shown = {t: slow_chain(words, t) for t in licenses.LONGER if t.share < 1}
+        labels = {t.label for t, c in shown.items() if c >= t.share} | {t.label for t in licenses.TEMPLATES if t.share >= 1 and any(words[i : i + len(t.words)] == t.words for i in range(len(words)))}
+        assert got[doc_id][0] == ",".join(sorted(labels)), text
+        if not any(t.share >= 1 and t.words[0] in words for t in licenses.TEMPLATES):
+            assert abs(got[doc_id][1] - max(shown.values())) < 1e-9
+
+
 # quality rules
 
 
