@@ -2,9 +2,9 @@
 
 Every historical version of a path is addressed by the hash of its content. A
 ledger holds which (blob, rule, rule version) pairs have been scanned and what
-was found. A run keeps only blobs with an unseen pair, scans each once however
-many paths show it, adds to the ledger, and joins the findings back to all
-paths.
+was found. A run keeps only blobs with an unseen pair, runs only the rules that
+a blob lacks, once however many paths show it, adds to the ledger, and joins
+the findings back to all paths.
 
 Spans come from built-in regular expressions: splitting a text by a pattern
 and extracting the pattern's matches walk the same leftmost non-overlapping
@@ -13,18 +13,24 @@ matches, so the running lengths of both give every start and end.
 
 from __future__ import annotations
 
-from collections.abc import Sequence
+from collections.abc import Callable, Sequence
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from linkblock.llm.common import let
+from linkblock.runtime import settle
 
 
 @dataclass(frozen=True)
 class SecretRule:
-    """kind; a pattern; keep: least code points of group `group` (0: the match). Raise version when it changes."""
+    """kind; a pattern; keep: least code points of group `group` (0: the match). Raise version when it changes.
+
+    probe: a pattern that every text with a kept match matches, for a cheaper
+    first test. Only the author of a rule can know one; without it the pattern
+    itself is tested.
+    """
 
     kind: str
     pattern: str
@@ -32,13 +38,14 @@ class SecretRule:
     keep: int = 1
     base: bool = False
     version: int = 1
+    probe: str | None = None
 
 
 #: The contract's three, then formats that issuers publish.
 RULES: tuple[SecretRule, ...] = (
     SecretRule("assign", "((?i:password|passwd|secret|token|api_?key))[\"']?\\x20*[:=]\\x20*[\"']?([A-Za-z0-9+/_.=-]+)", 2, 6, True),
-    SecretRule("access", "AKIA[A-Z0-9]+", 0, 20, True),
-    SecretRule("hex", "[0-9a-f]+", 0, 24, True),
+    SecretRule("access", "AKIA[A-Z0-9]+", 0, 20, True, probe="AKIA[A-Z0-9]{16,}"),
+    SecretRule("hex", "[0-9a-f]+", 0, 24, True, probe="[0-9a-f]{24,}"),
     SecretRule("private_key", "-----BEGIN [A-Z ]*PRIVATE KEY-----[A-Za-z0-9+/=\\s]+-----END [A-Z ]*PRIVATE KEY-----"),
     SecretRule("forge_token", "gh[pousr]_[A-Za-z0-9]{36,}"),
     SecretRule("chat_token", "xox[abprs]-[A-Za-z0-9-]{10,}"),
@@ -47,46 +54,60 @@ RULES: tuple[SecretRule, ...] = (
     SecretRule("map_key", "AIza[A-Za-z0-9_-]{35}"),
 )
 
-_SPAN = "array<struct<s:int,k:int,e:int,kind:string>>"
-LEDGER = f"blob string, rules string, spans {_SPAN}"
+_SPAN = "array<struct<s:int,e:int,kind:string,version:int>>"
+_SCANNED = "array<struct<kind:string,version:int>>"
+LEDGER = f"blob string, scanned {_SCANNED}, spans {_SPAN}"
+#: Code points that a text is cut into where spans are replaced.
+PIECE = 4096
+
 
+def _sums(values: Column, plus: Callable[[Column, Column], Column]) -> Column:
+    """Running totals of an array under plus, by doubling: as many rounds as its length has bits, each one walk."""
+    rounds = F.sequence(F.lit(0), F.ceil(F.log2(F.greatest(F.size(values), F.lit(1)))).cast("int"))
 
-def rule_set(rules: Sequence[SecretRule]) -> str:
-    """What identifies the rules and their versions in the ledger."""
-    return ",".join(f"{r.kind}@{r.version}" for r in rules)
+    def double(a: Column, i: Column) -> Column:
+        far = F.pow(F.lit(2), i).cast("int")
+        return F.concat(F.slice(a, F.lit(1), far), F.zip_with(
+            F.slice(a, far + 1, F.size(a)), F.slice(a, F.lit(1), F.greatest(F.size(a) - far, F.lit(0))), plus
+        ))
 
+    return F.aggregate(rounds, values, double)
 
-def _one_rule(text: Column, rule: SecretRule, rank: int) -> Column:
-    """Spans of one rule; a text without a match costs one search."""
+
+def _one_rule(text: Column, rule: SecretRule) -> Column:
+    """Spans of one rule; a text without a match costs one search, many matches in it cost in proportion."""
     none = F.array().cast(_SPAN)
     whole = F.regexp_extract_all(text, F.lit(rule.pattern), F.lit(0))
     tested = F.regexp_extract_all(text, F.lit(rule.pattern), F.lit(rule.group)) if rule.group else whole
-    start = F.lit(0).cast("int")
-    walked = let(
-        F.struct(whole.alias("m"), F.split(text, rule.pattern, -1).alias("gap"), tested.alias("t")),
-        lambda v: F.aggregate(
-            F.arrays_zip(v["m"].alias("m"), F.slice(v["gap"], 1, F.size(v["m"])).alias("gap"), v["t"].alias("t")),
-            F.struct(start.alias("at"), none.alias("out")),
-            lambda a, x: F.struct(
-                (a["at"] + F.char_length(x["gap"]) + F.char_length(x["m"])).alias("at"),
-                F.when(
-                    F.char_length(x["t"]) >= rule.keep,
-                    F.concat(a["out"], F.array(F.struct(
-                        (a["at"] + F.char_length(x["gap"])).alias("s"), F.lit(rank).alias("k"),
-                        (a["at"] + F.char_length(x["gap"]) + F.char_length(x["m"])).alias("e"), F.lit(rule.kind).alias("kind"),
-                    ))),
-                ).otherwise(a["out"]).alias("out"),
-            ),
-        )["out"],
-    )
-    # The short form of a length test rejects at once what has no long enough run.
-    likely = rule.pattern if rule.group or rule.keep == 1 else rule.pattern[:-1] + f"{{{rule.keep - (4 if rule.kind == 'access' else 0)},}}"
-    return F.when(text.rlike(likely), walked).otherwise(none)
-
-
-def spans_of(text: Column, rules: Sequence[SecretRule] = RULES) -> Column:
-    """array<struct<s, k, e, kind>> by start, then by the order of the rules."""
-    return F.array_sort(F.concat(*(_one_rule(text, r, i) for i, r in enumerate(rules))))
+    sizes = lambda a: F.transform(a, F.char_length)
+
+    def placed(v: Column) -> Column:
+        """v: m and gap, the lengths of matches and of what is before each; t: of the tested groups."""
+        ends = _sums(F.zip_with(v["m"], F.slice(v["gap"], F.lit(1), F.size(v["m"])), lambda m, g: m + g), lambda a, b: a + b)
+        rows = F.arrays_zip(ends.alias("e"), v["m"].alias("m"), v["t"].alias("t"))
+        kept = F.filter(rows, lambda x: x["t"] >= rule.keep)
+        return F.transform(kept, lambda x: F.struct((x["e"] - x["m"]).alias("s"), x["e"].alias("e"), F.lit(rule.kind).alias("kind"), F.lit(rule.version).alias("version")))
+
+    found = let(F.struct(sizes(whole).alias("m"), sizes(F.split(text, rule.pattern, -1)).alias("gap"), sizes(tested).alias("t")), placed)
+    return F.when(text.rlike(rule.probe or rule.pattern), found).otherwise(none)
+
+
+def spans_of(text: Column, rules: Sequence[SecretRule] = RULES, wanted: Column | None = None) -> Column:
+    """Spans of the rules, one rule after another; wanted: array of (kind, version), only rules in it are run."""
+    none = F.array().cast(_SPAN)
+    run = lambda r: _one_rule(text, r) if wanted is None else F.when(F.array_contains(wanted, _pair(r)), _one_rule(text, r)).otherwise(none)
+    return F.concat(*map(run, rules))
+
+
+def _pair(rule: SecretRule) -> Column:
+    return F.struct(F.lit(rule.kind).alias("kind"), F.lit(rule.version).alias("version"))
+
+
+def in_order(spans: Column, rules: Sequence[SecretRule] = RULES) -> Column:
+    """Spans of the rules as they are now by start, then by the order of the rules: array<struct<s, k, e, kind>>."""
+    rank = F.map_from_entries(F.array(*(F.struct(_pair(r), F.lit(i)) for i, r in enumerate(rules))))
+    ranked = let(rank, lambda m: F.transform(spans, lambda x: F.struct(x["s"].alias("s"), F.try_element_at(m, F.struct(x["kind"].alias("kind"), x["version"].alias("version"))).alias("k"), x["e"].alias("e"), x["kind"].alias("kind"))))
+    return F.when(F.size(spans) > 0, F.array_sort(F.filter(ranked, lambda x: x["k"].isNotNull()))).otherwise(F.array().cast("array<struct<s:int,k:int,e:int,kind:string>>"))
 
 
 def versions(docs: DataFrame, path_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -96,17 +117,21 @@ def versions(docs: DataFrame, path_col: str = "doc_id", text_col: str = "text")
 
 
 def scan_unseen(history: DataFrame, ledger: DataFrame | None = None, rules: Sequence[SecretRule] = RULES, with_text: bool = False) -> DataFrame:
-    """Ledger rows (blob, rules, spans) for blobs of history that the ledger lacks under these rules.
+    """Ledger rows (blob, scanned, spans): of every blob of history the (kind, version) pairs that the ledger lacks, and what they find.
 
-    Equal blobs meet once: copies are cut down on each task before the exchange.
+    Equal blobs meet once: copies are cut down on each task before the
+    exchange. A blob with all its pairs in the ledger gives no row; of the
+    others only the missing rules are run.
     """
-    todo = history.select("blob", "text")
-    if ledger is not None:
-        done = ledger.where(F.col("rules") == rule_set(rules)).select("blob").distinct()
-        todo = todo.join(done, "blob", "left_anti")
-    once = todo.groupBy("blob").agg(F.first("text").alias("text"))
-    found = once.select("blob", F.lit(rule_set(rules)).alias("rules"), "text", spans_of(F.col("text"), rules).alias("spans"))
-    return found if with_text else found.select("blob", "rules", "spans")
+    once = history.select("blob", "text").groupBy("blob").agg(F.first("text").alias("text"))
+    every = F.array(*map(_pair, rules)).cast(_SCANNED)
+    if ledger is None:
+        found = once.select("blob", every.alias("scanned"), "text", spans_of(F.col("text"), rules).alias("spans"))
+    else:
+        done = ledger.groupBy("blob").agg(F.flatten(F.collect_list("scanned")).alias("done"))
+        todo = once.join(done, "blob", "left").withColumn("scanned", F.array_except(every, F.coalesce("done", F.array().cast(_SCANNED)))).where(F.size("scanned") > 0)
+        found = todo.select("blob", "scanned", "text", spans_of(F.col("text"), rules, F.col("scanned")).alias("spans"))
+    return found if with_text else found.select("blob", "scanned", "spans")
 
 
 def scan_versions(history: DataFrame, ledger: DataFrame | None = None, rules: Sequence[SecretRule] = RULES) -> tuple[DataFrame, DataFrame]:
@@ -114,12 +139,17 @@ def scan_versions(history: DataFrame, ledger: DataFrame | None = None, rules: Se
 
     history has one row for each version of each path (see versions()); a
     repeated row gives a repeated finding. An empty history leaves the ledger
-    as it is.
+    as it is. What was new is written once and serves both results. Findings
+    of rules that aren't in `rules` any more, or not in that version, stay in
+    the ledger and are not reported.
     """
-    fresh = scan_unseen(history, ledger, rules)
+    fresh = settle(scan_unseen(history, ledger, rules))
     whole = fresh if ledger is None else ledger.unionByName(fresh)
-    known = whole.where(F.col("rules") == rule_set(rules)).select("blob", "spans")
-    return whole, history.select("path", "blob").join(known, "blob", "left")
+    known = whole.where(F.size("spans") > 0).select("blob", "spans")
+    if ledger is not None:
+        known = known.groupBy("blob").agg(F.flatten(F.collect_list("spans")).alias("spans"))
+    found = history.select("path", "blob").join(known, "blob", "left")
+    return whole, found.select("path", "blob", in_order(F.coalesce("spans", F.array().cast(_SPAN)), rules).alias("spans"))
 
 
 def digest_columns(spans: Column, rules: Sequence[SecretRule] = RULES) -> dict[str, Column]:
@@ -138,18 +168,25 @@ def find_secrets(docs: DataFrame, path_col: str = "doc_id", text_col: str = "tex
 
 
 def redacted(text: Column, spans: Column) -> Column:
-    """text with every span replaced by its kind in brackets; overlapping spans count as one, named after the first."""
-    done = F.aggregate(
-        spans, F.struct(F.lit(0).alias("at"), F.lit("").alias("out")),
-        lambda a, x: F.when(
-            x["e"] > a["at"],
-            F.struct(
-                x["e"].alias("at"),
-                F.when(x["s"] >= a["at"], F.concat(a["out"], F.substring(text, a["at"] + 1, x["s"] - a["at"]), F.lit("["), x["kind"], F.lit("]"))).otherwise(a["out"]).alias("out"),
-            ),
-        ).otherwise(a),
-    )
-    return F.when(F.size(spans) == 0, text).otherwise(let(done, lambda d: F.concat(d["out"], F.substring(text, d["at"] + 1, F.lit(2147483647)))))
+    """text with every span replaced by its kind in brackets; overlapping spans count as one, named after the first.
+
+    spans as in_order() gives them. The text is cut in pieces of PIECE code
+    points, so that reaching a span doesn't take a walk from the text's start.
+    """
+    def cut(pieces: Column, a: Column, b: Column) -> Column:
+        """Code points a to b, from the pieces that hold them."""
+        part = lambda i: F.substring(F.get(pieces, i), F.greatest(a - i * PIECE, F.lit(0)) + 1, F.least(b - i * PIECE, F.lit(PIECE)) - F.greatest(a - i * PIECE, F.lit(0)))
+        return F.when(b > a, F.array_join(F.transform(F.sequence(F.floor(a / PIECE).cast("int"), F.floor((b - 1) / PIECE).cast("int")), part), "")).otherwise(F.lit(""))
+
+    def made(v: Column) -> Column:
+        """v: pieces of the text, its length, spans x, and the furthest end of spans up to each."""
+        rows = F.transform(v["x"], lambda x, i: F.struct(x["s"].alias("s"), x["kind"].alias("kind"), F.coalesce(F.get(v["far"], i - 1), F.lit(0)).alias("at")))
+        shown = F.transform(F.filter(rows, lambda x: x["s"] >= x["at"]), lambda x: F.concat(cut(v["pieces"], x["at"], x["s"]), F.lit("["), x["kind"], F.lit("]")))
+        return F.concat(F.array_join(shown, ""), cut(v["pieces"], F.element_at(v["far"], -1), v["n"]))
+
+    far = _sums(F.transform(spans, lambda x: x["e"]), lambda a, b: F.greatest(a, b))
+    pieces = F.regexp_extract_all(text, F.lit(f"(?s).{{1,{PIECE}}}"), F.lit(0))
+    return F.when(F.size(spans) == 0, text).otherwise(let(F.struct(pieces.alias("pieces"), F.char_length(text).alias("n"), spans.alias("x"), far.alias("far")), made))
 
 
 def redact_documents(docs: DataFrame, text_col: str = "text", size_col: str | None = "n_chars", rules: Sequence[SecretRule] = RULES) -> DataFrame:
@@ -163,7 +200,7 @@ def redact_documents(docs: DataFrame, text_col: str = "text", size_col: str | No
     blob = F.sha2(F.coalesce(text, F.lit("")), 256).alias("blob")
     rows = docs.select(rest, text.isNull().alias("void"), blob)
     seen = scan_unseen(docs.select(blob, F.coalesce(text, F.lit("")).alias("text")), None, rules, with_text=True)
-    clean = seen.select("blob", F.size("spans").alias("hits"), redacted(F.col("text"), F.col("spans")).alias("clean"))
+    clean = seen.select("blob", F.size("spans").alias("hits"), "text", in_order(F.col("spans"), rules).alias("spans")).select("blob", "hits", redacted(F.col("text"), F.col("spans")).alias("clean"))
     joined = rows.join(clean, "blob")
     columns = []
     for name in docs.columns:

@@ -3,6 +3,7 @@
 import hashlib
 import random
 import re
+import time
 import zlib
 from collections import Counter
 
@@ -170,6 +171,60 @@ def test_ledger_scans_only_unseen_pairs(spark):
     assert secrets.scan_unseen(grown, whole, newer).count() == 3
 
 
+def test_a_new_rule_is_all_that_known_blobs_are_scanned_for(spark):
+    old = spark.createDataFrame([(1, "token=abcdef1 tok_abc12"), (2, "none")], "doc_id bigint, text string")
+    ledger, _ = secrets.scan_versions(secrets.versions(old))
+    more = [*secrets.RULES, secrets.SecretRule("own", "tok_[a-z]+[0-9]{2}", keep=8)]
+    grown = secrets.versions(old.unionByName(spark.createDataFrame([(3, "password: qwertyu tok_x11 tok_xyz22")], old.schema)))
+    fresh = {len(r.scanned): r for r in secrets.scan_unseen(grown, ledger, more).where("size(spans) > 0").collect()}
+    assert [(x.kind, x.s) for x in fresh[1].spans] == [("own", 14)]
+    assert sorted(x.kind for x in fresh[len(more)].spans) == ["assign", "own"]
+    whole, found = secrets.scan_versions(grown, ledger, more)
+    assert whole.count() == 5 and {r.path: [x.kind for x in r.spans] for r in found.collect()} == {1: ["assign", "own"], 2: [], 3: ["assign", "own"]}
+    # A rule of another version finds anew, and what its old version found isn't shown.
+    raised = [secrets.SecretRule("assign", "token=[a-z]+", version=2)]
+    after, found = secrets.scan_versions(grown, whole, raised)
+    assert after.count() == 8 and {r.path: [(x.s, x.e) for x in r.spans] for r in found.collect()} == {1: [(0, 12)], 2: [], 3: []}
+
+
+@pytest.mark.parametrize("pattern, keep, text, want", [("ab+", 3, "ab abb x", [(3, 6)]), ("tok_[a-z]+[0-9]{2}", 10, "tok_abcd12 tok_a12", [(0, 10)]), ("(a|b)", 1, "xab", [(1, 2), (2, 3)]), ("\\|", 1, "a|b", [(1, 2)])])
+def test_secret_rules_of_any_shape(spark, pattern, keep, text, want):
+    df = spark.createDataFrame([(1, text)], "doc_id bigint, text string")
+    _, found = secrets.scan_versions(secrets.versions(df), None, [secrets.SecretRule("own", pattern, keep=keep)])
+    assert [(x.s, x.e) for x in found.first().spans] == want
+
+
+def slow_redaction(text, spans):
+    at, out = 0, []
+    for s, _, e, kind in spans:
+        if e > at:
+            if s >= at:
+                out += [text[at:s], f"[{kind}]"]
+            at = e
+    return "".join(out) + text[at:]
+
+
+def test_redaction_of_many_spans_over_pieces(spark):
+    rng = random.Random(8)
+    texts = ["".join(rng.choice(["é", "\U0001f600", " token=abcdef1 ", "password: secret=aaaaaaaaa ", "0123456789abcdef0123456789 ", "\n"]) for _ in range(n)) for n in (3, 900, 4000)]
+    df = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id bigint, text string")
+    base = [r for r in secrets.RULES if r.base]
+    out = {r.doc_id: r.text for r in secrets.redact_documents(df, size_col=None, rules=base).collect()}
+    assert out == {i: slow_redaction(t, base_spans(t)) for i, t in enumerate(texts)}
+
+
+def test_many_hits_in_one_text_take_time_in_proportion(spark):
+    def took(n):
+        df = spark.createDataFrame([(1, "token=abcdef1 " * n)], "doc_id bigint, text string")
+        began = time.time()
+        assert len(secrets.find_secrets(df).first().spans.split(",")) == n
+        assert secrets.redact_documents(df, size_col=None).first().text == "[assign] " * n
+        return time.time() - began
+
+    took(100)
+    assert took(200_000) < 15 * max(1.0, took(20_000))
+
+
 def test_secrets_run_without_python(small):
     plan = secrets.find_secrets(small[0])._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Arrow" not in plan
