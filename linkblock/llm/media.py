@@ -11,21 +11,73 @@ from __future__ import annotations
 import hashlib
 import struct
 import zlib
+from bisect import bisect_left, bisect_right
 from collections.abc import Callable
-from functools import lru_cache
+from functools import cached_property, lru_cache
 
 from pyspark.sql import DataFrame
 
 from linkblock.llm.common import narrow, per_document
 
 UNKNOWN = "application/octet-stream"
-
-
-def _wav(d: bytes, at: int) -> int | None:
-    return len_ if (len_ := _riff(d, at, b"WAVE")) and wav_samples(d[at : at + len_]) is not None else None
-
-
-def _webp(d: bytes, at: int) -> int | None:
+#: Codes of whole, floating and extensible samples.
+WAV_FORMS = (1, 3, 0xFFFE)
+#: Formats whose inside is compressed: nothing is sought there.
+OPAQUE = ("application/gzip", "image/png", "image/jpeg", "audio/ogg")
+#: Bytes without a meaning that may follow an object up to the value's end.
+PADDING = b"\0 \t\r\n"
+
+
+class Marks:
+    """Places of end marks in a value, each sought once however many headers ask for it."""
+
+    def __init__(self, data: bytes):
+        self.data, self.places = data, {}
+
+    def all(self, mark: bytes) -> list[int]:
+        if mark not in self.places:
+            found, at = [], self.data.find(mark)
+            while at >= 0:
+                found.append(at)
+                at = self.data.find(mark, at + 1)
+            self.places[mark] = found
+        return self.places[mark]
+
+    def after(self, mark: bytes, at: int) -> int:
+        """The first place of mark from `at` on, or -1."""
+        found = self.all(mark)
+        i = bisect_left(found, at)
+        return found[i] if i < len(found) else -1
+
+    @cached_property
+    def pdf_ends(self) -> list[int]:
+        """Ends of PDF bodies: an end mark that a cross-reference offset stands before, with the line's end after it."""
+        found = []
+        for at in self.all(b"%%EOF"):
+            if b"startxref" in self.data[max(0, at - 64) : at]:
+                end = at + 5
+                end += self.data[end : end + 1] == b"\r"
+                found.append(end + (self.data[end : end + 1] == b"\n"))
+        return found
+
+    @cached_property
+    def zip_ends(self) -> dict[int, int]:
+        """By the start of each archive that an end record tells of: its furthest end."""
+        found: dict[int, int] = {}
+        for end in self.all(b"PK\x05\x06"):
+            if end + 22 <= len(self.data):
+                size, start, note = struct.unpack_from("<IIH", self.data, end + 12)
+                central = end - size
+                if central >= start and end + 22 + note <= len(self.data) and (size == 0 or self.data[central : central + 4] == b"PK\x01\x02"):
+                    found[central - start] = max(end + 22 + note, found.get(central - start, 0))
+        return found
+
+
+def _wav(d: bytes, at: int, marks: Marks) -> int | None:
+    return size if (size := _riff(d, at, b"WAVE")) and wav_samples(d, at, at + size) is not None else None
+
+
+def _webp(d: bytes, at: int, marks: Marks) -> int | None:
     return _riff(d, at, b"WEBP") if d[at + 12 : at + 15] == b"VP8" else None
 
 
@@ -36,15 +88,15 @@ def _riff(d: bytes, at: int, form: bytes) -> int | None:
     return size if at + size <= len(d) else None
 
 
-def wav_samples(d: bytes) -> tuple[int, int] | None:
-    """Start and length of the samples of a PCM file, if its chunks are sound."""
-    at, described = 12, False
-    while at + 8 <= len(d):
+def wav_samples(d: bytes, start: int = 0, stop: int | None = None) -> tuple[int, int] | None:
+    """Start and length of the samples of a sound file of whole or floating samples, if its chunks are sound."""
+    at, described, stop = start + 12, False, len(d) if stop is None else stop
+    while at + 8 <= stop:
         kind, size = d[at : at + 4], struct.unpack_from("<I", d, at + 4)[0]
-        if at + 8 + size > len(d):
+        if at + 8 + size > stop:
             return None
         if kind == b"fmt ":
-            if size < 16 or struct.unpack_from("<H", d, at + 8)[0] != 1:
+            if size < 16 or struct.unpack_from("<H", d, at + 8)[0] not in WAV_FORMS:
                 return None
             described = True
         elif kind == b"data":
@@ -53,7 +105,7 @@ def wav_samples(d: bytes) -> tuple[int, int] | None:
     return None
 
 
-def _png(d: bytes, at: int) -> int | None:
+def _png(d: bytes, at: int, marks: Marks) -> int | None:
     p, first = at + 8, True
     while p + 12 <= len(d):
         size, kind = struct.unpack_from(">I4s", d, p)
@@ -66,7 +118,7 @@ def _png(d: bytes, at: int) -> int | None:
     return None
 
 
-def _gif(d: bytes, at: int) -> int | None:
+def _gif(d: bytes, at: int, marks: Marks) -> int | None:
     def blocks(p: int) -> int | None:
         while p < len(d):
             if d[p] == 0:
@@ -89,12 +141,12 @@ def _gif(d: bytes, at: int) -> int | None:
     return None
 
 
-def _jpeg(d: bytes, at: int) -> int | None:
+def _jpeg(d: bytes, at: int, marks: Marks) -> int | None:
     p = at + 2
     while p + 4 <= len(d) and d[p] == 0xFF:
         mark = d[p + 1]
         if mark == 0xDA:
-            end = d.find(b"\xff\xd9", p)
+            end = marks.after(b"\xff\xd9", p)
             return end + 2 - at if end >= 0 else None
         if mark < 0xC0:
             return None
@@ -102,7 +154,7 @@ def _jpeg(d: bytes, at: int) -> int | None:
     return None
 
 
-def _bmp(d: bytes, at: int) -> int | None:
+def _bmp(d: bytes, at: int, marks: Marks) -> int | None:
     if at + 30 > len(d):
         return None
     size, zero, start, head = struct.unpack_from("<IIII", d, at + 2)
@@ -110,49 +162,57 @@ def _bmp(d: bytes, at: int) -> int | None:
     return size if ok and at + size <= len(d) else None
 
 
-def _pdf(d: bytes, at: int) -> int | None:
+def _pdf(d: bytes, at: int, marks: Marks) -> int | None:
+    """The last body's end before the next header, as a file that was added to has several; to the value's end where only blanks follow."""
     if not d[at + 5 : at + 6].isdigit():
         return None
-    end = d.find(b"%%EOF", at)
-    return end + 5 - at if end >= 0 and b"startxref" in d[max(at, end - 64) : end] else None
-
-
-def _zip(d: bytes, at: int) -> int | None:
-    end = d.find(b"PK\x05\x06", at)
-    if end < 0 or end + 22 > len(d):
-        return None
-    size, start, note = struct.unpack_from("<IIH", d, end + 12)
-    sound = at + start + size == end and (size == 0 or d[at + start : at + start + 4] == b"PK\x01\x02")
-    return end + 22 + note - at if sound and end + 22 + note <= len(d) else None
-
-
-def _gzip(d: bytes, at: int) -> int | None:
-    z = zlib.decompressobj(31)
-    try:
-        p = at
-        while p < len(d) and not z.eof:
-            z.decompress(d[p : p + 65536])
-            p += 65536
-    except zlib.error:
-        return None
-    return min(p, len(d)) - len(z.unused_data) - at if z.eof else None
-
-
-def _ogg(d: bytes, at: int) -> int | None:
+    ends, last = marks.pdf_ends, len(d)
+    if at == 0 and ends and not d[ends[-1] :].strip():
+        return len(d)
+    following = marks.after(b"%PDF-", at + 1)
+    i = bisect_right(ends, last if following < 0 else following) - 1
+    return ends[i] - at if i >= 0 and ends[i] > at else None
+
+
+def _zip(d: bytes, at: int, marks: Marks) -> int | None:
+    end = marks.zip_ends.get(at)
+    return end - at if end else None
+
+
+def _gzip(d: bytes, at: int, marks: Marks) -> int | None:
+    """One or more members in a row."""
+    p, whole = at, None
+    while d[p : p + 3] == b"\x1f\x8b\x08":
+        z = zlib.decompressobj(31)
+        try:
+            while p < len(d) and not z.eof:
+                z.decompress(d[p : p + 65536])
+                p += 65536
+        except zlib.error:
+            break
+        if not z.eof:
+            break
+        p = min(p, len(d)) - len(z.unused_data)
+        whole = p - at
+    return whole
+
+
+def _ogg(d: bytes, at: int, marks: Marks) -> int | None:
+    """Pages from a first one to a last one; later pages begin nothing."""
     p = at
     while d[p : p + 4] == b"OggS" and p + 27 <= len(d):
-        n = d[p + 26]
+        n, flags = d[p + 26], d[p + 5]
         end = p + 27 + n + sum(d[p + 27 : p + 27 + n])
-        if d[p + 4] != 0 or end > len(d):
+        if d[p + 4] != 0 or end > len(d) or (flags & 2 == 0) == (p == at):
             return None
-        if d[p + 5] & 4:
+        if flags & 4:
             return end - at
         p = end
     return None
 
 
 #: Magic bytes, media type, validator.
-FORMATS: tuple[tuple[bytes, str, Callable[[bytes, int], int | None]], ...] = (
+FORMATS: tuple[tuple[bytes, str, Callable[[bytes, int, Marks], int | None]], ...] = (
     (b"RIFF", "audio/wav", _wav), (b"RIFF", "image/webp", _webp), (b"\x89PNG\r\n\x1a\n", "image/png", _png),
     (b"GIF87a", "image/gif", _gif), (b"GIF89a", "image/gif", _gif), (b"\xff\xd8\xff", "image/jpeg", _jpeg),
     (b"BM", "image/bmp", _bmp), (b"%PDF-", "application/pdf", _pdf), (b"PK\x03\x04", "application/zip", _zip),
@@ -175,22 +235,40 @@ def _magic():
 
 
 def sniff(data: bytes) -> list[tuple[str, int, int]]:
-    """(type, start, length) of every valid object that isn't inside an earlier one's header, by start."""
-    found = []
+    """(type, start, length) of every valid object by start, the longer first; none inside a compressed one."""
+    found, marks, closed = [], Marks(data), 0
     for last, rules in _magic().iter(data.decode("latin-1")):
         for size, kind, valid in rules:
             start = last - size + 1
-            if length := valid(data, start):
+            if start >= closed and (length := valid(data, start, marks)):
                 found.append((kind, start, length))
+                if kind in OPAQUE:
+                    closed = start + length
     return sorted(found, key=lambda x: (x[1], -x[2]))
 
 
 def own_type(data: bytes, found: list[tuple[str, int, int]]) -> str:
-    return next((kind for kind, start, length in found if start == 0 and length == len(data)), UNKNOWN)
+    """The type of the object at byte 0 that covers the value but for padding."""
+    return next((kind for kind, start, length in found if start == 0 and not data[length:].strip(PADDING)), UNKNOWN)
+
+
+def examine(data: bytes, declared: str | None) -> tuple[str, bool, list[tuple[str, int, int, bytes | None]]]:
+    """(type, whether the declared one was wrong, carved objects (type, start, length, content)).
+
+    Objects inside a carved one have no content of their own: it is in the
+    outer one's, so what is carved is at most the value once more.
+    """
+    found = sniff(data)
+    kind, done, carved = own_type(data, found), 0, []
+    for k, s, n in found:
+        if s or data[n:].strip(PADDING):
+            carved.append((k, s, n, data[s : s + n] if s + n > done else None))
+            done = max(done, s + n)
+    return kind, declared != kind, carved
 
 
 def inspect_media(df: DataFrame, id_col: str, bytes_col: str, declared_col: str) -> DataFrame:
-    """doc_id, declared, media_type, corrected, and carved: [(type, start, length, content)] of a binary column.
+    """doc_id, declared, media_type, corrected, and carved: [(type, start, length, content)] of a binary column (see examine()).
 
     Null or empty bytes: unknown type, nothing carved. A null declared type counts as wrong.
     Rows are judged alone: ties and repeated rows give repeated rows.
@@ -204,20 +282,17 @@ def inspect_media(df: DataFrame, id_col: str, bytes_col: str, declared_col: str)
         for whole in batches:
             for at in range(0, whole.num_rows, 64):
                 part = whole.slice(at, 64)
-                types, carved = [], []
-                for d in part.column("text").to_pylist():
-                    d = d or b""
-                    found = sniff(d)
-                    types.append(own_type(d, found))
-                    carved.append([{"type": k, "start": s, "length": n, "content": d[s : s + n]} for k, s, n in found if n < len(d)])
                 declared = part.column("declared")
-                wrong = [a != b for a, b in zip(declared.to_pylist(), types, strict=True)]
+                types, wrong, objects = zip(*(examine(d or b"", said) for d, said in zip(part.column("text").to_pylist(), declared.to_pylist(), strict=True)), strict=True)
+                carved = [[dict(zip(("type", "start", "length", "content"), x, strict=True)) for x in own] for own in objects]
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), declared, pa.array(types, pa.string()), pa.array(wrong, pa.bool_()), pa.array(carved, kinds)], names=["doc_id", "declared", "media_type", "corrected", "carved"])
 
     return own.mapInArrow(run, "doc_id bigint, declared string, media_type string, corrected boolean, carved array<struct<type:string,start:bigint,length:bigint,content:binary>>")
 
 
 UNIT = 576
+#: What the stored form of a text is declared as before it is examined.
+DECLARED = "text/plain"
 
 
 def payload_of(raw: bytes) -> bytes:
@@ -231,23 +306,22 @@ def as_wav(payload: bytes, rate: int = 8000) -> bytes:
 
 
 def store_texts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Each text's bytes as the samples of a sound file, sniffed, carved and read back.
+    """Each text's bytes as the samples of a sound file that is declared as the text it holds, examined and read back.
 
-    The file is declared as unknown, recognised by its magic bytes, and its
-    samples are taken from where the validator found them. feature: corrected
-    type, number of samples, their sum, embedded objects. Null text is empty text.
+    examine() corrects the declared type by the magic bytes and carves what is
+    embedded; the samples are taken from where the validator found them.
+    feature: corrected type, number of samples, their sum, number and bytes of
+    embedded objects. Null text is empty text.
     """
 
     def work(raw: bytes):
         media = as_wav(payload_of(raw))
-        found = sniff(media)
-        kind = own_type(media, found)
+        kind, wrong, inside = examine(media, DECLARED)
         start, size = wav_samples(media)
         back = media[start : start + size]
-        inside = sum(1 for _, s, n in found if n < len(media))
         return (
-            len(raw), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-32:]), len(media),
-            hashlib.sha256(media).hexdigest(), f"{kind};samples={size};sum={_total(back)};embedded={inside}",
+            len(raw), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-32:]), len(media), hashlib.sha256(media).hexdigest(),
+            f"{kind};samples={size};sum={_total(back)};embedded={len(inside)};carved={sum(len(x[3] or b'') for x in inside)};corrected={int(wrong)}",
         )
 
     return per_document(

@@ -269,6 +269,52 @@ def test_media_types_are_corrected_and_embedded_objects_carved(spark):
     assert out[51].media_type == out[52].media_type == media.UNKNOWN and not out[51].carved and not out[52].carved
 
 
+def slow_feature(text):
+    """Type, samples, sum; embedded images and archives by searching their whole bytes isn't needed where the text has no magic bytes."""
+    raw = (text or "").encode()
+    pay = raw + b"\xff" * (max(576, -(-len(raw) // 576) * 576) - len(raw))
+    head = b"RIFF" + (36 + len(pay)).to_bytes(4, "little") + b"WAVEfmt " + (16).to_bytes(4, "little") + b"\x01\0\x01\0" + (8000).to_bytes(4, "little") * 2 + b"\x01\0\x08\0data" + len(pay).to_bytes(4, "little")
+    return hashlib.sha256(head + pay).hexdigest(), f"audio/wav;samples={len(pay)};sum={sum(pay)};embedded=0;carved=0;corrected=1"
+
+
+def test_media_features_match_brute_force(small, odd):
+    docs = odd.select("doc_id", "text").unionByName(small[0].select("doc_id", "text"))
+    got = media.store_texts(docs).collect()
+    assert keyed((r.doc_id, r.media_sha256, r.feature) for r in got) == keyed((r.doc_id, *slow_feature(r.text)) for r in docs.collect())
+
+
+def test_media_objects_with_several_ends():
+    import gzip
+    import io
+    import zipfile
+
+    made = objects()
+    body = b"%PDF-1.4\nx\nstartxref\n9\n%%EOF"
+    whole = {"application/pdf": body + b"\n" + b"more\nstartxref\n99\n%%EOF\r\n  ", "application/gzip": gzip.compress(b"a") + gzip.compress(b"b")}
+    packed = io.BytesIO()
+    with zipfile.ZipFile(packed, "w", zipfile.ZIP_STORED) as z:
+        z.writestr("in.zip", made["application/zip"])
+        z.writestr("b.txt", "x")
+    whole["application/zip"] = packed.getvalue()
+    for kind, data in whole.items():
+        assert media.examine(data, kind)[:2] == (kind, False)
+        for after in (b"\n", b"\0\0 "):
+            assert media.examine(data + after, None)[0] == kind
+        inside = media.examine(b"junk " + data + b" junk %PDF-1.4 junk", "x/y")
+        assert inside[0] == media.UNKNOWN and inside[1] and (kind, 5) in {x[:2] for x in inside[2]}
+    nested = media.examine(b"--" + whole["application/zip"] + b"--", None)[2]
+    assert [(k, c is None) for k, _, _, c in nested] == [("application/zip", False), ("application/zip", True)]
+    page = lambda flags: b"OggS\0" + bytes([flags]) + b"\0" * 20 + b"\x01\x02ab"
+    assert media.sniff(page(2) + page(0) + page(4)) == [("audio/ogg", 0, 90)] and media.sniff(page(0) + page(4)) == []
+
+
+@pytest.mark.parametrize("unit", [b"%PDF-1", b"PK\x03\x04", b"PK\x05\x06", b"\xff\xd8\xff\xda\0\2", b"\x1f\x8b\x08\0", b"OggS", b"GIF89a", b"RIFF\xff\0\0\0WAVE", b"BM", b"startxref\n%%EOF", b"\x89PNG\r\n\x1a\n"])
+def test_repeated_magic_bytes_take_time_in_proportion(unit):
+    began = time.time()
+    media.examine(unit * 40_000, None)
+    assert time.time() - began < 10
+
+
 # byte-level BPE
 
 
