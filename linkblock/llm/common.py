@@ -8,6 +8,7 @@ from collections.abc import Iterable, Iterator
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import IntegralType, NullType
 
 from linkblock.runtime import ensure_checkpoint_dir
 
@@ -24,10 +25,18 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
+def whole_id(df: DataFrame, id_col: str) -> Column:
+    """The id column as a bigint. Ids of other than whole numbers are refused here, before any job fails on one of them."""
+    kind = df.schema[id_col].dataType
+    if not isinstance(kind, (IntegralType, NullType)):
+        raise TypeError(f"{id_col} is {kind.simpleString()}, ids must be whole numbers: give rows a bigint key first and join other ids back by it")
+    return df[id_col].cast("bigint")
+
+
 def narrow(docs: DataFrame, id_col: str, text_col: str, **more: str) -> DataFrame:
     """Only what an operator needs, under its own names, so that other columns of docs can't clash."""
     return docs.select(
-        docs[id_col].cast("bigint").alias("doc_id"), docs[text_col].cast("string").alias("text"),
+        whole_id(docs, id_col).alias("doc_id"), docs[text_col].cast("string").alias("text"),
         *(docs[c].alias(name) for name, c in more.items()),
     )
 

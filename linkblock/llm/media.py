@@ -17,7 +17,7 @@ from functools import cached_property, lru_cache
 
 from pyspark.sql import DataFrame
 
-from linkblock.llm.common import narrow, per_document
+from linkblock.llm.common import narrow, per_document, whole_id
 
 UNKNOWN = "application/octet-stream"
 #: Codes of whole, floating and extensible samples.
@@ -273,7 +273,7 @@ def inspect_media(df: DataFrame, id_col: str, bytes_col: str, declared_col: str)
     Null or empty bytes: unknown type, nothing carved. A null declared type counts as wrong.
     Rows are judged alone: ties and repeated rows give repeated rows.
     """
-    own = df.select(df[id_col].cast("bigint").alias("doc_id"), df[bytes_col].cast("binary").alias("text"), df[declared_col].cast("string").alias("declared"))
+    own = df.select(whole_id(df, id_col).alias("doc_id"), df[bytes_col].cast("binary").alias("text"), df[declared_col].cast("string").alias("declared"))
 
     def run(batches):
         import pyarrow as pa

@@ -12,25 +12,29 @@ reruns and lost executors give the same mix.
 No source is ever gathered in one task: where the order reaches its end is
 found by summing sizes in 1,024 buckets of the rank and again inside the
 bucket that holds the end. Only the documents around the end (LOOKAHEAD of
-them and what shares a bucket of a millionth of the source with it) meet, to
-fill what is left with those that still fit.
+them and what shares a bucket of a millionth of the source with it) meet; a
+few of them change places so that their sum comes nearest to what is left.
 """
 
 from __future__ import annotations
 
 from collections.abc import Callable
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from linkblock.llm.common import SPACE
+from linkblock.llm.common import SPACE, whole_id
 from linkblock.runtime import settle
 
 SHARE, CAP, CYCLE = 1.5, 2.0, (3.0, 1.0, 2.0)
 COARSE, FINE = 1024, 1024 * 1024
 LOOKAHEAD = 512
+#: So many of the last documents taken and of the first ones left out may change places to come nearer to the target.
+WINDOW = 48
 #: Tables up to so many rows are broadcast after their rows were counted; beyond, joins shuffle.
 BROADCAST_ROWS = 50_000
+BITS = 1 << 30
 _NEAR = 1e-9
 
 
@@ -46,7 +50,7 @@ def stub_weight(size: Column) -> Column:
 def _keyed(docs: DataFrame, id_col: str, source_col: str, size: Column, weight: Callable[[Column], Column]) -> list[Column]:
     source = docs[source_col].cast("string")
     return [
-        docs[id_col].cast("bigint").alias("mix_id"), F.coalesce(docs[id_col].cast("bigint").cast("string"), F.lit("")).alias("mix_ref"),
+        whole_id(docs, id_col).alias("mix_id"), F.coalesce(whole_id(docs, id_col).cast("string"), F.lit("")).alias("mix_ref"),
         F.coalesce(F.concat(F.lit("s"), source), F.lit("n")).alias("mix_key"), source.isNull().alias("mix_last"),
         size.alias("mix_size"), weight(size).alias("mix_weight"),
     ]
@@ -83,6 +87,48 @@ def source_targets(sized: DataFrame, share: float = SHARE, cap: float = CAP, cyc
     return fill(ranked, ["_all"], "_weight", "_cap", "_total", "target").select("mix_key", "source_size", "target")
 
 
+def nearest_fill(sizes: list[int], left: float, window: int = WINDOW) -> list[int]:
+    """Places in sizes (documents in order of rank) whose sum comes nearest to left.
+
+    Documents are taken in order while they fit. Then the last `window` taken
+    and the first `window` not taken are chosen anew, by the sums that their
+    subsets can have; of equal sums one that takes earlier documents stays.
+    """
+    taken, room = [], left
+    for i, size in enumerate(sizes):
+        if size <= room:
+            taken.append(i)
+            room -= size
+    if room < 1 or not sizes:
+        return taken
+    own = set(taken)
+    # All sums of so many documents take a bit each: at most BITS of them are held.
+    while window > 1 and 2 * window * (sum(sizes[i] for i in taken[-window:]) + room + max(sizes)) > BITS:
+        window //= 2
+    some = sorted(taken[-window:] + [i for i in range(len(sizes)) if i not in own][:window])
+    fixed = [i for i in taken if i not in set(some)]
+    goal = left - sum(sizes[i] for i in fixed)
+    # Bit j of reach[n]: the last n of some have a subset of sum j.
+    most = int(goal) + max(sizes) + 1
+    reach, mask = [1], (1 << most + 1) - 1
+    for i in reversed(some):
+        reach.append((reach[-1] | reach[-1] << sizes[i]) & mask)
+    low = (reach[-1] & (1 << int(goal) + 1) - 1).bit_length() - 1
+    above = reach[-1] >> int(goal) + 1
+    high = int(goal) + 1 + (above & -above).bit_length() - 1 if above else None
+    best = high if high is not None and high - goal < goal - low else low
+    for n, i in enumerate(some):
+        rest = reach[len(some) - n - 1]
+        if best >= sizes[i] and rest >> best - sizes[i] & 1:
+            fixed.append(i)
+            best -= sizes[i]
+    return sorted(fixed)
+
+
+def _fill_ends(sizes: pd.Series, left: pd.Series) -> pd.Series:
+    return pd.Series([nearest_fill([int(x) for x in s], float(r)) for s, r in zip(sizes, left, strict=True)])
+
+
 class MixPlan:
     """Small tables that say how many copies each document gets; copies() applies them to any table of documents."""
 
@@ -115,10 +161,12 @@ class MixPlan:
         before = order.rowsBetween(Window.unboundedPreceding, -1)
 
         def ends(summed: DataFrame, used: Column) -> DataFrame:
-            """The bucket in which the words left run out, and the last bucket that lookahead reaches."""
+            """The buckets around the one in which the words left run out: WINDOW documents before it, LOOKAHEAD from it on."""
             run = summed.withColumn("_used", used + F.coalesce(F.sum("_size").over(before), F.lit(0))).withColumn("_end", F.col("_used") + F.col("_size") > F.col("_left"))
             past = F.coalesce(F.sum(F.when(F.col("_end"), F.col("_n")).otherwise(0)).over(before), F.lit(0))
-            return run.withColumn("_past", past).where("_end AND _past < %d" % LOOKAHEAD).groupBy("mix_key").agg(
+            behind = F.coalesce(F.sum(F.when(F.col("_end"), 0).otherwise(F.col("_n"))).over(order.rowsBetween(1, Window.unboundedFollowing)), F.lit(0))
+            near = F.when(F.col("_end"), F.col("_past") < LOOKAHEAD).otherwise(F.col("_behind") < WINDOW)
+            return run.withColumn("_past", past).withColumn("_behind", behind).where(near).groupBy("mix_key").agg(
                 F.min("_b").alias("_from"), F.max("_b").alias("_to"), F.min_by("_used", "_b").alias("_used"), F.first("_left").alias("_left")
             )
 
@@ -129,16 +177,11 @@ class MixPlan:
         self.ends = settle(ends(fine, F.col("_cu")))
         around = _join_small(ranked.drop("_left"), self.ends, ["mix_key"]).where("_f BETWEEN _from AND _to")
         same = around.groupBy("mix_key", "mix_ref", "mix_size", "_rank").agg(F.count("*").alias("_n"), F.first("_left").alias("_left"), F.first("_used").alias("_used"))
-        rows = same.groupBy("mix_key").agg(F.array_sort(F.collect_list(F.struct("_rank", "mix_ref", "mix_size", "_n"))).alias("a"), (F.first("_left") - F.first("_used")).alias("_left"))
-        picked = F.aggregate(
-            "a", F.struct(F.col("_left").alias("left"), F.array().cast("array<struct<_rank:double,mix_ref:string,mix_size:bigint,_n:bigint>>").alias("ids")),
-            lambda s, x: F.when(x["mix_size"] * x["_n"] <= s["left"], F.struct((s["left"] - x["mix_size"] * x["_n"]).alias("left"), F.concat(s["ids"], F.array(x)).alias("ids"))).otherwise(s),
-        )
-        # One more document if going over brings the source nearer to its target than stopping short.
-        rest = lambda s: F.filter("a", lambda x: ~F.exists(s["ids"], lambda y: (y["_rank"] == x["_rank"]) & (y["mix_ref"] == x["mix_ref"]) & (y["mix_size"] == x["mix_size"])))
-        nearer = lambda s: F.array_min(F.transform(rest(s), lambda x: F.struct(F.abs(s["left"] - x["mix_size"] * x["_n"]).alias("off"), x.alias("x"))))
-        chosen = F.transform(F.array(picked), lambda s: F.transform(F.array(nearer(s)), lambda b: F.when(b["off"] < s["left"], F.concat(s["ids"], F.array(b["x"]))).otherwise(s["ids"]))[0])[0]
-        self.picks = settle(rows.select("mix_key", F.explode(chosen).alias("x")).select("mix_key", "x.mix_ref", "x.mix_size", F.lit(1).alias("_picked")))
+        items = F.array_sort(F.collect_list(F.struct("_rank", "mix_ref", "mix_size", "_n")))
+        rows = same.groupBy("mix_key").agg(items.alias("a"), (F.first("_left") - F.first("_used")).alias("_left"))
+        chosen = F.pandas_udf(_fill_ends, "array<int>")(F.transform("a", lambda x: x["mix_size"] * x["_n"]), F.col("_left"))
+        at = rows.select("mix_key", "a", F.explode(chosen).alias("i")).select("mix_key", F.get("a", F.col("i")).alias("x"))
+        self.picks = settle(at.select("mix_key", "x.mix_ref", "x.mix_size", F.lit(1).alias("_picked")))
 
     def copies(self, docs: DataFrame) -> DataFrame:
         """docs (with the mix_ columns) with copies (bigint), source_size and target added."""
@@ -157,9 +200,8 @@ def mix_documents(
     Null text has size 0 and takes no words; null source is a source of its
     own, the last. Rows that repeat an id in a source share its random number:
     around the end they are taken together or not at all. An empty table gives
-    no rows. What a source takes differs from its target by at most half
-    of the smallest document around the end that was left out, or by less than
-    what its other documents could mend.
+    no rows. What a source takes differs from its target by what no choice
+    among the documents around the end (see nearest_fill()) can mend.
     """
     sized = settle(docs.select(*_keyed(docs, id_col, source_col, word_count(docs[text_col].cast("string")), weight)))
     done = MixPlan(sized, share, cap, cycle, seed).copies(sized)

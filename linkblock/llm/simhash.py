@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from linkblock.llm.common import LOWER, narrow, per_document
+from linkblock.llm.common import LOWER, narrow, per_document, whole_id
 from linkblock.operators.components import connected_components
 from linkblock.runtime import settle
 
@@ -418,7 +418,7 @@ def one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     _, linked = _near_groups(docs, id_col, text_col)
     kept = linked.groupBy("group").agg(F.min("least").alias("least")).select(F.col("least.doc_id").alias("_kept_id"), F.col("least.text_key").alias("_kept_key"))
     text_key = F.xxhash64(F.coalesce(docs[text_col].cast("string"), F.lit("")))
-    keyed = docs.select(F.struct(*(docs[c] for c in docs.columns)).alias("row"), docs[id_col].cast("bigint").alias("_id"), text_key.alias("_key"))
+    keyed = docs.select(F.struct(*(docs[c] for c in docs.columns)).alias("row"), whole_id(docs, id_col).alias("_id"), text_key.alias("_key"))
     # A text is in one group, so its hash names the group.
     found = keyed.join(kept, keyed["_id"].eqNullSafe(kept["_kept_id"]) & (keyed["_key"] == kept["_kept_key"]), "left_semi").dropDuplicates(["_id", "_key"])
     return found.select(*(F.col(f"row.`{c}`").alias(c) for c in docs.columns))

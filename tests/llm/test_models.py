@@ -155,6 +155,26 @@ def test_urls(spark):
     assert urls.judge_urls(df.limit(0)).count() == 0
 
 
+def test_url_terms_and_rules_from_tables(spark):
+    terms = spark.createDataFrame([("Bad", 3), ("soft-a", 1), ("softb", 1), ("softb", 1), ("off", 0), (None, 3), ("", 3)], "term string, weight int")
+    strict, soft = urls.load_terms(terms)
+    assert strict == ("bad",) and soft == ("soft-a", "softb")
+    rules = urls.load_rules(spark.createDataFrame([("net", "/ok/", "allow"), ("a.net", "/ok/no", "block"), ("net", "/ok/", "allow")], "host string, path string, verdict string"))
+    cases = {"http://x.a.net/ok/no/bad": "block", "http://x.a.net/ok/bad": "allow", "http://x.org/bad": "block", "http://x.org/softb": "allow", "http://x.org/softb?soft-a": "block", "http://x.org/off/casino/bet": "allow", "http://x.org/" + "softb/" * 200_000: "allow"}
+    df = spark.createDataFrame([(i, u) for i, u in enumerate([*cases, *cases])], "page_id bigint, url string")
+    got = {(r.page_id, r.verdict) for r in urls.judge_urls(df, rules=rules, strict=strict, soft=soft).collect()}
+    assert got == set(enumerate([*cases.values(), *cases.values()]))
+    with pytest.raises(ValueError):
+        urls.load_rules(spark.createDataFrame([("net", "/", "maybe")], "host string, path string, verdict string"))
+
+
+def test_text_ids_are_refused_at_once(spark):
+    df = spark.createDataFrame([("a1", "text", "s", "http://x.org")], "doc_id string, text string, source string, url string")
+    for f in (lambda: simhash.near_duplicates(df), lambda: mixing.mix_documents(df), lambda: brown.train_and_score(df), lambda: urls.judge_urls(df, id_col="doc_id"), lambda: simhash.one_of_each(df)):
+        with pytest.raises(TypeError, match="whole numbers"):
+            f()
+
+
 # classifier
 
 
@@ -239,6 +259,23 @@ def test_mixing(which, small, odd):
         assert abs(taken[s] - want[s]) <= max(0.01 * want[s], biggest[s] / 2)
 
 
+def test_nearest_fill_equals_every_subset():
+    rng = np.random.default_rng(4)
+    for _ in range(300):
+        sizes = [int(x) for x in rng.integers(1, 40, int(rng.integers(0, 11)))]
+        left = float(rng.uniform(0, sum(sizes) + 5))
+        best = min(abs(left - sum(s for i, s in enumerate(sizes) if bits >> i & 1)) for bits in range(1 << len(sizes)))
+        got = mixing.nearest_fill(sizes, left)
+        assert len(set(got)) == len(got) and (abs(left - sum(sizes[i] for i in got)) <= best + 1e-9 or abs(left - sum(sizes[i] for i in got)) < 1)
+    assert mixing.nearest_fill([5, 5, 5, 100], 10.0) == [0, 1]
+
+
+def test_small_sources_come_near_their_targets(small):
+    """Ten documents a source, the largest a third of it; certain copies leave the others to choose among."""
+    rows = mixing.mix_documents(small[0]).groupBy("source").agg(F.sum("taken").alias("taken"), F.first("target").alias("target")).collect()
+    assert len(rows) == 20 and all(abs(r.taken - r.target) <= 0.003 * r.target for r in rows)
+
+
 def test_mixing_is_unequal_and_unbiased(spark):
     df = spark.createDataFrame([(i, " ".join(["w"] * (10 if i % 2 else 100)), s) for i in range(3000) for s in ("a", "b", "c")], "doc_id bigint, text string, source string")
     rows = mixing.mix_documents(df).where("source = 'b'").collect()
