@@ -5,6 +5,10 @@ neighbourhood, small-star does the same with the neighbours below; both keep
 the components and shrink their depth, so O(log n) rounds suffice. Each round
 is two aggregations and two equi-joins on narrow rows; lineage is cut in the
 shared checkpoint folder and only one row of round totals meets the driver.
+
+A hub's neighbours may be a third of all rows. Its least neighbour is found by
+partial sums, and as that table is settled, both sides of the join that hands
+it out are plain exchanges: adaptive execution splits the hub over tasks.
 """
 
 from __future__ import annotations
@@ -20,7 +24,7 @@ def _star(edges: DataFrame, keep_above: bool) -> DataFrame:
     both = edges.select(F.col("a").alias("n"), F.col("b").alias("m"))
     if keep_above:
         both = both.unionByName(edges.select(F.col("b").alias("n"), F.col("a").alias("m")))
-    least = both.groupBy("n").agg(F.least(F.min("m"), F.first("n")).alias("low"))
+    least = settle(both.groupBy("n").agg(F.least(F.min("m"), F.first("n")).alias("low")))
     hooked = both.join(least, "n")
     if keep_above:
         hooked = hooked.where("m > n").select(F.col("m").alias("a"), F.col("low").alias("b"))
