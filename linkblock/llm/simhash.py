@@ -292,7 +292,9 @@ def _components(classes: DataFrame, cells: Column, radius: int, width: int, node
     roots = connected_components(edges, "a", "b")
     own = classes.select(node(F.col("fp")).alias("own"), "least")
     linked = own.join(roots, F.col("own") == F.col("node"), "left").select("own", "least", F.coalesce("root", "own").alias("root"))
-    return linked.join(linked.groupBy("root").agg(F.min("least").alias("component_id")), "root").select(F.col("own").alias("node"), "component_id")
+    # Settled, so that adaptive execution can split the rows of a large component.
+    named = settle(linked.groupBy("root").agg(F.min("least").alias("component_id")))
+    return linked.join(named, "root").select(F.col("own").alias("node"), "component_id")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS) -> DataFrame:
@@ -378,10 +380,10 @@ def _near_groups(docs: DataFrame, id_col: str, text_col: str) -> tuple[DataFrame
     marked = settle(per_document(own, work, "doc_id bigint, text_key bigint, node bigint, cells array<bigint>", "text_key"))
     cells = marked.groupBy("node").agg(F.first("cells").alias("cells")).select(F.explode("cells").alias("cell"), "node")
     candidates = connected_components(cells.repartition("cell").sortWithinPartitions("cell").mapInArrow(_stars, "a bigint, b bigint"), "a", "b")
-    large = candidates.groupBy("root").agg(F.count("*").alias("n")).where(F.col("n") > CHUNK).select("root", F.ceil(F.col("n") / CHUNK).cast("int").alias("chunks"))
+    large = settle(candidates.groupBy("root").agg(F.count("*").alias("n")).where(F.col("n") > CHUNK).select("root", F.ceil(F.col("n") / CHUNK).cast("int").alias("chunks")))
     mine = F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int")
     meetings = F.transform(F.sequence(F.lit(0), F.col("chunks") - 1), lambda j: F.xxhash64(F.col("root"), F.least(mine, j), F.greatest(mine, j)))
-    dealt = candidates.join(large, "root", "left").select("node", F.when(F.col("chunks").isNull(), F.array("root")).otherwise(meetings).alias("cells"))
+    dealt = candidates.join(F.broadcast(large) if large.count() <= BROADCAST_ROWS else large, "root", "left").select("node", F.when(F.col("chunks").isNull(), F.array("root")).otherwise(meetings).alias("cells"))
     wanted = settle(dealt.join(marked.groupBy("node").agg(F.min("text_key").alias("text_key")), "node"))
     texts = own.select("text_key", F.coalesce("text", F.lit("")).cast("binary").alias("text"))
     sent = texts.join(F.broadcast(wanted) if wanted.count() <= BROADCAST_SETS else wanted, "text_key").select("text", "node", "cells").mapInArrow(_send_sets, "cell bigint, node bigint, hashes binary")
@@ -400,7 +402,7 @@ def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     empty tables as in near_duplicates().
     """
     rows, linked = _near_groups(docs, id_col, text_col)
-    named = linked.join(linked.groupBy("group").agg(F.min("least")["doc_id"].alias("component_id")), "group").select("node", "component_id")
+    named = linked.join(settle(linked.groupBy("group").agg(F.min("least")["doc_id"].alias("component_id"))), "group").select("node", "component_id")
     return rows.select("doc_id", "node").join(named, "node").select("doc_id", "component_id")
 
 

@@ -1,6 +1,8 @@
 """SimHash, URL filter, classifier, mixing, language model and pipeline against plain Python versions."""
 
+import hashlib
 import math
+import re
 import zlib
 from collections import Counter, defaultdict
 
@@ -10,7 +12,7 @@ import xxhash
 from pyspark.sql import functions as F
 
 import corpus_pipeline
-from linkblock.llm import brown, mixing, ordinal, simhash, urls
+from linkblock.llm import bpe, brown, mixing, ordinal, secrets, simhash, urls
 from tests.llm.conftest import TEXTS
 
 
@@ -442,6 +444,125 @@ def test_pipeline_stage_by_stage(spark, tmp_path):
     assert keyed(final.collect()) == keyed(docs.collect()) and sum(sizes.values()) > 0
 
 
+def plain_features(raw):
+    low = bytes(b + 32 if 65 <= b <= 90 else b for b in raw)
+    words, tokens, lines = re.findall(rb"[a-z\x80-\xff]+", low), raw.split(), [x for x in raw.split(b"\n") if x.strip()]
+    n = max(1, len(raw))
+    ratio = {
+        "symbols": sum(c in b"#*$%&|<>!" for c in raw) / n, "capitals": sum(65 <= c <= 90 for c in raw) / n, "digits": sum(48 <= c <= 57 for c in raw) / n,
+        "repeats": 1 - len(set(tokens)) / max(1, len(tokens)), "lines": 1 - len(set(lines)) / max(1, len(lines)), "length": min(1.0, len(tokens) / 2000),
+    }
+    keys = set(words) | {f"\0{k}{min(16, int(16 * v**0.5))}".encode() for k, v in ratio.items()}
+    keys |= {b"\1%d" % i + w for w, k in Counter(w[: ordinal.START] for w in words).items() for i in range(min(k, ordinal.TIMES))}
+    return sorted({zlib.crc32(k) & (ordinal.BUCKETS - 1) for k in keys})
+
+
+def plain_training(rows):
+    """Weights by feature and the thresholds, one number at a time."""
+    seen = [1 + sum(g == k for _, g in rows) for k in range(3)]
+    theta = [math.log(p / (1 - p)) for p in (seen[0] / sum(seen), (seen[0] + seen[1]) / sum(seen))]
+    z, n, w = Counter(), Counter(), Counter()
+    sigma = lambda x: 1 / (1 + math.exp(-max(-35.0, min(35.0, x))))
+    for epoch in range(ordinal.EPOCHS):
+        for at in np.random.default_rng(epoch).permutation(len(rows)):
+            ids, g = rows[at]
+            x = sum(w[i] for i in ids)
+            f = [0.0, sigma(theta[0] - x), sigma(theta[1] - x), 1.0]
+            slope, here = 1 - f[g + 1] - f[g], max(1e-9, f[g + 1] - f[g])
+            if g < 2:
+                theta[g] += 0.02 * f[g + 1] * (1 - f[g + 1]) / here
+            if g:
+                theta[g - 1] -= 0.02 * f[g] * (1 - f[g]) / here
+            theta[1] = max(theta)
+            for i in ids:
+                root = math.sqrt(n[i])
+                n[i] += slope * slope
+                grown = math.sqrt(n[i])
+                z[i] += slope - (grown - root) * w[i]
+                w[i] = (math.copysign(5.0, z[i]) - z[i]) / (1.1 + grown) if abs(z[i]) > 5 else 0.0
+    return w, theta
+
+
+def plain_one_of_each(docs):
+    sets = {i: {tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))} if (w := lower_words(t)) else set() for i, (t, _) in docs.items()}
+    root = {i: i for i in docs}
+    for a in sorted(docs):
+        for b in sorted(docs):
+            if a < b and 5 * len(sets[a] & sets[b]) >= 4 * len(sets[a] | sets[b]) and root[a] != root[b]:
+                low, high = sorted((root[a], root[b]))
+                root = {i: low if r == high else r for i, r in root.items()}
+    return {i: d for i, d in docs.items() if root[i] == i}
+
+
+def lower_words(text):
+    return (text or "").encode().translate(brown.LOWER).split()
+
+
+def plain_redaction(text):
+    found = sorted((m.start(), k, m.end(), r.kind) for k, r in enumerate(secrets.RULES) for m in re.finditer(r.pattern, text, re.ASCII) if len(m[r.group]) >= r.keep)
+    at, out = 0, []
+    for s, _, e, kind in found:
+        if e > at:
+            if s >= at:
+                out += [text[at:s], f"[{kind}]"]
+            at = e
+    return "".join(out) + text[at:]
+
+
+def plain_mix(docs):
+    """How often each document is taken, where a source is small enough to lie whole around its end."""
+    size = {i: len((t or "").encode().split()) for i, (t, _) in docs.items()}
+    by_source = defaultdict(list)
+    for i, (_, s) in docs.items():
+        by_source[s].append(i)
+    targets, copies = slow_targets({s: sum(size[i] for i in own) for s, own in by_source.items()}), {}
+    for s, own in by_source.items():
+        assert len(own) < mixing.WINDOW
+        weight = {i: 1.0 if size[i] < 50 else 2.0 for i in own}
+        low, high = 0.0, 4.0
+        for _ in range(200):  # the level at which the expected words meet the target
+            level = (low + high) / 2
+            low, high = (low, level) if sum(min(2.0, level * weight[i]) * size[i] for i in own) > targets[s] else (level, high)
+        rate = {i: min(2.0, high * weight[i]) for i in own}
+        whole = {i: math.floor(rate[i] + 1e-9) for i in own}
+        part = {i: rate[i] - whole[i] if rate[i] - whole[i] > 1e-9 else 0.0 for i in own}
+        u = {i: ((xxhash.xxh64_intdigest(f"42:{i}", 42) & (1 << 52) - 1) + 0.5) / (1 << 52) for i in own}
+        drawn = sorted((i for i in own if part[i] > 0 and size[i]), key=lambda i: (u[i] / (1 - u[i])) / (part[i] / (1 - part[i])))
+        picked = {drawn[k] for k in mixing.nearest_fill([size[i] for i in drawn], targets[s] - sum(whole[i] * size[i] for i in own))}
+        copies |= {i: whole[i] + (i in picked) for i in own}
+    return copies
+
+
+def test_whole_pipeline_matches_plain_python(spark):
+    sf = "/root/testdata/sf0.001"
+    docs = {r.doc_id: (r.text, r.source) for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
+    grade = {}
+    for r in spark.read.parquet(f"{sf}/labels.parquet").collect():
+        g = 0 if r.quality == 0 else 1 if r.toxic == 1 else 2
+        grade[r.doc_id] = min(g, grade.get(r.doc_id, 2))
+    features = {i: plain_features((t or "").encode()) for i, (t, _) in docs.items()}
+    weights, theta = plain_training([(features[i], grade[i]) for i in sorted(grade) if i in docs])
+    top = {i: 1 - 1 / (1 + math.exp(-(theta[1] - sum(weights[f] for f in features[i])))) for i in docs}
+    assert all(abs(p - 0.5) > 1e-4 for p in top.values())
+    good = {i: d for i, d in docs.items() if top[i] >= 0.5}
+    clean = {i: (plain_redaction(t), s) for i, (t, s) in plain_one_of_each(good).items()}
+    library = bpe.bpe_for(*bpe.public_vocabulary())._own
+    want = Counter()
+    for i, n in plain_mix(clean).items():
+        ids, raw = library.encode_ordinary(clean[i][0]), clean[i][0].encode()
+        want[i, len(ids), hashlib.sha256(" ".join(map(str, ids)).encode()).hexdigest(), hashlib.sha256(raw).hexdigest(), len(raw)] += n
+    assert 0 < len(good) < len(docs) and len(clean) < len(good)
+    assert keyed(corpus_pipeline.run(spark, sf).collect()) == +want
+
+
+def test_pipeline_stages_give_the_same_rows_however_they_are_dealt(spark, tmp_path):
+    rows = [(i % 40 if i % 7 else None, f"text {i % 31} of some words " * 9 + f"w{i % 3}", f"s{i % 3}") for i in range(400)]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, source string")
+    for stage in (corpus_pipeline.near_dedup, corpus_pipeline.secret_scan, corpus_pipeline.mix):
+        seen = [keyed(stage(spark, df.repartition(n), "").collect()) for n in (1, 5)]
+        assert seen[0] == seen[1]
+
+
 def test_pipeline_stages_take_odd_tables(spark, odd, none):
     for name, stage in corpus_pipeline.STAGES:
         for table in (odd, none):
