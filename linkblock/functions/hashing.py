@@ -13,11 +13,6 @@ def base32(token: Column) -> Column:
     return F.conv(F.substring(F.md5(token.cast("binary")), 1, 8), 16, 10).cast("bigint")
 
 
-def fast32(token: Column) -> Column:
-    """32 bits of xxhash64 as a bigint: the production hash."""
-    return F.xxhash64(token).bitwiseAND(F.lit(WIDTH - 1))
-
-
 def coefficients(seed: int) -> tuple[int, int]:
     """Odd multiplier and offset under 2^31 for a seed."""
     return ((seed * 40_503 + 1_013_904_223) * 69_069 % (1 << 30)) * 2 + 1, (seed * 1_664_525 + 907_633_385) * 22_695_477 % (1 << 31)

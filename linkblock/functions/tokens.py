@@ -7,7 +7,7 @@ from collections.abc import Callable, Sequence
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from linkblock.functions.hashing import base32
+from linkblock.functions.hashing import WIDTH, base32
 
 
 def let(value: Column, body: Callable[[Column], Column]) -> Column:
@@ -52,6 +52,14 @@ def hashed_counts(bag: Column, hash_of: Callable[[Column], Column] = base32) ->
     return F.transform(counts(bag), lambda e: F.struct(hash_of(e["tok"]).alias("h"), e["cnt"].alias("cnt")))
 
 
+def fast_gram_counts(text: Column, n: int) -> Column:
+    """array<struct<h, cnt>> of word n-grams by the fast hash: words are hashed together, so no gram is ever built as text."""
+    grams = let(words(text), lambda w: F.when(
+        F.size(w) >= n, F.transform(F.sequence(F.lit(0), F.size(w) - n), lambda i: F.xxhash64(*(F.get(w, i + j) for j in range(n))).bitwiseAND(F.lit(WIDTH - 1)))
+    ).otherwise(F.array().cast("array<bigint>")))
+    return F.transform(counts(grams), lambda e: F.struct(e["tok"].alias("h"), e["cnt"].alias("cnt")))
+
+
 def tagged(parts: Sequence[tuple[str, Column]]) -> Column:
     """One bag of field-tagged tokens; parts: (tag, array of tokens)."""
     none = F.array().cast("array<string>")

@@ -24,6 +24,28 @@ def two_list(hist: DataFrame, a: str, b: str) -> DataFrame:
     return t.select("n1", "n2", "m", F.round(est, 4).alias("est"), F.round(F.sqrt(var), 4).alias("se"))
 
 
+def three_list(hist: DataFrame, a: str, b: str, c: str) -> DataFrame:
+    """(model, est) by the closed forms of the three-list models: independent lists, or one pair that depends on each other.
+
+    Independent: the greater root of q N^2 - r N + p with q the sum of the
+    lists' sizes less the number seen, r the sum of products of two sizes and
+    p that of three. A pair x, y: those on z alone, times the odds of not being
+    on z among all who are on x or y. Null where a denominator is 0.
+    """
+    of = lambda where: F.coalesce(F.sum(F.when(where, F.col("n"))), F.lit(0)).cast("double")
+    on = {x: F.col(x) == 1 for x in (a, b, c)}
+    sums = {"n": of(F.lit(True)), **{f"s{i}": of(on[x]) for i, x in enumerate((a, b, c))}}
+    models = [("a:b", a, b, c), ("a:c", a, c, b), ("b:c", b, c, a)]
+    for name, x, y, z in models:
+        sums |= {f"only {name}": of(on[z] & ~on[x] & ~on[y]), f"off {name}": of(~on[z]), f"on {name}": of(on[z] & (on[x] | on[y]))}
+    row = hist.agg(*(v.alias(k) for k, v in sums.items()))
+    s0, s1, s2, n = (F.col(k) for k in ("s0", "s1", "s2", "n"))
+    q, r, p = s0 + s1 + s2 - n, s0 * s1 + s0 * s2 + s1 * s2, s0 * s1 * s2
+    made = [("independent", (r + F.sqrt(r * r - 4 * q * p)) / F.nullif(2 * q, F.lit(0.0)))]
+    made += [(name, n + F.col(f"only {name}") * F.col(f"off {name}") / F.nullif(F.col(f"on {name}"), F.lit(0.0))) for name, *_ in models]
+    return row.select(F.explode(F.array(*(F.struct(F.lit(m).alias("model"), F.round(e, 4).alias("est")) for m, e in made))).alias("e")).select("e.*")
+
+
 def log_linear(hist: DataFrame, lists: list[str], pairs: tuple[tuple[str, str], ...] = ()) -> tuple[float, float]:
     """(estimate, se) of the population from a Poisson log-linear model of at most 2^lists cells.
 

@@ -154,3 +154,17 @@ def holdout_recall(df: DataFrame, id_col: str, entity: str, truth: DataFrame, ru
     totals = parted.agg(F.sum(F.col("train").cast("bigint")).alias("nt"), F.sum((~F.col("train")).cast("bigint")).alias("nv"))
     hits = truth_hits(df, id_col, truth, rules).join(half, "id_lo").groupBy("rule").agg(F.sum(F.col("train").cast("bigint")).alias("ht"), F.sum((~F.col("train")).cast("bigint")).alias("hv"))
     return hits.join(F.broadcast(totals)).select("rule", F.round(F.col("ht") / F.col("nt"), 6).alias("train_recall"), F.round(F.col("hv") / F.col("nv"), 6).alias("test_recall"))
+
+
+def choose_on_half(df: DataFrame, id_col: str, entity: str, truth: DataFrame, rules: list[tuple[str, ...]], pair_budget: int, steps: int = 3) -> DataFrame:
+    """(step, rule, train_recall, test_recall): search_schemes() sees one half of the entities; recall is that of the rules chosen so far."""
+    half = df.select(F.col(id_col).alias("id_lo"), train_half(F.col(entity)).alias("train"))
+    parted = truth.select("id_lo", "id_hi").join(half, "id_lo")
+    chosen = search_schemes(df, id_col, parted.where("train").select("id_lo", "id_hi"), rules, pair_budget, steps)
+    picked = df.sparkSession.createDataFrame([(s, r) for s, r, _, _ in chosen], "step int, rule string")  # at most `steps` rows
+    later = picked.select(F.col("step").alias("from"), "rule").join(F.broadcast(picked.select("step")), F.col("from") <= F.col("step")).select("step", "rule")
+    kept = truth_hits(df, id_col, truth, rules).join(F.broadcast(later), "rule").select("step", "id_lo", "id_hi").distinct().join(half, "id_lo")
+    counted = kept.groupBy("step").agg(F.count_if("train").alias("ht"), F.count_if(~F.col("train")).alias("hv"))
+    totals = parted.agg(F.count_if("train").alias("nt"), F.count_if(~F.col("train")).alias("nv"))
+    share = lambda h, n: F.round(F.coalesce(F.col(h), F.lit(0)) / F.nullif(F.col(n), F.lit(0)), 6)
+    return picked.join(counted, "step", "left").join(F.broadcast(totals)).select("step", "rule", share("ht", "nt").alias("train_recall"), share("hv", "nv").alias("test_recall"))

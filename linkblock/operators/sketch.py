@@ -13,10 +13,12 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from linkblock.functions.hashing import WIDTH, coefficients, mix, unit
+from linkblock.functions.hashing import WIDTH, mix, unit
 from linkblock.functions.tokens import let
 
 PROBES = 32
+#: Probes from and to, made one stage after another.
+STAGES = ((1, 2), (3, 6), (7, 14), (15, PROBES))
 _NO_BINS = "array<struct<bin:bigint,val:bigint>>"
 _FILLED = "array<struct<bin:bigint,val:bigint,dist:bigint>>"
 
@@ -86,11 +88,14 @@ def densify(bins: Column, n: int, how: str = "probe") -> Column:
     PROBES tries the next filled bin (dist from PROBES + 1 on).
     """
     def probed(full: Column) -> Column:
+        def first_of(x: Column, a: int, b: int) -> Column:
+            tries = F.transform(F.sequence(F.lit(a), F.lit(b)), lambda t: F.struct(F.get(full, probe_at(x["bin"], t, n)).alias("e"), t.alias("t")))
+            return F.get(F.filter(tries, lambda y: y["e"]["dist"] == 0), F.lit(0))
+
         def fill(x: Column) -> Column:
-            tries = F.filter(
-                F.transform(F.sequence(F.lit(1), F.lit(PROBES)), lambda t: F.struct(F.get(full, probe_at(x["bin"], t, n)).alias("e"), t.alias("t"))), lambda y: y["e"]["dist"] == 0
-            )
-            return let(F.get(tries, F.lit(0)), lambda hit: F.when(hit.isNull(), _filled(x["bin"], x["val"], x["dist"] + PROBES)).otherwise(_filled(x["bin"], hit["e"]["val"], hit["t"])))
+            # Later tries are made only where the earlier ones found nothing.
+            hit = F.coalesce(*(first_of(x, a, b) for a, b in STAGES))
+            return let(hit, lambda hit: F.when(hit.isNull(), _filled(x["bin"], x["val"], x["dist"] + PROBES)).otherwise(_filled(x["bin"], hit["e"]["val"], hit["t"])))
 
         return F.transform(full, lambda x: F.when(x["dist"] == 0, x).otherwise(fill(x)))
 
@@ -210,10 +215,3 @@ def wide_kernel(df: DataFrame, id_col: str, hashes_col: str, n: int) -> DataFram
 
     return df.select(F.col(id_col).cast("bigint").alias("rec_id"), F.col(hashes_col).alias("h")).mapInArrow(run, "rec_id bigint, sig array<bigint>")
 
-
-def mixing_functions(n: int, seed: int = 0) -> list[tuple[int, int]]:
-    return [coefficients(seed + i) for i in range(n)]
-
-
-def independent_runs(make: Callable[[int], Column], seeds: list[int]) -> list[Column]:
-    return [make(s) for s in seeds]

@@ -9,11 +9,15 @@ from pyspark.sql import functions as F
 
 from linkblock.functions import names
 from linkblock.functions.names import PRESETS
-from linkblock.operators import bands, blocks, capture, linkage, measures, pairs, rules
-from linkblock.operators.sketch import per_table_sketch
+from linkblock.functions.hashing import WIDTH, mix_sql
+from linkblock.operators import bands, blocks, capture, cluster, linkage, measures, pairs, rules
+from linkblock.operators.sketch import classic_minhash, consistent_weighted_hash, expand, per_table_sketch, quantize, weighted_sketch
 from linkblock.functions.tokens import distinct_hashes, report_tokens
 from linkblock.plans import query
 from linkblock.plans import sqltext as S
+from linkblock.plans.sketches import _cws_u as cws_u
+from linkblock.plans.sketches import by_fields, by_signature, compared
+from linkblock.runtime import settle
 from linkblock.sources.tables import clean, load, report_truth, reports
 
 K, TABLES = 3, 30
@@ -333,16 +337,123 @@ def three_list_estimate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "model string, est double, se double, people bigint")
 
 
-@query(f"WITH {_RSKETCH}, {_KNOWN}, p_exact AS ({_exact(FIELDS['all_fields'], 'rep')}), p_dp AS ({_exact(['event_date', 'place'], 'rep')}), joined AS (SELECT a.rec_id AS id_lo, b.rec_id AS id_hi FROM rep a JOIN rep b ON a.rec_id < b.rec_id WHERE (a.event_date = b.event_date AND a.place = b.place) OR a.given = b.given OR (a.family = b.family AND a.place = b.place)) "
-       + "SELECT method, n_pairs, recall, round(1 - recall, 6) AS split, rr, prec FROM (" + _union_all([S.quality(m, t, "truth", "SELECT count(*) FROM reports") for m, t in (("exact_fields", "p_exact"), ("date_place", "p_dp"), ("rule_union", "joined"), ("sketch", "band_pairs"))]) + ")")
+#: Step to which idf weights are rounded before their unary expansion.
+DELTA = 0.5
+
+
+def weighted_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(rec_id, c): tagged tokens of each report with their idf as weight, sorted by token."""
+    sets = reports(spark, sf_dir).select("rec_id", distinct_hashes(report_tokens()).alias("h"))
+    long = sets.select("rec_id", F.explode("h").alias("h"))
+    idf = long.groupBy("h").agg(F.count("*").alias("df"))
+    total = sets.agg(F.count("*").alias("n"))
+    weighed = long.join(idf, "h").join(F.broadcast(total)).select("rec_id", "h", F.round(F.log((F.col("n") + 1) / (F.col("df") + 1)), 6).alias("cnt"))
+    return weighed.groupBy("rec_id").agg(F.array_sort(F.collect_list(F.struct("h", "cnt"))).alias("c"))
+
+
+_UNITS = f"({mix_sql('h', '31')} / {float(WIDTH)})"
+_RWEIGHTS = f"""rw AS (SELECT rec_id, h, round(ln(((SELECT count(*) FROM reports) + 1) / (df + 1)), 6) AS cnt FROM rtoks JOIN (SELECT h, count(*) AS df FROM rtoks GROUP BY h) USING (h)),
+rkept AS (SELECT rec_id, h FROM rw WHERE cnt / (SELECT max(cnt) FROM rw) > {_UNITS}),
+rcopies AS (SELECT DISTINCT rec_id, {mix_sql('h', 'j + 900')} AS h FROM (SELECT rec_id, h, unnest(range(1, round(cnt / {DELTA})::INT + 1)) AS j FROM rw)), rproj AS (SELECT rec_id, h, cnt AS w FROM rw)"""
+
+
+@query(f"WITH {S.reports()}, {S.report_toks()}, {_RWEIGHTS} SELECT rec_id, count(*) AS n, sum(round(cnt / {DELTA})::INT)::BIGINT AS copies, round(max(abs(round(cnt / {DELTA}) * {DELTA} - cnt)), 6) AS off FROM rw GROUP BY rec_id")
+def quantized_weights(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Weights as whole multiples of DELTA: how many copies that makes, and the furthest that one is off (at most half a step)."""
+    e = weighted_tokens(spark, sf_dir).select("rec_id", F.explode("c").alias("e")).select("rec_id", "e.cnt", quantize(F.col("e.cnt"), DELTA).alias("i"))
+    return e.groupBy("rec_id").agg(F.count("*").alias("n"), F.sum("i").cast("bigint").alias("copies"), F.round(F.max(F.abs(F.col("i") * DELTA - F.col("cnt"))), 6).alias("off"))
+
+
+def _rsketch(source: str, tag: str) -> str:
+    return f"{S.per_table(K, TABLES, source, f'filled_{tag}')}, {S.band_keys(K, f'filled_{tag}', f'bands_{tag}', tables=TABLES)}, {S.band_pairs(f'bands_{tag}', f'pairs_{tag}')}"
+
+
+_RCLASSIC = f"rmh AS (SELECT rec_id, s AS pos, min({mix_sql('h', 's')}) AS val FROM rtoks, range({K * TABLES}) r(s) GROUP BY 1, 2), bands_m AS (SELECT rec_id, pos // {K} AS table_no, string_agg(val::VARCHAR, '-' ORDER BY pos) AS key FROM rmh GROUP BY 1, 2), {S.band_pairs('bands_m', 'pairs_m')}"
+_RCWS = f"""draws AS (SELECT rec_id, pos, h, cnt, -ln({cws_u(0)} * {cws_u(1)}) AS r, -ln({cws_u(2)} * {cws_u(3)}) AS c, {cws_u(4)} AS beta FROM rw, range({K * TABLES}) p(pos) WHERE cnt > 0),
+levels AS (SELECT *, floor(ln(cnt) / r + beta)::BIGINT AS t FROM draws),
+chosen AS (SELECT rec_id, pos, arg_min(h * 4096 + ((t % 4096) + 4096) % 4096, ln(c) - r * (t - beta) - r) AS val FROM levels GROUP BY 1, 2),
+bands_c AS (SELECT rec_id, pos // {K} AS table_no, string_agg(val::VARCHAR, '-' ORDER BY pos) AS key FROM chosen GROUP BY 1, 2), {S.band_pairs('bands_c', 'pairs_c')}"""
+_NAMES_SQL = f"{_NAMED}, {_both_names('equal', 'nc')}, p_names AS (SELECT id_lo, id_hi FROM nc WHERE round(cost, 6) <= 0.25)"
+_MOST = lambda *f: f"(SELECT max(n) FROM (SELECT count(*) AS n FROM rep WHERE {' AND '.join(f'{x} IS NOT NULL' for x in f)} GROUP BY {', '.join(f)}))"
+_MOST_IN = lambda t, by="table_no, key": f"(SELECT max(n) FROM (SELECT count(*) AS n FROM {t} GROUP BY {by}))"
+_UNION_MOST = f"greatest({_MOST('event_date', 'place')}, {_MOST('given')}, {_MOST('family', 'place')})"
+_RROWS = (
+    ("exact_fields", "p_exact", _MOST(*FIELDS["all_fields"])), ("date_place", "p_dp", _MOST("event_date", "place")), ("rule_union", "union_pairs", _UNION_MOST), ("rule_union_names", "p_names", _UNION_MOST),
+    ("projection_kmeans", "cluster_pairs", _MOST_IN("clusters", "k")), ("classic_minhash", "pairs_m", _MOST_IN("bands_m")), ("sketch", "pairs_s", _MOST_IN("bands_s")),
+    ("weighted_sampled", "pairs_k", _MOST_IN("bands_k")), ("weighted_expanded", "pairs_x", _MOST_IN("bands_x")), ("consistent_sampling", "pairs_c", _MOST_IN("bands_c")),
+)
+
+
+@query(f"WITH RECURSIVE {S.reports()}, {S.report_toks()}, {_NAMES_SQL}, p_exact AS ({_exact(FIELDS['all_fields'], 'rep')}), p_dp AS ({_exact(['event_date', 'place'], 'rep')}), {_RWEIGHTS}, "
+       f"{S.vectors('rproj', 32)}, {S.kmeans('(SELECT ceil(count(*) / 20.0) FROM reports)', 3)}, cluster_pairs AS (SELECT a.rec_id AS id_lo, b.rec_id AS id_hi FROM clusters a JOIN clusters b ON a.k = b.k AND a.rec_id < b.rec_id), "
+       f"{_RCLASSIC}, {_rsketch('rtoks', 's')}, {_rsketch('rkept', 'k')}, {_rsketch('rcopies', 'x')}, {_RCWS} "
+       + _union_all([f"SELECT method, n_pairs, recall, round(1 - recall, 6) AS split, rr, prec, {most} AS max_block FROM ({S.quality(m, t, 'truth', 'SELECT count(*) FROM reports')})" for m, t, most in _RROWS]))
 def method_comparison_reports(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Exact fields, a conjunction, a union of rules and the sketch on the same rows; no order among them is assumed."""
+    """Rules, rules with names, projection with k-means, plain and idf-weighted sketches on the same rows; no order among them is assumed.
+
+    max_block of rule_union_names is that of the rules before names are compared.
+    """
     df = people(spark, sf_dir)
-    truth = report_truth(df)
-    rows = [
-        measures.partition_quality(rules.exact_field_blocks(df, "rec_id", FIELDS["all_fields"], "singleton"), truth, "exact_fields"),
-        measures.partition_quality(rules.exact_field_blocks(df, "rec_id", ["event_date", "place"], "singleton"), truth, "date_place"),
-        measures.quality(rules.rule_pairs(df, "rec_id", UNION), truth, df, "rule_union"),
-        measures.quality(pairs.from_signatures(report_signatures(reports(spark, sf_dir)), "rec_id", F.col("sig"), K, TABLES), truth, df, "sketch"),
-    ]
-    return reduce(DataFrame.unionByName, rows).select("method", "n_pairs", "recall", F.round(1 - F.col("recall"), 6).alias("split"), "rr", "prec")
+    truth, weighted = settle(report_truth(df)), settle(weighted_tokens(spark, sf_dir))
+    sets = weighted.select("rec_id", F.transform("c", lambda e: e["h"]).alias("h"))
+    most = weighted.select(F.explode("c").alias("e")).agg(F.max("e.cnt").alias("most")).first()["most"] or 1.0
+    vectors = cluster.project(weighted.select("rec_id", F.explode("c").alias("e")).select("rec_id", "e.h", F.col("e.cnt").alias("w")), 32)
+    clusters = settle(cluster.blocks(vectors, 20, df.count(), 3).select(F.col("cluster").alias("block_id"), "rec_id"))
+    rule = lambda method, found, *schemes: compared(method, found, truth, df, by_fields(df, *schemes))
+    signed = lambda method, source, sig: by_signature(method, source.select("rec_id", sig.alias("sig")), K, TABLES, truth, df)
+    h, c = F.col("h"), F.col("c")
+    copies = expand(F.transform(c, lambda e: F.struct(e["h"].alias("h"), quantize(e["cnt"], DELTA).alias("cnt"))))
+    union = settle(rules.rule_pairs(df, "rec_id", UNION).select("id_lo", "id_hi"))
+    schemes = (["event_date", "place"], ["given"], ["family", "place"])
+    return reduce(DataFrame.unionByName, [
+        rule("exact_fields", rules.rule_pairs(df, "rec_id", rules.AllOf(*FIELDS["all_fields"])), FIELDS["all_fields"]),
+        rule("date_place", rules.rule_pairs(df, "rec_id", rules.AllOf("event_date", "place")), ["event_date", "place"]),
+        rule("rule_union", union, *schemes), rule("rule_union_names", _costed(df, "equal", 0.25), *schemes),
+        compared("projection_kmeans", pairs.from_blocks(clusters), truth, df, clusters.groupBy("block_id").agg(F.count("*").alias("n"))),
+        signed("classic_minhash", sets, classic_minhash(h, K * TABLES)), signed("sketch", sets, per_table_sketch(h, K, TABLES)),
+        signed("weighted_sampled", weighted, weighted_sketch(c, K, TABLES, most, layout="per_table")), signed("weighted_expanded", weighted, per_table_sketch(copies, K, TABLES)),
+        signed("consistent_sampling", weighted, consistent_weighted_hash(c, K * TABLES)),
+    ])
+
+
+@query(f"""WITH RECURSIVE {S.reports()}, {_NAMED}, {_both_names('equal', 'nc')}, parts AS (SELECT n.id_lo, n.id_hi, g.d / greatest(length(given_lo), length(given_hi)) AS g, f.d / greatest(length(family_lo), length(family_hi)) AS f
+  FROM named_pairs n JOIN dg_nc g ON n.id_lo = g.id_lo AND n.id_hi = g.id_hi LEFT JOIN df_nc f ON n.id_lo = f.id_lo AND n.id_hi = f.id_hi)
+SELECT id_lo, id_hi, round(greatest(g, f), 6) AS cost_max, round(least(g, f), 6) AS cost_min FROM parts""")
+def name_cost_modes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The dearer and the cheaper of both names' costs for every pair of the rules; a missing name leaves the other's."""
+    df = people(spark, sf_dir)
+    found = settle(rules.rule_pairs(df, "rec_id", UNION).select("id_lo", "id_hi"))
+    made = lambda how: names.refine_pairs(found, df, "rec_id", ["given", "family"], PRESETS["equal"], 2.0, how).withColumnRenamed("cost", f"cost_{how}")
+    return made("max").join(made("min"), ["id_lo", "id_hi"]).select("id_lo", "id_hi", F.round("cost_max", 6).alias("cost_max"), F.round("cost_min", 6).alias("cost_min"))
+
+
+_THREE = "t AS (SELECT sum(n) AS n, sum(n * in_a) AS a, sum(n * in_b) AS b, sum(n * in_c) AS c FROM (SELECT in_a, in_b, in_c, count(*) AS n FROM seen GROUP BY ALL))"
+
+
+def _pair_model(x: str, y: str, z: str) -> str:
+    """Lists x and y may depend on each other: who is on z alone, times the odds of not being on z among the others."""
+    return f"SELECT '{x}:{y}' AS model, round((SELECT n FROM t) + sum((in_{z} = 1 AND in_{x} + in_{y} = 0)::INT) * sum((in_{z} = 0)::INT) / nullif(sum((in_{z} = 1 AND in_{x} + in_{y} > 0)::INT), 0)::DOUBLE, 4) AS est FROM seen"
+
+
+@query(f"WITH RECURSIVE {S.reports()}, {_SCORED}, {_REACH.format(pairs='matched')}, {_HISTORY}, {_THREE}, s AS (SELECT (a + b + c - n)::DOUBLE AS q, (a * b + a * c + b * c)::DOUBLE AS r, (a * b * c)::DOUBLE AS p FROM t) "
+       f"SELECT 'independent' AS model, round((r + sqrt(r * r - 4 * q * p)) / (2 * q), 4) AS est FROM s UNION ALL {_pair_model('a', 'b', 'c')} UNION ALL {_pair_model('a', 'c', 'b')} UNION ALL {_pair_model('b', 'c', 'a')}")
+def three_list_closed_form(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Estimates of the models of three_list_estimate() that have a closed form, which are all four; tests hold the fitted ones to them."""
+    return capture.three_list(_history(spark, sf_dir), "in_a", "in_b", "in_c")
+
+
+_CHOSEN = _greedy_sql(3, "SELECT 2 * count(*) AS b FROM reports").split(", hits AS (", 1)
+_TRAIN = f"{S.u32(chr(39) + 'half' + chr(39) + ' || x.k')} % 2 = 0"
+_ON_TRAIN = _CHOSEN[0] + ", hits AS (" + _CHOSEN[1].replace("JOIN rep y ON id_hi = y.rec_id), costs", f"JOIN rep y ON id_hi = y.rec_id WHERE {_TRAIN}), costs", 1)
+
+
+@query(_ON_TRAIN.rsplit(" SELECT step::INT AS step", 3)[0] + f""", picked AS (SELECT step, rule FROM pick0 UNION ALL SELECT step, rule FROM pick1 UNION ALL SELECT step, rule FROM pick2),
+every AS (SELECT id_lo, id_hi, {_TRAIN} AS train, {_HIT} FROM truth JOIN rep x ON id_lo = x.rec_id JOIN rep y ON id_hi = y.rec_id),
+kept_by AS ({" UNION ALL ".join(f"SELECT id_lo, id_hi, train, '{_rule_name(r)}' AS rule FROM every WHERE h{i}" for i, r in enumerate(RULES))}),
+upto AS (SELECT p.step, k.id_lo, k.id_hi, any_value(k.train) AS train FROM picked p JOIN picked q ON q.step <= p.step JOIN kept_by k ON k.rule = q.rule GROUP BY p.step, k.id_lo, k.id_hi)
+SELECT p.step::INT AS step, p.rule, round(count(u.id_lo) FILTER (u.train) / (SELECT count(*) FROM every WHERE train), 6) AS train_recall, round(count(u.id_lo) FILTER (NOT u.train) / (SELECT count(*) FROM every WHERE NOT train), 6) AS test_recall
+FROM picked p LEFT JOIN upto u ON u.step = p.step GROUP BY p.step, p.rule""")
+def rule_choice_holdout(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rules chosen greedily on one half of the entities, and what the union so far keeps of either half."""
+    df = people(spark, sf_dir)
+    return rules.choose_on_half(df, "rec_id", "k", report_truth(df), RULES, 2 * df.count(), 3)

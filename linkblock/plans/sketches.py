@@ -189,13 +189,24 @@ _FAST = f"{_KEPT}, {S.bins(B, 'kept', 'bins_w')}, {S.filled(B, 'probe', 'bins_w'
 
 
 @query(f"{_G}, {_FAST} SELECT table_no::INT AS table_no, md5(key) AS bucket, count(*) AS n FROM bands_w GROUP BY ALL HAVING count(*) > 1")
-def fast_sketch_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The flagship: sample by weight, one pass of bins, fill, band, group. One exchange, of keys only."""
+def portable_sketch_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The flagship's steps by hashes that another engine can make too, for a check of all of them."""
     sig = weighted_sets(spark, sf_dir).select(fast_signature(F.col("c")).alias("sig"))
     keyed = sig.select(F.posexplode(bands.shown_keys(F.col("sig"), K, TABLES)).alias("table_no", "key"))
     return keyed.groupBy("table_no", F.md5(F.col("key").cast("binary")).alias("bucket")).agg(F.count("*").alias("n")).where("n > 1")
 
 
+@query()
+def fast_sketch_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The flagship: sample by weight, one pass of bins, fill, band, group. One exchange, of 64-bit keys only.
+
+    Fast hashes of the words; portable_sketch_blocks is the same by portable ones.
+    """
+    counted = docs(spark, sf_dir).select(tokens.fast_gram_counts(F.col("text"), GRAM).alias("c"))
+    keyed = counted.select(F.posexplode(bands.keys(fast_signature(F.col("c")), K, TABLES)).alias("table_no", "bucket"))
+    return keyed.groupBy("table_no", "bucket").agg(F.count("*").alias("n")).where("n > 1")
+
+
 @query(f"{_G}, {S.doc_truth(ALIKE)}, {_FAST}, {_probe_pairs(K, TABLES, 'p')} SELECT method, n_pairs, recall, rr, prec FROM ({S.quality('weighted', 'pairs_w', 'doc_truth', _N)} UNION ALL {S.quality('plain', 'pairs_p', 'doc_truth', _N)})")
 def weighted_vs_plain(spark: SparkSession, sf_dir: str) -> DataFrame:
     truth, rows = settle(doc_truth(spark, sf_dir)), docs(spark, sf_dir)
@@ -209,25 +220,31 @@ def _vectors(spark: SparkSession, sf_dir: str, p: int = 32) -> DataFrame:
     return cluster.project(cluster.tfidf(doc_bag(spark, sf_dir), n), p)
 
 
+_VEC = f"idf_w AS (SELECT tok, ln((({_N}) + 1) / (count(*) + 1)) AS idf FROM bag GROUP BY tok), doc_weights AS (SELECT rec_id, h, cnt * idf AS w FROM bag JOIN idf_w USING (tok)), {S.vectors('doc_weights', 32)}"
+_COUNT = lambda size: f"(SELECT ceil(({_N}) / {size}.0))"
+_ALL_DOCS = "SELECT d.doc_id AS rec_id, coalesce({c}, -d.doc_id - 1)::BIGINT AS cluster FROM documents d LEFT JOIN clusters c ON d.doc_id = c.rec_id"
+_CLUSTER_PAIRS = "cluster_pairs AS (SELECT a.rec_id AS id_lo, b.rec_id AS id_hi FROM clusters a JOIN clusters b ON a.k = b.k AND a.rec_id < b.rec_id)"
+
+
 def _every_record(spark: SparkSession, sf_dir: str, clusters: DataFrame) -> DataFrame:
     """A partition covers all records: those without a token get a block of their own, by negative number."""
     return docs(spark, sf_dir).select("rec_id").join(clusters, "rec_id", "left").select("rec_id", F.coalesce("cluster", -F.col("rec_id") - 1).alias("cluster"))
 
 
-@query()
+@query(f"{_G}, {_VEC}, {S.kmeans(_COUNT(20), 3)} {_ALL_DOCS.format(c='k')}")
 def cluster_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Random projection and k-means, mean block of 20 records."""
     v = _vectors(spark, sf_dir)
-    return _every_record(spark, sf_dir, cluster.lloyd(v, cluster.clusters_for(docs(spark, sf_dir).count(), 20), 3, 32))
+    return _every_record(spark, sf_dir, cluster.blocks(v, 20, docs(spark, sf_dir).count(), 3))
 
 
-@query()
+@query(f"{_G}, {S.doc_truth(ALIKE)}, {_VEC}, {S.kmeans(_COUNT(20), 3)}, {_CLUSTER_PAIRS} {S.quality('projection_kmeans', 'cluster_pairs', 'doc_truth', _N)}")
 def cluster_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     made = cluster_blocks(spark, sf_dir).select(F.col("cluster").alias("block_id"), "rec_id")
     return measures.partition_quality(made, doc_truth(spark, sf_dir), "projection_kmeans")
 
 
-@query()
+@query(f"{_G}, {_VEC}, {S.two_levels(_N, 20, 2)} {_ALL_DOCS.format(c='cluster')}")
 def cluster_two_level(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _every_record(spark, sf_dir, cluster.two_level(_vectors(spark, sf_dir), 20, docs(spark, sf_dir).count(), 2))
 
@@ -237,7 +254,15 @@ def cluster_library(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _every_record(spark, sf_dir, cluster.library_kmeans(_vectors(spark, sf_dir), cluster.clusters_for(docs(spark, sf_dir).count(), 20)))
 
 
-@query()
+def _sweep_sql(size: int) -> str:
+    n = f"s{size}"
+    shown = S.quality("x", f"{n}_pairs", "doc_truth", f"SELECT count(*) FROM {n}")
+    return f"SELECT {_COUNT(size)}::INT AS c, (SELECT round(avg(b), 6) FROM {n}_sizes) AS mean_size, (SELECT max(b) FROM {n}_sizes) AS max_size, recall, rr, prec FROM ({shown})"
+
+
+@query(f"{_G}, {S.doc_truth(ALIKE)}, {_VEC}, " + ", ".join(
+    f"{S.kmeans(_COUNT(n), 2, out=f's{n}')}, s{n}_sizes AS (SELECT k, count(*) AS b FROM s{n} GROUP BY k), s{n}_pairs AS (SELECT a.rec_id AS id_lo, b.rec_id AS id_hi FROM s{n} a JOIN s{n} b ON a.k = b.k AND a.rec_id < b.rec_id)" for n in (10, 50, 250)
+) + " " + " UNION ALL ".join(_sweep_sql(n) for n in (10, 50, 250)))
 def cluster_size_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Quality and block sizes as the mean block size is set to 10, 50 and 250."""
     v, truth, n = settle(_vectors(spark, sf_dir)), settle(doc_truth(spark, sf_dir)), docs(spark, sf_dir).count()
@@ -250,25 +275,75 @@ def cluster_size_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     return reduce(DataFrame.unionByName, rows)
 
 
+_CWS_TABLES = 5
+_RULES = rules.AnyOf("start", rules.AllOf("lang", "source", "band"))
+_KEYED = """keyed AS (SELECT doc_id AS rec_id, lang, source, substr(text, 1, 10) AS start, n_chars // 200 AS band FROM documents),
+p_ls AS (SELECT a.rec_id AS id_lo, b.rec_id AS id_hi FROM keyed a JOIN keyed b ON a.lang = b.lang AND a.source = b.source AND a.rec_id < b.rec_id),
+p_con AS (SELECT a.rec_id AS id_lo, b.rec_id AS id_hi FROM keyed a JOIN keyed b ON a.lang = b.lang AND a.start = b.start AND a.rec_id < b.rec_id),
+p_dnf AS (SELECT a.rec_id AS id_lo, b.rec_id AS id_hi FROM keyed a JOIN keyed b ON a.rec_id < b.rec_id AND (a.start = b.start OR (a.lang = b.lang AND a.source = b.source AND a.band = b.band)))"""
+
+
+def _largest_sql(fields: str, table: str = "keyed") -> str:
+    return f"(SELECT max(n) FROM (SELECT count(*) AS n FROM {table} GROUP BY {fields}))"
+
+
+_CWS = f"""draws AS (SELECT rec_id, pos, h, cnt, -ln({_cws_u(0)} * {_cws_u(1)}) AS r, -ln({_cws_u(2)} * {_cws_u(3)}) AS c, {_cws_u(4)} AS beta FROM bag, range({K * _CWS_TABLES}) p(pos)),
+levels AS (SELECT *, floor(ln(cnt) / r + beta)::BIGINT AS t FROM draws),
+chosen AS (SELECT rec_id, pos, arg_min(h * 4096 + ((t % 4096) + 4096) % 4096, ln(c) - r * (t - beta) - r) AS val FROM levels GROUP BY 1, 2),
+cws_bands AS (SELECT rec_id, pos // {K} AS table_no, string_agg(val::VARCHAR, '-' ORDER BY pos) AS key FROM chosen GROUP BY 1, 2), {S.band_pairs('cws_bands', 'p_cws')}"""
+_BANDED = "table_no, key"
+_COMPARED = (
+    ("exact_fields", "p_ls", _largest_sql("lang, source")), ("conjunction", "p_con", _largest_sql("lang, start")),
+    ("rule_union", "p_dnf", f"greatest({_largest_sql('start')}, {_largest_sql('lang, source, band')})"),
+    ("projection_kmeans", "cluster_pairs", _largest_sql("k", "clusters")), ("classic_minhash", "p_mh", _largest_sql(_BANDED, "mh_bands")),
+    ("one_pass_rotate", "p_rot", _largest_sql(_BANDED, "bands_r")), ("one_pass_probe", "pairs_p", _largest_sql(_BANDED, "bands_p")),
+    ("weighted_sampled", "pairs_w", _largest_sql(_BANDED, "bands_w")), ("weighted_expanded", "pairs_x", _largest_sql(_BANDED, "bands_x")),
+    ("consistent_sampling", "p_cws", _largest_sql(_BANDED, "cws_bands")),
+)
+
 
+def compared(method: str, found: DataFrame, truth: DataFrame, rows: DataFrame, largest: DataFrame) -> DataFrame:
+    """One row: method, n_pairs, recall, split, rr, prec, max_block. largest: a column n of block sizes."""
+    row = measures.quality(found, truth, rows, method).join(F.broadcast(largest.agg(F.max("n").alias("max_block"))))
+    return row.select("method", "n_pairs", "recall", F.round(1 - F.col("recall"), 6).alias("split"), "rr", "prec", "max_block")
 
-@query(f"{_G}, {S.doc_truth(ALIKE)}, keyed AS (SELECT doc_id AS rec_id, lang || '/' || source AS k0 FROM documents), p_ls AS (SELECT a.rec_id AS id_lo, b.rec_id AS id_hi FROM keyed a JOIN keyed b ON a.k0 = b.k0 AND a.rec_id < b.rec_id), "
+
+def by_fields(df: DataFrame, *schemes: list[str]) -> DataFrame:
+    """Block sizes of records that agree on the fields of any of the schemes; missing fields agree with nothing."""
+    return reduce(DataFrame.unionByName, (df.dropna(subset=list(f)).groupBy(*f).agg(F.count("*").alias("n")).select("n") for f in schemes))
+
+
+def by_signature(method: str, signed: DataFrame, k: int, tables: int, truth: DataFrame, rows: DataFrame) -> DataFrame:
+    """The row of a banded signature (rec_id, sig); signatures are made once."""
+    keyed = settle(signed.select("rec_id", bands.keys(F.col("sig"), k, tables).alias("ks")).where("ks IS NOT NULL"))
+    largest = keyed.select(F.posexplode("ks").alias("t", "key")).groupBy("t", "key").agg(F.count("*").alias("n"))
+    return compared(method, pairs.from_keys(keyed, "rec_id", F.col("ks"))[0], truth, rows, largest)
+
+
+@query(f"{_G}, {S.doc_truth(ALIKE)}, {_KEYED}, {_VEC}, {S.kmeans(_COUNT(20), 3)}, {_CLUSTER_PAIRS}, "
        f"{_CLASSIC(B)}, mh_bands AS (SELECT rec_id, pos // {K} AS table_no, string_agg(val::VARCHAR, '-' ORDER BY pos) AS key FROM mh GROUP BY 1, 2), {S.band_pairs('mh_bands', 'p_mh')}, "
-       f"{S.bins(B)}, {S.filled(B, 'rotate', out='filled_r')}, {S.band_keys(K, 'filled_r', 'bands_r')}, {S.band_pairs('bands_r', 'p_rot')}, {_probe_pairs(K, TABLES, 'p')}, {_FAST} "
-       "SELECT method, n_pairs, recall, round(1 - recall, 6) AS split, rr, prec FROM (" + " UNION ALL ".join(f"({S.quality(m, t, 'doc_truth', _N)})" for m, t in (("exact_fields", "p_ls"), ("classic_minhash", "p_mh"), ("one_pass_rotate", "p_rot"), ("one_pass_probe", "pairs_p"), ("weighted", "pairs_w"))) + ")")
+       f"{S.bins(B)}, {S.filled(B, 'rotate', out='filled_r')}, {S.band_keys(K, 'filled_r', 'bands_r')}, {S.band_pairs('bands_r', 'p_rot')}, {_probe_pairs(K, TABLES, 'p')}, {_FAST}, "
+       f"{_EXPANDED}, {S.bins(B, 'copies', 'bins_x')}, {S.filled(B, 'probe', 'bins_x', 'filled_x')}, {S.band_keys(K, 'filled_x', 'bands_x')}, {S.band_pairs('bands_x', 'pairs_x')}, {_CWS} "
+       + " UNION ALL ".join(f"SELECT method, n_pairs, recall, round(1 - recall, 6) AS split, rr, prec, {most} AS max_block FROM ({S.quality(m, t, 'doc_truth', _N)})" for m, t, most in _COMPARED))
 def method_comparison(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Five methods on the same documents and truth; which wins is what comes out, not what is asserted."""
-    truth, rows, sets = settle(doc_truth(spark, sf_dir)), docs(spark, sf_dir), settle(doc_sets(spark, sf_dir))
-    sig = lambda c: pairs.from_signatures(sets.select("rec_id", c.alias("sig")), "rec_id", F.col("sig"), K, TABLES)
-    h = F.col("h")
-    made = [
-        measures.partition_quality(rules.exact_field_blocks(rows, "rec_id", ["lang", "source"]), truth, "exact_fields"),
-        measures.quality(sig(sketch.classic_minhash(h, B)), truth, rows, "classic_minhash"),
-        measures.quality(sig(sketch.one_pass_sketch(h, B, "rotate")), truth, rows, "one_pass_rotate"),
-        measures.quality(sig(sketch.one_pass_sketch(h, B, "probe")), truth, rows, "one_pass_probe"),
-        measures.quality(pairs.from_signatures(weighted_sets(spark, sf_dir).select("rec_id", fast_signature(F.col("c")).alias("sig")), "rec_id", F.col("sig"), K, TABLES), truth, rows, "weighted"),
-    ]
-    return reduce(DataFrame.unionByName, made).select("method", "n_pairs", "recall", F.round(1 - F.col("recall"), 6).alias("split"), "rr", "prec")
+    """Rules, projection with k-means, plain and weighted sketches on the same documents and truth; which wins is what comes out, not what is asserted."""
+    truth, rows = settle(doc_truth(spark, sf_dir)), docs(spark, sf_dir)
+    sets, weighted = settle(doc_sets(spark, sf_dir)), settle(weighted_sets(spark, sf_dir))
+    fields = rows.select("rec_id", "lang", "source", rules.prefix("text", 10).alias("start"), rules.band("n_chars", 200).alias("band"))
+    clusters = settle(cluster.blocks(_vectors(spark, sf_dir), 20, rows.count(), 3).select(F.col("cluster").alias("block_id"), "rec_id"))
+    signed = lambda df, c: df.select("rec_id", c.alias("sig"))
+    h, c = F.col("h"), F.col("c")
+    by_rule = lambda method, rule, *schemes: compared(method, rules.rule_pairs(fields, "rec_id", rule), truth, rows, by_fields(fields, *schemes))
+    sketched = lambda method, df, sig, tables=TABLES: by_signature(method, signed(df, sig), K, tables, truth, rows)
+    return reduce(DataFrame.unionByName, [
+        by_rule("exact_fields", rules.AllOf("lang", "source"), ["lang", "source"]), by_rule("conjunction", rules.AllOf("lang", "start"), ["lang", "start"]),
+        by_rule("rule_union", _RULES, ["start"], ["lang", "source", "band"]),
+        compared("projection_kmeans", pairs.from_blocks(clusters), truth, rows, clusters.groupBy("block_id").agg(F.count("*").alias("n"))),
+        sketched("classic_minhash", sets, sketch.classic_minhash(h, B)), sketched("one_pass_rotate", sets, sketch.one_pass_sketch(h, B, "rotate")),
+        sketched("one_pass_probe", sets, sketch.one_pass_sketch(h, B, "probe")), sketched("weighted_sampled", weighted, fast_signature(c)),
+        sketched("weighted_expanded", weighted, sketch.one_pass_sketch(sketch.expand(c), B)),
+        sketched("consistent_sampling", weighted, sketch.consistent_weighted_hash(c, K * _CWS_TABLES), _CWS_TABLES),
+    ])
 
 
 @query(f"{_G}, d AS (SELECT rec_id, count(*) AS d, sum(cnt) AS i FROM bag GROUP BY rec_id) SELECT rec_id AS doc_id, d * {B} AS classic, d + {B} AS one_pass, (i + {B})::BIGINT AS expanded FROM d")

@@ -110,6 +110,46 @@ def quality(method: str, pairs: str, truth: str, n: str) -> str:
 FROM (SELECT (SELECT count(*) FROM {pairs}) AS n_pairs, (SELECT count(*) FROM {truth}) AS n_true, (SELECT count(*) FROM {pairs} p JOIN {truth} t ON p.id_lo = t.id_lo AND p.id_hi = t.id_hi) AS n_hit, ({n}) AS n_rows)"""
 
 
+def vectors(weights: str, p: int, out: str = "vec") -> str:
+    """CTEs up to out(rec_id, j, x) from weights(rec_id, h, w): projections by random signs, of length 1."""
+    return f"""
+{out}_sums AS (SELECT rec_id, j, sum(w * CASE WHEN ({mix_sql('h', '4000 + j')} // 65536) % 2 = 0 THEN 1 ELSE -1 END) AS x FROM {weights}, range({p}) r(j) GROUP BY 1, 2),
+{out}_norms AS (SELECT rec_id, sqrt(sum(x * x)) AS n FROM {out}_sums GROUP BY rec_id),
+{out} AS (SELECT rec_id, j, round(CASE WHEN n > 0 THEN x / n ELSE 0 END, 6) AS x FROM {out}_sums JOIN {out}_norms USING (rec_id))"""
+
+
+def _ranked(tag: str, source: str, part: str = "") -> str:
+    return f"row_number() OVER ({part} ORDER BY {u32(f"'{tag}' || rec_id")}, rec_id) - 1 AS k FROM {source}"
+
+
+def _rounds(vec: str, first: str, rounds: int, out: str, group: str = "") -> str:
+    """CTEs up to out(rec_id, k and group) by Lloyd rounds from the centres first(k, j, x and group); vec has the group too."""
+    g, same = (f", {group}", f" AND v.{group} = c.{group}") if group else ("", "")
+    text, centres = [], first
+    for i in range(rounds + 1):
+        name = out if i == rounds else f"{out}_a{i}"
+        text.append(f"""{name} AS (SELECT rec_id{g}, k FROM (SELECT rec_id{g}, k, row_number() OVER (PARTITION BY rec_id ORDER BY s DESC, k) AS place FROM (
+  SELECT v.rec_id{', v.' + group if group else ''}, c.k, round(sum(v.x * c.x) - sum(c.x * c.x) / 2, 9) AS s FROM {vec} v JOIN {centres} c ON v.j = c.j{same} GROUP BY ALL)) WHERE place = 1)""")
+        if i < rounds:
+            text.append(f"""{out}_m{i} AS (SELECT a.k{', a.' + group if group else ''}, v.j, round(avg(v.x), 9) AS x FROM {name} a JOIN {vec} v ON a.rec_id = v.rec_id GROUP BY ALL),
+{out}_c{i} AS (SELECT k, j{g}, coalesce(m.x, c.x) AS x FROM {centres} c LEFT JOIN {out}_m{i} m USING (k, j{g}))""")
+            centres = f"{out}_c{i}"
+    return ", ".join(text)
+
+
+def kmeans(count: str, rounds: int, vec: str = "vec", out: str = "clusters") -> str:
+    """CTEs up to out(rec_id, k): rounds of means from the `count` records of least hashed id."""
+    return f"""{out}_first AS (SELECT k, j, x FROM (SELECT rec_id, {_ranked('seed', f'(SELECT DISTINCT rec_id FROM {vec})')}) JOIN {vec} USING (rec_id) WHERE k < {count}), """ + _rounds(vec, f"{out}_first", rounds, out)
+
+
+def two_levels(n: str, size: int, rounds: int, vec: str = "vec", out: str = "clusters") -> str:
+    """CTEs up to out(rec_id, cluster): a coarse partition, and inside each part a share of the rest."""
+    return f"""{out}_n AS (SELECT ceil(({n}) / {size}.0) AS c, greatest(1, round(sqrt(ceil(({n}) / {size}.0)))) AS coarse_n), {out}_i AS (SELECT ceil(c / coarse_n)::BIGINT AS inner_n, coarse_n::BIGINT AS coarse_n FROM {out}_n),
+{kmeans(f'(SELECT coarse_n FROM {out}_i)', rounds, vec, out + '_co')}, {out}_v AS (SELECT v.rec_id, v.j, v.x, c.k AS part FROM {vec} v JOIN {out}_co c ON v.rec_id = c.rec_id),
+{out}_first AS (SELECT f.k, v.j, v.x, v.part FROM (SELECT rec_id, {_ranked('fine', f'(SELECT rec_id, k AS part FROM {out}_co)', 'PARTITION BY part')}) f JOIN {out}_v v USING (rec_id) WHERE f.k < (SELECT inner_n FROM {out}_i)),
+{_rounds(out + '_v', out + '_first', rounds, out + '_fine', 'part')}, {out} AS (SELECT rec_id, part * (SELECT inner_n FROM {out}_i) + k AS cluster FROM {out}_fine)"""
+
+
 def letter_costs(preset: str) -> str:
     """A SELECT of a, b, cost from the three tables of likeness."""
     w = PRESETS[preset]

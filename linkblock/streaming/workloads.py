@@ -6,6 +6,8 @@ on from its checkpoint. Each has a batch answer that it must equal.
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -26,16 +28,21 @@ def event_stream(spark: SparkSession, sf_dir: str, per_batch: int = 1) -> DataFr
     return rows.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
-def to_end(df: DataFrame, spark: SparkSession, name: str, mode: str) -> DataFrame:
-    """Run a stream over all there is and read its result: the last full result (complete) or all appended rows."""
+def to_end(df: DataFrame, spark: SparkSession, name: str, mode: str, between: Callable[[], None] | None = None) -> DataFrame:
+    """Run a stream over all there is and read its result: the last full result (complete) or all appended rows.
+
+    between: what happens after the first run, before the stream goes on from its checkpoint.
+    """
     base = scratch(spark, name)
 
     def write(batch: DataFrame, batch_id: int) -> None:
         # A batch that is run again overwrites its own folder: exactly once in effect.
         batch.write.mode("overwrite").parquet(f"{base}/rows" if mode == "complete" else f"{base}/rows/batch={batch_id}")
 
-    q = df.writeStream.outputMode(mode).foreachBatch(write).option("checkpointLocation", f"{base}/state").trigger(availableNow=True).start()
-    q.awaitTermination()
+    for after in (between, None) if between else (None,):
+        df.writeStream.outputMode(mode).foreachBatch(write).option("checkpointLocation", f"{base}/state").trigger(availableNow=True).start().awaitTermination()
+        if after:
+            after()
     return spark.read.schema(df.schema).parquet(f"{base}/rows").select(*df.columns)
 
 
@@ -65,11 +72,22 @@ def stream_session(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _shown(to_end(made, spark, "session", "complete"), "start")
 
 
-@query()
+@query("SELECT strftime(b, '%Y-%m-%d %H:%M:%S') AS start, count(*) AS n FROM (SELECT time_bucket(INTERVAL 1 HOUR, ts) AS b FROM events) WHERE b + INTERVAL 1 HOUR <= (SELECT max(ts) - INTERVAL 10 MINUTE FROM events) GROUP BY b")
 def stream_late_drop(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Only windows that the watermark has passed come out; rows later than it are dropped."""
-    made = event_stream(spark, sf_dir).withWatermark("ts", "10 minutes").groupBy(F.window("ts", "1 hour").alias("w")).agg(F.count("*").alias("n")).select(F.col("w.start").alias("start"), "n")
-    return _shown(to_end(made, spark, "late", "append"), "start")
+    """Events arrive; after them, those of a day before the last and older once more: late by then, they are dropped.
+
+    Only windows that the watermark has passed come out, with the counts of the first arrival alone.
+    """
+    path, events = scratch(spark, "late-events"), load(spark, sf_dir, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"))
+    events.write.parquet(path)
+
+    def late() -> None:
+        last = events.agg(F.max("ts").alias("last"))
+        events.join(F.broadcast(last)).where("ts < last - INTERVAL 1 DAY").drop("last").write.mode("append").parquet(path)
+
+    arriving = spark.readStream.schema(events.schema).parquet(path)
+    made = arriving.withWatermark("ts", "10 minutes").groupBy(F.window("ts", "1 hour").alias("w")).agg(F.count("*").alias("n")).select(F.col("w.start").alias("start"), "n")
+    return _shown(to_end(made, spark, "late", "append", late), "start")
 
 
 @query("SELECT user_id, event_type, count(*) AS n FROM (SELECT DISTINCT event_id, user_id, event_type FROM events) GROUP BY ALL")

@@ -1,6 +1,7 @@
 """Rules, sketches, bands, blocks, linkage and estimates on small fixtures."""
 
 import random
+import re
 
 import numpy as np
 import pytest
@@ -270,6 +271,46 @@ def test_linkage_and_estimates(spark):
     assert (row.n1, row.n2, row.m, row.est) == (6, 4, 2, 10.6667)
 
 
+def test_fitted_three_list_models_equal_their_closed_forms(spark):
+    rows = [(1, 0, 0, 90), (0, 1, 0, 70), (0, 0, 1, 40), (1, 1, 0, 33), (1, 0, 1, 21), (0, 1, 1, 15), (1, 1, 1, 9)]
+    hist = spark.createDataFrame(rows, "in_a int, in_b int, in_c int, n bigint")
+    closed = {r.model: r.est for r in capture.three_list(hist, "in_a", "in_b", "in_c").collect()}
+    for model, p in (("independent", ()), ("a:b", (("A", "B"),)), ("a:c", (("A", "C"),)), ("b:c", (("B", "C"),))):
+        assert abs(capture.log_linear(hist, ["A", "B", "C"], p)[0] - closed[model]) < 0.01
+    empty = capture.three_list(hist.limit(0), "in_a", "in_b", "in_c").collect()
+    assert len(empty) == 4 and all(r.est is None for r in empty)
+
+
+def test_hot_buckets_make_every_pair_once(spark):
+    rows = [(i, [1, i % 3]) for i in range(60)] + [(100, [2, 7]), (101, [2, 8])]
+    df = spark.createDataFrame(rows, "id bigint, k array<bigint>")
+    for chunk in (7, 2048):
+        found = [(r.id_lo, r.id_hi, r.first_table) for r in pairs.from_keys(df, "id", F.col("k"), chunk=chunk)[0].collect()]
+        assert len(found) == len(set(found)) == 60 * 59 // 2 + 1 and all(t == 0 for _, _, t in found)
+    later = [(i, [i, 5]) for i in range(30)]
+    found = pairs.from_keys(spark.createDataFrame(later, "id bigint, k array<bigint>"), "id", F.col("k"), chunk=4)[0].collect()
+    assert len(found) == 30 * 29 // 2 and {r.first_table for r in found} == {1}
+
+
+def test_fast_sketch_blocks_match_plain_hashes(spark, sf):
+    """Token hashes and their counts by plain Python; the steps after them are those of the portable form, which SQL checks."""
+    import xxhash
+
+    from linkblock.functions import tokens
+
+    texts = [(1, "a b c d a b c"), (2, "x y"), (3, None), (4, "é É z  z-z"), (5, "")]
+    df = spark.createDataFrame(texts, "id bigint, text string")
+    got = {r.id: sorted((e.h, e.cnt) for e in r.c) for r in df.select("id", tokens.fast_gram_counts(F.col("text"), 3).alias("c")).collect()}
+    for i, text in texts:
+        words, want = re.findall(r"[^\W_]+", (text or "").lower()), {}
+        for at in range(len(words) - 2):
+            h = 42
+            for w in words[at : at + 3]:
+                h = xxhash.xxh64_intdigest(w.encode(), h)
+            want[h & (1 << 32) - 1] = want.get(h & (1 << 32) - 1, 0) + 1
+        assert got[i] == sorted(want.items())
+
+
 def test_log_linear_recovers_independent_lists(spark):
     p, n = {"A": 0.6, "B": 0.4, "C": 0.25}, 10_000
     cells = []
@@ -311,7 +352,12 @@ def test_clusters(spark):
     for c in set(out.values()):
         assert len({i % 4 for i, x in out.items() if x == c}) == 1
     assert cluster.clusters_for(1000, 20) == 50
-    assert cluster.two_level(df, 10, 80, 2).count() == 80
+    fine = {r.rec_id: r.cluster for r in cluster.two_level(df, 10, 80, 2).collect()}
+    assert set(fine) == set(range(80))
+    for c in set(fine.values()):
+        assert len({i % 4 for i, x in fine.items() if x == c}) == 1
+    library = {r.rec_id: r.cluster for r in cluster.library_kmeans(df, 4).collect()}
+    assert len(set(library.values())) == 4 and all(len({i % 4 for i, x in library.items() if x == c}) == 1 for c in set(library.values()))
 
 
 def test_tuning_over_seeds(spark):
@@ -331,7 +377,7 @@ def test_every_vector_pair_of_a_label_comes_once(spark, monkeypatch):
     by_label = {}
     for r in spark.read.parquet("/root/testdata/sf0.001/embeddings.parquet").collect():
         by_label.setdefault(r.label, []).append(r.vec_id)
-    got = [(r.id_lo, r.id_hi) for r in entry.queries()["vector_inner_all"](spark, "/root/testdata/sf0.001").collect()]
+    got = [(r.id_lo, r.id_hi) for r in entry.queries()["vector_inner"](spark, "/root/testdata/sf0.001").collect()]
     want = {(a, b) for label, ids in by_label.items() if label is not None for a in ids for b in ids if a < b}
     assert len(got) == len(want) and set(got) == want
 
@@ -346,6 +392,6 @@ def test_idf_pairs_of_short_copies_stay(spark):
         if t and len(t.split()) >= 10:
             by_text.setdefault(t, []).append(i)
     want = {(a, b) for ids in by_text.values() for a in ids for b in ids if a < b}
-    got = {(r.id_lo, r.id_hi): r.cosine for r in entry.queries()["idf_inner_docs_all"](spark, sf).collect()}
+    got = {(r.id_lo, r.id_hi): r.cosine for r in entry.queries()["idf_inner_docs"](spark, sf).collect()}
     cut = {(r.id_lo, r.id_hi) for r in entry.queries()["idf_inner_docs"](spark, sf).collect()}
     assert want <= set(got) and all(got[p] > 0.999 for p in want) and not want <= cut
