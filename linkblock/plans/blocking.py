@@ -17,7 +17,7 @@ from linkblock.plans import query
 from linkblock.plans import sqltext as S
 from linkblock.plans.sketches import _cws_u as cws_u
 from linkblock.plans.sketches import by_fields, by_signature, compared
-from linkblock.runtime import settle
+from linkblock.runtime import settle, spread
 from linkblock.sources.tables import clean, load, report_truth, reports
 
 K, TABLES = 3, 30
@@ -394,7 +394,7 @@ def method_comparison_reports(spark: SparkSession, sf_dir: str) -> DataFrame:
     max_block of rule_union_names is that of the rules before names are compared.
     """
     df = people(spark, sf_dir)
-    truth, weighted = settle(report_truth(df)), settle(weighted_tokens(spark, sf_dir))
+    truth, weighted = settle(report_truth(df)), spread(settle(weighted_tokens(spark, sf_dir)))
     sets = weighted.select("rec_id", F.transform("c", lambda e: e["h"]).alias("h"))
     most = weighted.select(F.explode("c").alias("e")).agg(F.max("e.cnt").alias("most")).first()["most"] or 1.0
     vectors = cluster.project(weighted.select("rec_id", F.explode("c").alias("e")).select("rec_id", "e.h", F.col("e.cnt").alias("w")), 32)

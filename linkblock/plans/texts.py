@@ -11,6 +11,7 @@ from linkblock.functions import similarity, tokens
 from linkblock.operators import measures, rules
 from linkblock.plans import query
 from linkblock.plans import sqltext as S
+from linkblock.runtime import spread
 from linkblock.sources.tables import load
 
 GRAM, ALIKE = 3, 0.5
@@ -18,7 +19,7 @@ _G = f"WITH {S.doc_grams(GRAM)}"
 
 
 def docs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return load(spark, sf_dir, "documents").select(F.col("doc_id").alias("rec_id"), "text", "lang", "source", "n_chars")
+    return spread(load(spark, sf_dir, "documents").select(F.col("doc_id").alias("rec_id"), "text", "lang", "source", "n_chars"))
 
 
 def doc_bag(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -28,3 +28,13 @@ def settle(df: DataFrame) -> DataFrame:
     """Write df to the shared checkpoint folder and read from there afterwards."""
     ensure_checkpoint_dir(df.sparkSession)
     return df.checkpoint(eager=True)
+
+
+def spread(df: DataFrame) -> DataFrame:
+    """df over as many partitions as there are cores, if it has fewer: small files of one row group would keep one core busy.
+
+    For tables read from files or settled, whose partitions are known without
+    running anything. Larger inputs have more partitions and stay as they are.
+    """
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores) if df.rdd.getNumPartitions() < cores else df
