@@ -33,7 +33,8 @@ def from_keys(df: DataFrame, id_col: str, keys: Column, cap: int | None = None,
     pairs of a hot bucket. With a cap, buckets over it make no pairs here;
     they are returned for split_large() instead of being lost.
     """
-    rows = settle(df.select(F.col(id_col).alias("id"), keys.alias("ks")).where("ks IS NOT NULL"))
+    # Written before the nulls go: a filter on the keys would be pushed below them and make them twice.
+    rows = settle(df.select(F.col(id_col).alias("id"), keys.alias("ks"))).where("ks IS NOT NULL")
     exploded = rows.select("id", F.posexplode("ks").alias("table_no", "bucket_key"), "ks").select("id", "table_no", "bucket_key", F.slice("ks", F.lit(1), F.col("table_no")).alias("ks"))
     sizes = exploded.groupBy("table_no", "bucket_key").agg(F.count("*").alias("n")).where("n > 1")
     large = sizes.where(F.col("n") > cap) if cap else sizes.limit(0)

@@ -315,7 +315,7 @@ def by_fields(df: DataFrame, *schemes: list[str]) -> DataFrame:
 
 def by_signature(method: str, signed: DataFrame, k: int, tables: int, truth: DataFrame, rows: DataFrame) -> DataFrame:
     """The row of a banded signature (rec_id, sig); signatures are made once."""
-    keyed = settle(signed.select("rec_id", bands.keys(F.col("sig"), k, tables).alias("ks")).where("ks IS NOT NULL"))
+    keyed = settle(signed.select("rec_id", bands.keys(F.col("sig"), k, tables).alias("ks"))).where("ks IS NOT NULL")
     largest = keyed.select(F.posexplode("ks").alias("t", "key")).groupBy("t", "key").agg(F.count("*").alias("n"))
     return compared(method, pairs.from_keys(keyed, "rec_id", F.col("ks"))[0], truth, rows, largest)
 
