@@ -120,12 +120,12 @@ def one_pass_sketch(hashes: Column, n: int, how: str = "probe") -> Column:
     return signature(densify(one_pass_bins(hashes, n), n, how))
 
 
-def per_table_filled(hashes: Column, k: int, tables: int, seed: int = 500) -> Column:
+def per_table_filled(hashes: Column, k: int, tables: int, seed: int | Column = 500) -> Column:
     """array (by table) of densified sketches of k bins each, every table with its own remix of the same hashes."""
     return let(hashes, lambda h: F.transform(F.sequence(F.lit(0), F.lit(tables - 1)), lambda t: densify(one_pass_bins(F.array_sort(F.transform(h, lambda x: mix(x, t + seed))), k), k, "rotate")))
 
 
-def per_table_sketch(hashes: Column, k: int, tables: int, seed: int = 500) -> Column:
+def per_table_sketch(hashes: Column, k: int, tables: int, seed: int | Column = 500) -> Column:
     """The k * tables values of per_table_filled() in a row; table t holds positions t*k to t*k+k-1."""
     return let(hashes, lambda h: F.when(F.size(h) > 0, F.flatten(F.transform(per_table_filled(h, k, tables, seed), signature))))
 

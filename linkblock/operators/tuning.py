@@ -5,12 +5,12 @@ from __future__ import annotations
 from collections.abc import Iterable
 from functools import reduce
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from linkblock.functions.hashing import mix
 from linkblock.operators import bands, measures, pairs, sketch
-from linkblock.runtime import settle
+from linkblock.runtime import settle, spread
 
 
 def cell(sets: DataFrame, truth: DataFrame, k: int, tables: int, seed: int | None = None, how: str = "probe") -> DataFrame:
@@ -24,9 +24,58 @@ def cell(sets: DataFrame, truth: DataFrame, k: int, tables: int, seed: int | Non
 
 def grid(sets: DataFrame, truth: DataFrame, cells: Iterable[tuple[int, int]], seeds: Iterable[int | None] = (None,)) -> DataFrame:
     """Mean over seeds for each cell; token hashes are made once and kept in the shared folder."""
-    sets, truth = settle(sets), settle(truth.select("id_lo", "id_hi"))
+    sets, truth = spread(settle(sets)), settle(truth.select("id_lo", "id_hi"))
     seeds = list(seeds)
     rows = reduce(DataFrame.unionByName, (cell(sets, truth, k, t, s) for k, t in cells for s in seeds))
     if len(seeds) == 1:
         return rows
     return rows.groupBy("k", "l").agg(*(F.round(F.avg(c), 6).alias(c) for c in ("recall", "rr", "prec")), F.round(F.stddev_pop("recall"), 6).alias("recall_sd"), F.max("max_bin").alias("max_bin"))
+
+
+def runs(sets: DataFrame, truth: DataFrame, cells: Iterable[tuple[int, int]], seeds: Iterable[int]) -> DataFrame:
+    """(k, l, seed, n_pairs, train_hits, test_hits) of independent runs of the sketch by table. truth: (id_lo, id_hi, train).
+
+    A pair knows the first table that it shares, so one run of the most tables
+    a K has serves every smaller L: a pair belongs to L if that table is below
+    L. Keys belong to their run, so all runs make their pairs in one join.
+    Pairs are counted by first table, so at most K x seeds x L rows meet the
+    cells.
+    """
+    cells, seeds = list(cells), list(seeds)
+    most = {k: max(t for j, t in cells if j == k) for k, _ in cells}
+    sets, truth = spread(settle(sets)), settle(truth.select("id_lo", "id_hi", "train"))
+
+    seeded = sets.select("rec_id", "h", F.explode(F.array(*map(F.lit, seeds))).alias("seed"))
+
+    def keyed(k: int) -> DataFrame:
+        keys = bands.keys(sketch.per_table_sketch(F.col("h"), k, most[k], F.col("seed")), k, most[k])
+        return seeded.select(F.struct(F.lit(k).alias("k"), "seed", "rec_id").alias("id"), F.transform(keys, lambda x: F.xxhash64(F.lit(k), "seed", x)).alias("ks"))
+
+    rows = reduce(DataFrame.unionByName, map(keyed, most))
+    found = pairs.from_keys(rows, "id", F.col("ks"))[0].select("id_lo.k", "id_lo.seed", F.col("id_lo.rec_id").alias("id_lo"), F.col("id_hi.rec_id").alias("id_hi"), "first_table")
+    counted = found.join(truth, ["id_lo", "id_hi"], "left").groupBy("k", "seed", "first_table").agg(
+        F.count("*").alias("p"), F.count_if("train").alias("a"), F.count_if(~F.col("train")).alias("b"))
+    grid = sets.sparkSession.createDataFrame([(k, t, s) for k, t in cells for s in seeds], "k int, l int, seed int")  # one row a cell and seed
+    total = lambda c: F.coalesce(F.sum(F.when(F.col("first_table") < F.col("l"), F.col(c))), F.lit(0)).alias
+    return counted.join(F.broadcast(grid), ["k", "seed"], "right").groupBy("k", "l", "seed").agg(total("p")("n_pairs"), total("a")("train_hits"), total("b")("test_hits"))
+
+
+def choose_on_half(sets: DataFrame, truth: DataFrame, train: Column, cells: Iterable[tuple[int, int]], seeds: Iterable[int], pair_budget: int) -> DataFrame:
+    """Each cell over several seeds, and which one the training half of the truth picks: most of its pairs kept, within a budget of pairs.
+
+    k, l, n_pairs (mean over seeds), train_recall, test_recall (means), test_sd, chosen.
+    train: a condition over truth's columns. Ties go to fewer pairs, then to
+    the smaller k and l; no cell is chosen if all are over the budget.
+    """
+    seeds = list(seeds)
+    truth = settle(truth.select("id_lo", "id_hi", train.alias("train")))
+    totals = truth.agg(F.count_if("train").alias("nt"), F.count_if(~F.col("train")).alias("nv"))
+    share = lambda h, n: F.col(h) / F.nullif(F.col(n), F.lit(0))
+    rated = settle(runs(sets, truth, cells, seeds).join(F.broadcast(totals)).groupBy("k", "l").agg(
+        F.sum("n_pairs").alias("all_pairs"), F.sum("train_hits").alias("kept"), F.round(F.avg("n_pairs"), 6).alias("n_pairs"),
+        F.round(F.avg(share("train_hits", "nt")), 6).alias("train_recall"), F.round(F.avg(share("test_hits", "nv")), 6).alias("test_recall"),
+        F.round(F.stddev_pop(share("test_hits", "nv")), 6).alias("test_sd")))
+    order = F.struct("kept", -F.col("all_pairs"), -F.col("k"), -F.col("l"))
+    best = rated.where(F.col("all_pairs") <= pair_budget * len(seeds)).agg(F.max_by(F.struct("k", "l"), order).alias("best"))
+    picked = F.coalesce(F.struct("k", "l") == F.col("best"), F.lit(False)).alias("chosen")
+    return rated.join(F.broadcast(best)).select("k", "l", "n_pairs", "train_recall", "test_recall", "test_sd", picked)

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from linkblock.functions import names
 from linkblock.functions.names import PRESETS
 from linkblock.functions.hashing import WIDTH, mix_sql
-from linkblock.operators import bands, blocks, capture, cluster, linkage, measures, pairs, rules
+from linkblock.operators import bands, blocks, capture, cluster, linkage, measures, pairs, rules, tuning
 from linkblock.operators.sketch import classic_minhash, consistent_weighted_hash, expand, per_table_sketch, quantize, weighted_sketch
 from linkblock.functions.tokens import distinct_hashes, report_tokens
 from linkblock.plans import query
@@ -457,3 +457,23 @@ def rule_choice_holdout(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Rules chosen greedily on one half of the entities, and what the union so far keeps of either half."""
     df = people(spark, sf_dir)
     return rules.choose_on_half(df, "rec_id", "k", report_truth(df), RULES, 2 * df.count(), 3)
+
+
+CELLS, SEEDS = ((2, 5), (2, 10), (3, 10), (3, 20), (3, 30), (4, 20), (4, 40)), (500, 1500, 2500)
+_MOST = {k: max(t for j, t in CELLS if j == k) for k, _ in CELLS}
+_RUNS = ", ".join(f"{S.per_table(k, t, 'rtoks', f'f{k}_{s}', s)}, {S.band_keys(k, f'f{k}_{s}', f'b{k}_{s}', t)}, {S.band_pairs(f'b{k}_{s}', f'p{k}_{s}')}" for k, t in _MOST.items() for s in SEEDS)
+_RATED = " UNION ALL ".join(
+    f"SELECT {k}::INT AS k, {t}::INT AS l, count(*) AS p, count(*) FILTER (train) AS a, count(*) FILTER (NOT train) AS b FROM p{k}_{s} LEFT JOIN halves USING (id_lo, id_hi) WHERE first_table < {t}" for k, t in CELLS for s in SEEDS)
+
+
+@query(f"""WITH {S.reports()}, {S.report_toks()}, {_RUNS}, halves AS (SELECT id_lo, id_hi, {_TRAIN} AS train FROM truth JOIN reports x ON id_lo = x.rec_id), per_run AS ({_RATED}),
+sums AS (SELECT count(*) FILTER (train) AS nt, count(*) FILTER (NOT train) AS nv FROM halves),
+rated AS (SELECT k, l, sum(p) AS all_p, sum(a) AS kept, round(avg(p), 6) AS n_pairs, round(avg(a / nt), 6) AS train_recall, round(avg(b / nv), 6) AS test_recall, round(stddev_pop(b / nv), 6) AS test_sd FROM per_run, sums GROUP BY k, l),
+best AS (SELECT k, l FROM rated WHERE all_p <= {len(SEEDS)} * 2 * (SELECT count(*) FROM reports) ORDER BY kept DESC, all_p, k, l LIMIT 1)
+SELECT k, l, n_pairs, train_recall, test_recall, test_sd, (k, l) IN (SELECT (k, l) FROM best) AS chosen FROM rated""")
+def kl_choice_holdout(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(K, L) for the reports chosen on one half of the entities over three independent runs, within two pairs a report; both halves' recall."""
+    df = people(spark, sf_dir)
+    truth = report_truth(df).join(df.select(F.col("rec_id").alias("id_lo"), "k"), "id_lo")
+    sets = df.select("rec_id", distinct_hashes(report_tokens()).alias("h"))
+    return tuning.choose_on_half(sets, truth, rules.train_half(F.col("k")), CELLS, SEEDS, 2 * df.count())

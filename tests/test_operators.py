@@ -369,6 +369,22 @@ def test_tuning_over_seeds(spark):
     assert by[(2, 8)].recall >= by[(6, 2)].recall and by[(2, 8)].recall > 0.9
 
 
+def test_choice_of_k_and_l_sees_one_half_and_keeps_the_budget(spark):
+    rng = np.random.default_rng(3)
+    df = sets(spark, [s for _ in range(20) for s in near_pair(rng, 60, 10)])
+    truth = spark.createDataFrame([(2 * i, 2 * i + 1) for i in range(20)], "id_lo bigint, id_hi bigint")
+    train, cells, seeds = F.col("id_lo") % 4 == 0, [(2, 1), (2, 8), (6, 2)], [1, 2_000]
+    rows = {(r.k, r.l): r for r in tuning.choose_on_half(df, truth, train, cells, seeds, 1_000).collect()}
+    assert sorted(rows) == sorted(cells) and [c for c, r in rows.items() if r.chosen] == [(2, 8)]
+    for (k, tables), r in rows.items():
+        found = [pair_set(pairs.from_signatures(df.select("rec_id", sketch.per_table_sketch(F.col("h"), k, tables, s).alias("sig")), "rec_id", F.col("sig"), k, tables)) for s in seeds]
+        kept = lambda left: np.mean([sum((i, i + 1) in f for i in range(left, 40, 4)) / 10 for f in found])
+        assert (r.n_pairs, r.train_recall, r.test_recall) == pytest.approx((np.mean([len(f) for f in found]), kept(0), kept(2)))
+    assert not any(r.chosen for r in tuning.choose_on_half(df, truth, train, cells, seeds, -1).collect())
+    tight = {(r.k, r.l): r.chosen for r in tuning.choose_on_half(df, truth, train, cells, seeds, int(rows[(2, 8)].n_pairs) - 1).collect()}
+    assert not tight[(2, 8)] and sum(tight.values()) == 1
+
+
 def test_every_vector_pair_of_a_label_comes_once(spark, monkeypatch):
     import __spark_entry__ as entry
     from linkblock.plans import operators as plans
