@@ -4,12 +4,14 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import reduce
 
 import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from linkblock.functions.tokens import let
+from linkblock.runtime import settle
 
 PSI = 12.0
 #: An Arabic keyboard, each row with the x of its first key.
@@ -163,16 +165,20 @@ def name_cost_udf(w: Weights, indel_cost: float = 1.0, normalize: bool = True):
 def refine_pairs(pairs: DataFrame, df: DataFrame, id_col: str, cols: list[str], w: Weights, max_cost: float = 0.25, how: str = "mean", indel_cost: float = 1.0) -> DataFrame:
     """Keep pairs whose names cost at most max_cost; adds cost. A null name makes the pair's cost the other names' alone.
 
-    Two equi-joins fetch the names; a length test that no cheap edit can pass
-    runs before the distance.
+    Two equi-joins fetch the names. Names repeat over pairs, so each two that
+    differ are given their distance once and joined back; a length test that
+    no cheap edit can pass spares the distance.
     """
     side = lambda s: df.select(F.col(id_col).alias(f"id_{s}"), *(F.col(c).alias(f"{c}_{s}") for c in cols))
-    both = pairs.join(side("lo"), "id_lo").join(side("hi"), "id_hi")
+    both = settle(pairs.join(side("lo"), "id_lo").join(side("hi"), "id_hi"))
+    a, b = F.col("a"), F.col("b")
+    least = F.abs(F.length(a) - F.length(b)) * indel_cost / F.greatest(F.length(a), F.length(b), F.lit(1))
+    met = reduce(DataFrame.unionByName, (both.select(F.col(f"{c}_lo").alias("a"), F.col(f"{c}_hi").alias("b")) for c in cols)).where("a <> b").distinct()
+    known_costs = settle(met.select("a", "b", F.when(least > max_cost * len(cols), least).otherwise(name_cost(a, b, w, indel_cost)).alias("d")))
     costs = []
     for c in cols:
-        a, b = F.col(f"{c}_lo"), F.col(f"{c}_hi")
-        least = F.abs(F.length(a) - F.length(b)) * indel_cost / F.greatest(F.length(a), F.length(b), F.lit(1))
-        costs.append(F.when(least > max_cost * len(cols), least).otherwise(name_cost(a, b, w, indel_cost)))
+        both = both.join(known_costs.select(a.alias(f"{c}_lo"), b.alias(f"{c}_hi"), F.col("d").alias(f"{c}_cost")), [f"{c}_lo", f"{c}_hi"], "left")
+        costs.append(F.when(F.col(f"{c}_lo") == F.col(f"{c}_hi"), F.lit(0.0)).otherwise(F.col(f"{c}_cost")))
     if how == "mean":
         known = sum((c.isNotNull().cast("int") for c in costs[1:]), costs[0].isNotNull().cast("int"))
         cost = sum((F.coalesce(c, F.lit(0.0)) for c in costs[1:]), F.coalesce(costs[0], F.lit(0.0))) / F.nullif(known, F.lit(0))
