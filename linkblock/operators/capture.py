@@ -16,11 +16,15 @@ def histories(members: DataFrame, entity: str, list_col: str, lists: list[str])
 
 
 def two_list(hist: DataFrame, a: str, b: str) -> DataFrame:
-    """(n1, n2, m, est, se): Chapman's estimate and its standard error."""
+    """(n1, n2, m, est, se): Chapman's estimate and its standard error.
+
+    Products of four counts pass 2^63 from some 100,000 entities on, so they are made in doubles.
+    """
     n1, n2, m = (F.coalesce(F.sum(F.when(c, F.col("n"))), F.lit(0)) for c in (F.col(a) == 1, F.col(b) == 1, (F.col(a) == 1) & (F.col(b) == 1)))
     t = hist.agg(n1.alias("n1"), n2.alias("n2"), m.alias("m"))
-    est = (F.col("n1") + 1) * (F.col("n2") + 1) / (F.col("m") + 1) - 1
-    var = (F.col("n1") + 1) * (F.col("n2") + 1) * (F.col("n1") - F.col("m")) * (F.col("n2") - F.col("m")) / (F.pow(F.col("m") + 1, 2) * (F.col("m") + 2))
+    both = (F.col("n1") + 1).cast("double") * (F.col("n2") + 1)
+    est = both / (F.col("m") + 1) - 1
+    var = both * (F.col("n1") - F.col("m")) * (F.col("n2") - F.col("m")) / (F.pow(F.col("m") + 1, 2) * (F.col("m") + 2))
     return t.select("n1", "n2", "m", F.round(est, 4).alias("est"), F.round(F.sqrt(var), 4).alias("se"))
 
 
