@@ -3,9 +3,11 @@
 import math
 import random
 
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
+from __spark_entry__ import queries
 from linkblock.functions import hashing, names, similarity, tokens
 from linkblock.functions.names import PRESETS, Weights
 
@@ -90,6 +92,21 @@ def test_name_cost_forms_agree(spark):
     assert one(spark, names.name_cost(F.lit("kitten"), F.lit("sitting"), PRESETS["equal"], normalize=False)) == 3
 
 
+def test_batches_of_names_equal_the_table_by_hand():
+    rng = random.Random(8)
+    word = lambda most: "".join(rng.choice([*names.letters(), "x", "y"]) for _ in range(rng.randrange(0, most)))
+    rows = [(word(9), word(9)) for _ in range(300)] + [("", "بت"), ("", ""), (word(90) + "x" * 70, word(90)), ("😀ب", "ب")]
+    a, b = (pa.array(x) for x in zip(*rows, strict=True))
+    for w, normalize in ((PRESETS["equal"], True), (PRESETS["phonetic"], False)):
+        assert names.batch_costs(a, b, w, 1.0, normalize).tolist() == [names.cost_by_hand(x, y, w, 1.0, normalize) for x, y in rows]
+
+
+def test_pairs_carry_their_names_without_a_shuffle_of_pairs(spark, sf):
+    plan = queries()["name_cost_pairs"](spark, sf)._jdf.queryExecution().executedPlan().toString()
+    # Each of the three rules deals both its sides by the fields of the rule; no exchange deals pairs.
+    assert not any("id_lo" in x or "given_lo" in x for x in plan.splitlines() if "Exchange" in x)
+
+
 def test_refine_keeps_cheap_pairs_and_is_a_subset(spark):
     df = spark.createDataFrame([(1, "بتث", "جح"), (2, "بتن", "جح"), (3, "ممم", "كك"), (4, "بتث", None)], "id bigint, given string, family string")
     pairs = spark.createDataFrame([(1, 2), (1, 3), (1, 4)], "id_lo bigint, id_hi bigint")
