@@ -63,6 +63,22 @@ def test_similar_pairs_equal_brute_force(spark):
         assert {(r.id_lo, r.id_hi) for r in similarity.similar_pairs(df, "id", "h", t).collect()} == want
 
 
+def test_similar_bags_equal_brute_force_in_any_order_of_tokens(spark, monkeypatch):
+    rng = random.Random(9)
+    bags = [(i, {rng.randrange(30): rng.randrange(1, 4) for _ in range(rng.randrange(0, 9))}) for i in range(50)]
+    bags += [(100 + i, {**c, 99: 1}) for i, c in bags]
+    df = spark.createDataFrame([(i, list(c.items())) for i, c in bags], "id bigint, c array<struct<tok: bigint, cnt: int>>")
+    for t, hot in ((0.3, 1_000_000), (0.5, 3), (0.5, 0)):
+        monkeypatch.setattr(similarity, "HOT", hot)
+        want = {}
+        for a, x in bags:
+            for b, y in bags:
+                low, high = (sum(f(x.get(k, 0), y.get(k, 0)) for k in x | y) for f in (min, max))
+                if a < b and high and low >= t * high - 1e-12:
+                    want[a, b] = (low, high)
+        assert {(r.id_lo, r.id_hi): (r.sum_min, r.sum_max) for r in similarity.similar_bags(df, "id", "c", t).collect()} == want
+
+
 def test_letter_costs():
     for w in PRESETS.values():
         for a in names.letters():
