@@ -67,6 +67,11 @@ def test_scan_prunes_and_pushes(spark):
     assert "text" not in plan.split("ReadSchema")[1]
 
 
+@pytest.mark.parametrize("name", ["char_grams_toronto", "collision_curve", "key_similarity", "rule_space", *(f"letter_costs_{p}" for p in ("equal", "form", "keyboard", "phonetic"))])
+def test_reads_a_given_table(spark, name):
+    assert "FileScan parquet" in QUERIES[name](spark, SF)._jdf.queryExecution().executedPlan().toString()
+
+
 def test_imports_without_the_training_data_part(tmp_path):
     root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
     code = "import sys; sys.modules['linkblock.llm'] = None; sys.modules['corpus_pipeline'] = None; import __spark_entry__ as e; q = e.queries(); assert 'fast_sketch_blocks' in q and not any(n.startswith('op1') for n in q); e.oracle_sql()"
