@@ -12,8 +12,10 @@ value shared by more than BLOCK fingerprints is dealt in pairs of chunks over
 many tasks, so no group of near copies lands in one of them. Each comparison
 returns a spanning forest of the links it found instead of all pairs.
 
-Near copies go by the Jaccard similarity of sets of shingles: keys made of
-least hashes bring candidates together, and the sets decide.
+Near copies go by the Jaccard similarity of sets of shingles. Wide fingerprints
+of the sets meet by the value of a part or, where they differ in every part, by
+keys made of least hashes. Those that meet are compared by bit planes, and what
+is within WIDE_RADIUS is confirmed on the sets themselves.
 """
 
 from __future__ import annotations
@@ -45,6 +47,10 @@ WIDE_SHINGLE, SIMILAR = 5, (4, 5)
 #: A key is KEY_MINS minima of the shingles' hashes, TABLES keys a text. Two texts of similarity s, however long, share
 #: none with probability (1 - s**6)**64: under 4e-9 from 0.8 on. Keys only choose which texts are compared.
 KEY_MINS, TABLES = 6, 64
+#: SimHash of a set over WIDE_BITS bits, cut in WIDE_PARTS parts of which one is equal if fewer bits differ. A bit of two
+#: sets of similarity 0.8 differs with probability 3/16 at most (4 of 5 shingles shared; 0.152 for long texts), so more than
+#: WIDE_RADIUS bits do with probability under 2e-10; those of unrelated sets differ in half of the bits, 128 +- 8.
+WIDE_BITS, WIDE_PARTS, WIDE_RADIUS = 256, 8, 90
 #: Candidates are compared in cells of at most two chunks of so many sets.
 CHUNK = 256
 #: Candidates are known by name to every task if there are at most so many.
@@ -56,6 +62,8 @@ _RNG = np.random.default_rng(7)
 _FACTORS = _RNG.integers(0, 1 << 31, KEY_MINS * TABLES, dtype=np.uint32) * np.uint32(2) + np.uint32(1)
 _MIX = _RNG.integers(0, 1 << 63, KEY_MINS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _TABLE = _RNG.integers(0, 1 << 63, TABLES, dtype=np.uint64)
+_REMIX = _RNG.integers(0, 1 << 63, WIDE_BITS // BITS, dtype=np.uint64)
+_PART = _RNG.integers(0, 1 << 63, WIDE_PARTS, dtype=np.uint64)
 
 
 def _shingle_hashes(raw: bytes, size: int, seed: int) -> np.ndarray:
@@ -93,6 +101,28 @@ def set_node(hashes: np.ndarray) -> int:
     return xxhash.xxh3_64_intdigest(hashes.tobytes()) - (1 << 63)
 
 
+def wide_fingerprint(hashes: np.ndarray) -> np.ndarray:
+    """SimHash of a set of shingles as WIDE_BITS // 8 bytes: a bit is 1 if set in over half of the remixed hashes, and where it is set in just half, that of the least hash."""
+    if not len(hashes):
+        return np.zeros(WIDE_BITS // 8, np.uint8)
+    bits = []
+    for salt in _REMIX:
+        x = (hashes ^ salt) * np.uint64(0x9E3779B97F4A7C15)
+        x = (x ^ x >> np.uint64(31)) * np.uint64(0xBF58476D1CE4E5B9)
+        x ^= x >> np.uint64(29)
+        twice = 2 * _ones(x)
+        bits.append(np.where(twice == len(x), np.unpackbits(x[:1].view(np.uint8), bitorder="little"), twice > len(x)))
+    return np.packbits(np.concatenate(bits).astype(np.uint8), bitorder="little")
+
+
+def wide_cells(fp: np.ndarray) -> np.ndarray:
+    """A cell for the bits of a wide fingerprint in each of its parts."""
+    x = np.zeros((WIDE_PARTS, 8), np.uint8)
+    x[:, : len(fp) // WIDE_PARTS] = fp.reshape(WIDE_PARTS, -1)
+    x = (x.view(np.uint64)[:, 0] ^ _PART) * np.uint64(0xBF58476D1CE4E5B9)
+    return (x ^ x >> np.uint64(29)).view(np.int64)
+
+
 def min_keys(hashes: np.ndarray) -> np.ndarray:
     """A key for each table from the least of the shingles' hashes under KEY_MINS orders."""
     short, least = (hashes >> np.uint64(32)).astype(np.uint32), np.full(len(_FACTORS), (1 << 32) - 1, np.uint32)
@@ -364,22 +394,41 @@ def _confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield from compare()
 
 
+def _simhash_linked(marked: DataFrame) -> DataFrame:
+    """(node, root) of nodes whose wide fingerprint is linked to another node's, from rows (node, cells, fp).
+
+    Nodes that share a cell are taken together under a root, and inside of
+    what is taken together links are fingerprints at most WIDE_RADIUS bits
+    apart. A node without any such link goes no further.
+    """
+    cells = marked.groupBy("node").agg(F.first("cells").alias("cells")).select(F.explode("cells").alias("cell"), "node")
+    met = connected_components(cells.repartition("cell").sortWithinPartitions("cell").mapInArrow(_stars, "a bigint, b bigint"), "a", "b")
+    prints = settle(met.join(marked.groupBy("node").agg(F.first("fp").alias("fp")), "node").select("node", F.col("root").alias("cell"), "fp", F.xxhash64("fp").alias("own")))
+    found = links(prints.select("cell", "fp").distinct(), WIDE_RADIUS, WIDE_BITS // 8)
+    # Nodes of one fingerprint are linked without a comparison.
+    same = prints.groupBy("own").agg(F.count("*").alias("n")).where("n > 1").select("own")
+    ends = found.select(F.explode(F.array(F.xxhash64("a"), F.xxhash64("b"))).alias("own")).unionByName(same).distinct()
+    return prints.join(ends, "own", "left_semi").select("node", F.col("cell").alias("root"))
+
+
 def _near_groups(docs: DataFrame, id_col: str, text_col: str) -> tuple[DataFrame, DataFrame]:
     """(rows: doc_id, text_key, node), (classes: node, group, least): least is the (void, doc_id, text_key) to keep of the group.
 
-    Texts with equal sets are one node. Nodes that share a key make candidate
-    components; within each, every two sets are compared, a component of over
-    CHUNK sets in pairs of chunks over many tasks, and links are what is alike.
+    Texts with equal sets are one node. Nodes that share a part of their wide
+    fingerprints or a key meet, and their fingerprints are compared by bit
+    planes (see _simhash_linked). Of those with a link, every two sets that were
+    taken together are compared, over CHUNK sets in pairs of chunks over many
+    tasks, and links are what is alike.
     """
     own = narrow(docs, id_col, text_col).withColumn("text_key", F.xxhash64(F.coalesce("text", F.lit(""))))
 
-    def work(raw: bytes) -> tuple[int, list[int]]:
+    def work(raw: bytes) -> tuple[int, list[int], bytes]:
         hashes = shingle_set(raw)
-        return set_node(hashes), min_keys(hashes).tolist()
+        fp = wide_fingerprint(hashes)
+        return set_node(hashes), np.concatenate([wide_cells(fp), min_keys(hashes)]).tolist(), fp.tobytes()
 
-    marked = settle(per_document(own, work, "doc_id bigint, text_key bigint, node bigint, cells array<bigint>", "text_key"))
-    cells = marked.groupBy("node").agg(F.first("cells").alias("cells")).select(F.explode("cells").alias("cell"), "node")
-    candidates = connected_components(cells.repartition("cell").sortWithinPartitions("cell").mapInArrow(_stars, "a bigint, b bigint"), "a", "b")
+    marked = settle(per_document(own, work, "doc_id bigint, text_key bigint, node bigint, cells array<bigint>, fp binary", "text_key"))
+    candidates = settle(_simhash_linked(marked))
     large = settle(candidates.groupBy("root").agg(F.count("*").alias("n")).where(F.col("n") > CHUNK).select("root", F.ceil(F.col("n") / CHUNK).cast("int").alias("chunks")))
     mine = F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int")
     meetings = F.transform(F.sequence(F.lit(0), F.col("chunks") - 1), lambda j: F.xxhash64(F.col("root"), F.least(mine, j), F.greatest(mine, j)))
@@ -396,9 +445,9 @@ def _near_groups(docs: DataFrame, id_col: str, text_col: str) -> tuple[DataFrame
 def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, component_id) for every row: components of texts whose sets of five-word shingles have a Jaccard similarity of 0.8 and more.
 
-    Every link is confirmed on the sets themselves; keys of minima only bring
-    candidates together (see TABLES for what they can miss). A set is known by
-    a 64-bit hash, as is each shingle. Nulls, empty texts, repeated rows and
+    Links are found by wide fingerprints compared by bit planes and confirmed
+    on the sets themselves (see TABLES and WIDE_BITS for what can be missed).
+    A set is known by a 64-bit hash, as is each shingle. Nulls, empty texts, repeated rows and
     empty tables as in near_duplicates().
     """
     rows, linked = _near_groups(docs, id_col, text_col)

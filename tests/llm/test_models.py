@@ -125,6 +125,56 @@ def test_near_copies_equal_brute_force_jaccard(spark):
     assert got[len(texts) :] == [len(texts) + x for x in root.tolist()]
 
 
+def test_wide_fingerprints_are_simhash_and_close_for_similar_sets():
+    rng = np.random.default_rng(8)
+    for n in (1, 2, 3, 8, 300):
+        hashes = np.unique(rng.integers(0, 1 << 63, n, dtype=np.uint64))
+        want = []
+        for salt in simhash._REMIX.tolist():
+            mixed = []
+            for h in hashes.tolist():
+                x = (h ^ salt) * 0x9E3779B97F4A7C15 % (1 << 64)
+                x = (x ^ x >> 31) * 0xBF58476D1CE4E5B9 % (1 << 64)
+                mixed.append(x ^ x >> 29)
+            for i in range(64):
+                ones = sum(x >> i & 1 for x in mixed)
+                want.append(mixed[0] >> i & 1 if 2 * ones == n else int(2 * ones > n))
+        assert np.unpackbits(simhash.wide_fingerprint(hashes), bitorder="little").tolist() == want
+    far = lambda a, b: int(np.unpackbits(simhash.wide_fingerprint(a) ^ simhash.wide_fingerprint(b)).sum())
+    for shared, more in [(4, 1), (8, 2), (12, 3), (400, 100)]:
+        for _ in range(200):
+            every = np.unique(rng.integers(0, 1 << 63, shared + more, dtype=np.uint64))
+            rng.shuffle(every)
+            a, b = np.sort(every[: shared + more // 2]), np.sort(np.r_[every[:shared], every[shared + more // 2 :]])
+            assert far(a, b) <= simhash.WIDE_RADIUS
+            assert far(a, np.sort(rng.integers(0, 1 << 63, shared, dtype=np.uint64))) > simhash.WIDE_RADIUS
+
+
+def test_near_copies_meet_by_fingerprints_compared_by_bit_planes(spark):
+    """What shares a cell goes on only if its fingerprints are linked within the radius."""
+    rng = np.random.default_rng(9)
+    base = rng.integers(0, 2, (12, 256), dtype=np.uint8)
+    bits = []
+    for b in base:
+        bits.append(b)
+        for flips in (0, 60, 91, 150):
+            other = b.copy()
+            other[rng.choice(256, flips, replace=False)] ^= 1
+            bits.append(other)
+    fps = [np.packbits(b, bitorder="little").tobytes() for b in bits]
+    rows = [(i, [7], bytearray(fp)) for i, fp in enumerate(fps)] + [(1000, [8], bytearray(fps[0])), (1001, [9], bytearray(fps[1]))]
+    got = {r.node: r.root for r in simhash._simhash_linked(spark.createDataFrame(rows, "node bigint, cells array<bigint>, fp binary")).collect()}
+    root = list(range(len(fps)))
+    for i in range(len(fps)):
+        for j in range(i):
+            if (int.from_bytes(fps[i]) ^ int.from_bytes(fps[j])).bit_count() <= simhash.WIDE_RADIUS:
+                low, high = sorted((root[i], root[j]))
+                root = [low if x == high else x for x in root]
+    size = Counter(root)
+    assert set(got) == {i for i, x in enumerate(root) if size[x] > 1}
+    assert set(got.values()) == {0} and min(size.values()) == 1
+
+
 def test_one_of_each_keeps_the_least_id(spark, odd):
     out = simhash.one_of_each(odd)
     assert out.columns == odd.columns
