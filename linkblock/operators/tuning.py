@@ -2,14 +2,18 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterable
+from collections.abc import Iterable, Iterator
 from functools import reduce
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from linkblock.functions.hashing import mix
 from linkblock.operators import bands, measures, pairs, sketch
+from linkblock.operators import cells as meet
 from linkblock.runtime import settle, spread
 
 
@@ -37,29 +41,55 @@ def runs(sets: DataFrame, truth: DataFrame, cells: Iterable[tuple[int, int]], se
 
     A pair knows the first table that it shares, so one run of the most tables
     a K has serves every smaller L: a pair belongs to L if that table is below
-    L. Keys belong to their run, so all runs make their pairs in one join.
-    Pairs are counted by first table, so at most K x seeds x L rows meet the
-    cells.
+    L. Token sets, not keys, meet in the cells of every two groups of records:
+    a set makes its keys there, and pairs are counted by first table where
+    they are found. The truth meets the sets of its own records, so no pair is
+    ever dealt.
     """
     cells, seeds = list(cells), list(seeds)
     most = {k: max(t for j, t in cells if j == k) for k, _ in cells}
-    sets, truth = spread(settle(sets)), settle(truth.select("id_lo", "id_hi", "train"))
-
-    seeded = sets.select("rec_id", "h", F.explode(F.array(*map(F.lit, seeds))).alias("seed"))
-
-    def keyed(k: int) -> DataFrame:
-        keys = bands.keys(sketch.per_table_sketch(F.col("h"), k, most[k], F.col("seed")), k, most[k])
-        return seeded.select(F.struct(F.lit(k).alias("k"), "seed", "rec_id").alias("id"), F.transform(keys, lambda x: F.xxhash64(F.lit(k), "seed", x)).alias("ks"))
-
-    rows = reduce(DataFrame.unionByName, map(keyed, most))
-    found = pairs.from_keys(rows, "id", F.col("ks"))[0].select("id_lo.k", "id_lo.seed", F.col("id_lo.rec_id").alias("id_lo"), F.col("id_hi.rec_id").alias("id_hi"), "first_table")
-    counted = found.join(truth, ["id_lo", "id_hi"], "left").groupBy("k", "seed", "first_table").agg(
-        F.count("*").alias("p"), F.count_if("train").alias("a"), F.count_if(~F.col("train")).alias("b"))
+    sets = spread(settle(sets.where("size(h) > 0").select(F.col("rec_id").alias("id"), "h")))
+    n, tokens = sets.agg(F.count("*"), F.coalesce(F.sum(F.size("h")), F.lit(0))).first()
+    groups = meet.groups_for(n, 8 * (max(most.values()) + 1 + tokens // max(n, 1)), sets.sparkSession.sparkContext.defaultParallelism)
+
+    def pairs_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for cell in meet.whole_cells(batches):
+            ids, side, (tok, size) = meet.column(cell, "id").to_numpy(), meet.column(cell, "side").to_numpy(), _tokens(meet.column(cell, "h"))
+            for k, tables in most.items():
+                for seed in seeds:
+                    found = meet.counted(sketch.per_table_keys(tok, size, k, tables, seed), side, ids)
+                    yield _counts(k, seed, found, np.zeros_like(found), np.zeros_like(found))
+
+    def hits_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            a, z, train = _tokens(b.column("a")), _tokens(b.column("z")), b.column("train").to_numpy(zero_copy_only=False).astype(bool)
+            for k, tables in most.items():
+                for seed in seeds:
+                    same = sketch.per_table_keys(*a, k, tables, seed) == sketch.per_table_keys(*z, k, tables, seed)
+                    first, met = same.argmax(axis=0), same.any(axis=0)
+                    of = lambda half: np.bincount(first[met & half], minlength=tables).astype(np.int64)  # noqa: B023, E731
+                    yield _counts(k, seed, np.zeros(tables, np.int64), of(train), of(~train))
+
+    shape = "k int, seed int, first_table int, p bigint, a bigint, b bigint"
+    found = meet.deal(sets, groups).mapInArrow(pairs_of, shape)
+    true = truth.select("id_lo", "id_hi", "train").join(sets.select(F.col("id").alias("id_lo"), F.col("h").alias("a")), "id_lo").join(sets.select(F.col("id").alias("id_hi"), F.col("h").alias("z")), "id_hi")
+    counted = found.unionByName(true.select("a", "z", "train").mapInArrow(hits_of, shape)).groupBy("k", "seed", "first_table").agg(*(F.sum(c).alias(c) for c in "pab"))
     grid = sets.sparkSession.createDataFrame([(k, t, s) for k, t in cells for s in seeds], "k int, l int, seed int")  # one row a cell and seed
     total = lambda c: F.coalesce(F.sum(F.when(F.col("first_table") < F.col("l"), F.col(c))), F.lit(0)).alias
     return counted.join(F.broadcast(grid), ["k", "seed"], "right").groupBy("k", "l", "seed").agg(total("p")("n_pairs"), total("a")("train_hits"), total("b")("test_hits"))
 
 
+def _tokens(sets: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """(tokens of all sets in a row, sizes)."""
+    return sets.flatten().to_numpy(zero_copy_only=False), pc.list_value_length(sets).to_numpy(zero_copy_only=False).astype(np.int64)
+
+
+def _counts(k: int, seed: int, p: np.ndarray, a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
+    n = len(p)
+    given = [np.full(n, k, np.int32), np.full(n, seed, np.int32), np.arange(n, dtype=np.int32), p, a, b]
+    return pa.RecordBatch.from_arrays([pa.array(x) for x in given], names=["k", "seed", "first_table", "p", "a", "b"])
+
+
 def choose_on_half(sets: DataFrame, truth: DataFrame, train: Column, cells: Iterable[tuple[int, int]], seeds: Iterable[int], pair_budget: int) -> DataFrame:
     """Each cell over several seeds, and which one the training half of the truth picks: most of its pairs kept, within a budget of pairs.
 
