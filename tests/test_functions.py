@@ -3,6 +3,7 @@
 import math
 import random
 
+import numpy as np
 import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
@@ -79,6 +80,30 @@ def test_similar_bags_equal_brute_force_in_any_order_of_tokens(spark, monkeypatc
         assert {(r.id_lo, r.id_hi): (r.sum_min, r.sum_max) for r in similarity.similar_bags(df, "id", "c", t).collect()} == want
 
 
+def test_similar_pairs_in_small_pieces_and_blocks(spark, monkeypatch):
+    for name, value in (("PIECES", 3), ("SLICE", 40), ("MEETINGS", 8), ("COMPARED", 64), ("DEALT", 100), ("CHUNK", 90), ("BROADCAST_IDS", 0)):
+        monkeypatch.setattr(similarity, name, value)
+    rng = random.Random(11)
+    near = [sorted({t for t in range(50) if rng.random() < 0.8} | {rng.randrange(100, 10_000)}) for _ in range(25)]
+    sets = list(enumerate(near + near[:4] + [rng.sample(range(-40, 60), rng.randrange(0, 40)) for _ in range(30)]))
+    df = spark.createDataFrame(sets, "id bigint, h array<bigint>")
+    want = {(a, b): len(set(x) & set(y)) for a, x in sets for b, y in sets if a < b and len(set(x) & set(y)) >= 0.3 * len(set(x) | set(y)) > 0}
+    found = similarity.similar_pairs(df, "id", "h", 0.3).collect()
+    assert len(found) == len(want) and {(r.id_lo, r.id_hi): r.n_common for r in found} == want
+
+
+def test_pairs_of_near_copies_are_not_dealt():
+    rng = np.random.default_rng(3)
+    base = rng.integers(-(2**62), 2**62, 400)
+    sets = [np.delete(base, rng.choice(400, 4)) for _ in range(300)] + [rng.integers(-(2**62), 2**62, 300) for _ in range(100)]
+    rows = pa.RecordBatch.from_arrays([pa.array(range(400)), pa.array(sets)], names=["id", "toks"])
+    none = np.zeros(0, np.int64)
+    packed = pa.Table.from_batches(similarity._prefixes(none, none, 0.3, 4)(iter([rows]))).sort_by("piece")
+    assert packed.nbytes < 5 * sum(map(len, sets))
+    told = sum(b.num_rows for b in similarity._meetings(4, 0.3)(iter(packed.combine_chunks().to_batches())))
+    assert 0 < told < 4 * 50 * 49 / 2
+
+
 def test_letter_costs():
     for w in PRESETS.values():
         for a in names.letters():
